@@ -297,8 +297,10 @@ class BatchEncoder:
     SLOTS = 20
     POOL = 4_000_000
 
-    def __init__(self, words, added: dict[str, int]):
+    def __init__(self, words, added: dict[str, int], size: int):
         self.words, self.added = words, added
+        #: Whether ids fit 16 bits.
+        self.narrow = size <= 1 << 16
         self._clear()
 
     def _clear(self) -> None:
@@ -388,11 +390,12 @@ def vocabulary(path: str) -> Vocabulary:
 def tree_encoder(path: str) -> BatchEncoder:
     """The encoder of this Python worker; it lasts over tasks."""
     v = vocabulary(path)
-    return BatchEncoder(TreeMerger(v), v.added)
+    return BatchEncoder(TreeMerger(v), v.added, len(v.lengths))
 
 
 @lru_cache(maxsize=2)
 def library_encoder(path: str) -> BatchEncoder:
     with open(path, encoding="utf-8") as f:
         added = {x["content"]: x["id"] for x in json.load(f).get("added_tokens", [])}
-    return BatchEncoder(LibraryWords(path), added)
+    words = LibraryWords(path)
+    return BatchEncoder(words, added, words.t.get_vocab_size())

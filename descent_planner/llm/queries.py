@@ -6,7 +6,7 @@ import importlib
 
 QUERIES: dict = {}
 ORACLES: dict = {}
-for _name in ("op6_bpe_codec",):
+for _name in ("op1_chunk_store", "op6_bpe_codec"):
     _module = importlib.import_module(f".{_name}", __package__)
     QUERIES |= _module.QUERIES
     ORACLES |= _module.ORACLES
