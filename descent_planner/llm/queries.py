@@ -6,7 +6,16 @@ import importlib
 
 QUERIES: dict = {}
 ORACLES: dict = {}
-for _name in ("op1_chunk_store", "op6_bpe_codec"):
+for _name in (
+    "op1_chunk_store",
+    "op2_media_archives",
+    "op3_pii_spans",
+    "op4_conflict_packing",
+    "op5_language_spans",
+    "op6_bpe_codec",
+    "op8_site_lines",
+    "op10_toxicity_chain",
+):
     _module = importlib.import_module(f".{_name}", __package__)
     QUERIES |= _module.QUERIES
     ORACLES |= _module.ORACLES
