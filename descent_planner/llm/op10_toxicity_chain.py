@@ -11,7 +11,7 @@ absolute z score between its classes are used.
 
 Fitted on at most ``SAMPLE_ROWS`` labelled rows: up to half of them are of the last category, the rest not, each
 taken by the hash of their ids and weighted back to their share of the labels. All texts are scored whole. Null
-texts and texts without a letter have probability 0 in every category. Where no label was learned, or only one
+texts and texts without a letter have probability 0 in every category, and are of none. Where no label was learned, or only one
 class, every probability is that class's share (0 for none). Rows stay one for one.
 """
 
@@ -90,12 +90,27 @@ def _fit_linear(text: np.ndarray, column: np.ndarray, n_columns: int, extra: np.
     return w
 
 
+def _best_cut(odds: np.ndarray, y: np.ndarray, weight: np.ndarray) -> float:
+    """The probability at which F1 is best, halfway to the next lower prediction; 0.5 where there is one class."""
+    if not len(y) or y.min() == y.max():
+        return 0.5
+    order = np.argsort(-odds, kind="stable")
+    hit, taken = np.cumsum((weight * y)[order]), np.cumsum(weight[order])
+    f1 = 2 * hit / (taken + (weight * y).sum())
+    last = np.append(odds[order][1:] < odds[order][:-1], True)  # cuts lie between different predictions
+    at = int(np.argmax(np.where(last, f1, -1)))
+    below = odds[order][at + 1] if at + 1 < len(order) else odds[order][at] - 1
+    return float(1 / (1 + np.exp(-(odds[order][at] + below) / 2)))
+
+
 class Chain:
     """The fitted models, in order: (category, slots, weights, or a constant where there was one class)."""
 
     def __init__(self, categories: Sequence[str]):
         self.categories = list(categories)
         self.models: list[tuple] = []
+        #: From this probability on a text is of the category: where out-of-fold predictions have the best F1.
+        self.thresholds: list[float] = []
 
     @staticmethod
     def _fit_one(text, slot, rows, extra, y, weight):
@@ -142,6 +157,7 @@ class Chain:
                 inside = text[fold[text] == f], slot[fold[text] == f]
                 model = Chain._fit_one(text, slot, fold != f, extra, y[:, k], weight)
                 odds = np.where(fold == f, Chain._odds(model, *inside, extra, n), odds)
+            chain.thresholds.append(_best_cut(odds, y[:, k], weight))
             chain.models.append(Chain._fit_one(text, slot, np.ones(n, dtype=bool), extra, y[:, k], weight))
             extra = np.column_stack([extra, np.clip(odds, -15, 15)])
         return chain
@@ -216,7 +232,7 @@ def op10_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").withColumn("low_quality", 1 - F.col("quality"))
     chain = train(docs, labels, ("low_quality", "toxic"))
-    return score(docs, chain).select("doc_id", "p_low_quality", "p_toxic", (F.col("p_toxic") >= 0.5).alias("toxic"))
+    return score(docs, chain).select("doc_id", "p_low_quality", "p_toxic", (F.col("p_toxic") >= chain.thresholds[-1]).alias("toxic"))
 
 
 QUERIES = {"op10_toxicity_chain": op10_toxicity_chain}
