@@ -11,8 +11,9 @@ Documents of equal sets are one class. Classes that agree on a band are candidat
 no band with probability (1 - s^rows)^bands; the defaults make that under 1e-8 at the threshold. No bucket is
 capped and no pair is listed twice:
 
-1. Star rounds: each class is compared with one other, the first in a round's order of the bucket it shares most
-   bands with. Confirmed links make components.
+1. Star rounds: every bucket names a centre, and each class is compared with the centre it shares most bands with.
+   In the first round a bucket's centre is the member that meets most others over all its buckets, most likely the
+   text that near copies were made from; later rounds take centres by hash. Confirmed links make components.
 2. What remains: pairs in a bucket whose components differ, which haven't been compared. In a large group of near
    copies nearly all are in one component by then, so that the group's pairs are never listed.
 
@@ -211,12 +212,16 @@ def near_duplicates(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col
     classes = saved(rows.where("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "near-classes")
     reps = rows.join(classes.hint("merge"), (rows.set_key == classes.set_key) & (rows.doc_id == classes.rep)).select("rep", "n_shingles", "bands")
     buckets = reps.select(F.explode("bands").alias("key"), "rep", "n_shingles")
-    shared = buckets.groupBy("key").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low <> high").select("key")
-    buckets = saved(buckets.join(shared.hint("merge"), "key"), "near-buckets")
+    shared = buckets.groupBy("key").agg(F.min("rep").alias("low"), F.max("rep").alias("high"), F.count("*").alias("members")).where("low <> high").select("key", "members")
+    buckets = saved(buckets.join(shared.hint("merge"), "key"), "near-shared")
+    # a class that meets many others is likely the text that its near copies were made from
+    meets = buckets.groupBy("rep").agg(F.sum("members").alias("meets"))
+    buckets = saved(buckets.join(meets.hint("merge"), "rep").select("key", "rep", "n_shingles", "meets"), "near-buckets")
 
     tested = links = comps = None
     for turn in range(STAR_ROUNDS):
-        order = F.struct(F.xxhash64("rep", F.lit(turn)).alias("o"), "rep", "n_shingles")
+        first = -F.col("meets") if turn == 0 else F.xxhash64("rep", F.lit(turn))
+        order = F.struct(first.alias("o"), "rep", "n_shingles")
         centres = buckets.groupBy("key").agg(F.min(order).alias("c"))
         near = buckets.join(centres.hint("merge"), "key").where("rep <> c.rep").select(F.col("rep").alias("a"), F.col("c.rep").alias("b"), F.col("n_shingles").alias("na"), F.col("c.n_shingles").alias("nb"))
         near = near.where(F.greatest("na", "nb") * p.num <= F.least("na", "nb") * p.den)
