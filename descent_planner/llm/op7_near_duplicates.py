@@ -14,8 +14,10 @@ capped and no pair is listed twice:
 1. Star rounds: every bucket names a centre, and each class is compared with the centre it shares most bands with.
    In the first round a bucket's centre is the member that meets most others over all its buckets, most likely the
    text that near copies were made from; later rounds take centres by hash. Confirmed links make components.
-2. What remains: pairs in a bucket whose components differ, which haven't been compared. In a large group of near
-   copies nearly all are in one component by then, so that the group's pairs are never listed.
+2. What remains: classes that share a bucket with another component. Any linked pair of them shares one of the rare
+   shingles at the head of both sets (see ``_prefixes``), so pairs come from those, and only pairs of different
+   components that haven't been compared: neither a group of near copies nor the texts that quote one passage are
+   listed pair by pair. This step loses nothing.
 
 Links are confirmed on the full sets: the sets of candidates are made again from their texts, sent to their partners
 by a sort-merge join, and intersected. Components come from minimum labels with pointer jumping, in tables.
@@ -187,6 +189,63 @@ def confirmed(docs: DataFrame, pairs: DataFrame, p: Params) -> DataFrame:
     return over_batches(left.join(right.hint("merge"), "b").select("a", "b", "x", "y"), make_test, "a long, b long")
 
 
+#: Slots of the table of shingle frequencies: 4 MB, whatever the input.
+FREQUENCY_BITS = 20
+
+
+def _prefixes(docs: DataFrame, members: DataFrame, p: Params) -> DataFrame:
+    """(element, place, id, n, comp): the rarest shingles of each member, as many as make sure that linked sets share one.
+
+    Two sets that share at least ceil(t n) of n elements, put in one order, agree somewhere in their first
+    n - ceil(t n) + 1. The order takes shingles that few members have first, by counts in a table of fixed size;
+    what all texts of a group share comes last, so that a passage doesn't bring its texts together.
+    """
+    shingle, num, den = p.shingle, p.num, p.den
+    text = docs.select(F.col("doc_id").alias("id"), "text")
+    found = text.join(F.broadcast(members) if members.count() <= BROADCAST_ROWS else members.hint("merge"), "id").select("id", "comp", "text")
+
+    def make_counts():
+        def each(b: pa.RecordBatch) -> pa.RecordBatch:
+            total = np.zeros(1 << FREQUENCY_BITS, dtype=np.int64)
+            for part in pieces(b, "text", PIECE_BYTES):
+                elements, _ = shingle_sets(part.column(2).to_pylist(), shingle)
+                total += np.bincount((elements >> np.uint64(64 - FREQUENCY_BITS)).astype(np.int64), minlength=len(total))
+            slot = np.flatnonzero(total)
+            return pa.RecordBatch.from_arrays([pa.array(slot), pa.array(total[slot])], ["slot", "n"])
+
+        return each
+
+    counts = np.zeros(1 << FREQUENCY_BITS, dtype=np.int32)
+    for r in over_batches(found, make_counts, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).toLocalIterator():
+        counts[r.slot] = min(r.n, 2**31 - 1)
+    known = docs.sparkSession.sparkContext.broadcast(counts)
+
+    def make_heads():
+        counts = known.value
+
+        def each(b: pa.RecordBatch) -> pa.RecordBatch:
+            rows, out, sizes, places = [], [], [], []
+            at = 0
+            for part in pieces(b, "text", PIECE_BYTES):
+                elements, n = shingle_sets(part.column(2).to_pylist(), shingle)
+                owner = np.repeat(np.arange(part.num_rows), n)
+                order = np.lexsort((elements, counts[(elements >> np.uint64(64 - FREQUENCY_BITS)).astype(np.int64)], owner))
+                first = np.cumsum(n) - n
+                # of n elements at least the share num / den is common
+                take = np.where(n > 0, n - -(-num * n // den) + 1, 0)
+                out.append(elements[order][ragged(first, take)].view(np.int64))
+                places.append(np.arange(len(out[-1])) - np.repeat(np.cumsum(take) - take, take))
+                rows.append(at + np.repeat(np.arange(part.num_rows), take))
+                sizes.append(np.repeat(n, take))
+                at += part.num_rows
+            row = pa.array(np.concatenate(rows))
+            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(out)), pa.array(np.concatenate(places)), b.column(0).take(row), pa.array(np.concatenate(sizes).astype(np.int64)), b.column(1).take(row)], ["element", "place", "id", "n", "comp"])
+
+        return each
+
+    return over_batches(found, make_heads, "element long, place long, id long, n long, comp long")
+
+
 def components(edges: DataFrame, name: str) -> DataFrame:
     """(id, comp) of every id in ``edges`` (a, b): the smallest id reachable.
 
@@ -242,9 +301,15 @@ def near_duplicates(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col
     labelled = saved(labelled, "near-labelled")
     open_keys = labelled.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key")
     left = saved(labelled.join(open_keys.hint("merge"), "key"), "near-open")
-    x = left.select("key", F.col("rep").alias("a"), F.col("comp").alias("ca"), F.col("n_shingles").alias("na"))
-    y = left.select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n_shingles").alias("nb"))
-    rest = x.join(y.hint("merge"), "key").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & (F.greatest("na", "nb") * p.num <= F.least("na", "nb") * p.den))
+    members = saved(left.select(F.col("rep").alias("id"), "comp").distinct(), "near-members")
+    heads = saved(_prefixes(docs, members, p), "near-heads")
+    meet = heads.groupBy("element").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("element")
+    heads = heads.join(meet.hint("merge"), "element")
+    x = heads.select("element", F.col("id").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("place").alias("ia"))
+    y = heads.select("element", F.col("id").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("place").alias("ib"))
+    # where the first shared element stands bounds how many can follow it
+    room = F.least(F.col("na") - F.col("ia"), F.col("nb") - F.col("ib")) * (p.den + p.num) >= p.num * (F.col("na") + F.col("nb"))
+    rest = x.join(y.hint("merge"), "element").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & room)
     rest = saved(rest.select("a", "b").distinct().join(tested, ["a", "b"], "left_anti"), "near-rest")
     if not rest.isEmpty():
         links = links.union(saved(confirmed(docs, rest, p), "near-links"))
