@@ -294,8 +294,8 @@ class LibraryWords:
 class BatchEncoder:
     """Ids of many texts, through a cache of fixed size whose entries are told apart by 128 bits of hash."""
 
-    SLOTS = 20
-    POOL = 4_000_000
+    SLOTS = 21
+    POOL = 16_000_000
 
     def __init__(self, words, added: dict[str, int], size: int):
         self.words, self.added = words, added
