@@ -538,7 +538,7 @@ def _(spark, sf):
     return model_frame(spark, s.models["q"])
 
 
-_M_SQL = descent_sql(W7.sql(), 2, "linear", 12, beta=0.45)
+_M_SQL = descent_sql(W7.sql(), 2, "linear", 12, beta=0.45).replace(_rounded(["w0", "w1"]), "w0, w1")
 
 
 @query("language_persist_predict", f"SELECT unit_id, label, round(f.w0 + f.w1*x1, 4) AS prediction FROM ({W7.sql()}) p, (SELECT * FROM ({_M_SQL}) WHERE iter = 12) f")
