@@ -55,6 +55,7 @@ ENDINGS = "com org net edu gov mil int info biz io ai co uk us de fr es it nl eu
 # The @ with its local part is looked up from the @ on, so that long runs of its letters cost one pass.
 _DOMAIN = re.compile(r"@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]+)++")
 # A run of digits is tried from its first one: from any other it would go on alike.
+_DIGIT = re.compile("[0-9]")
 _IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 _CARD = re.compile(r"(?<![0-9])[0-9](?:[ -]?[0-9])++")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
@@ -98,10 +99,13 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     out = []
     if "@" in text:
         out += [(a, 0, b) for a, b in _emails(text)]
-    for m in _IP.finditer(text):
+    digit = _DIGIT.search(text)
+    if digit is None:
+        return sorted(out)
+    for m in _IP.finditer(text, digit.start()):
         if all(len(p.lstrip("0")) <= 3 and int(p.lstrip("0") or "0") <= 255 for p in m[0].split(".")):
             out.append((m.start(), 1, m.end()))
-    for m in _CARD.finditer(text):
+    for m in _CARD.finditer(text, digit.start()):
         digits = m[0].replace(" ", "").replace("-", "")
         if 12 <= len(digits) <= 19 and luhn(digits):
             out.append((m.start(), 2, m.end()))
@@ -198,13 +202,20 @@ def _spelled_sign() -> re.Pattern:
     return re.compile(rf"(?<!\w)(?:{names})[ ,.-]{{1,3}}(?:(?:point|dot|punkt|punto)[ ,.-]{{1,3}})?(?:{names}|[0-9])[ ,.-]", re.I)
 
 
+def _names_in(low: str) -> int:
+    """How many words of a lower-case text name a digit; cheaper than the pattern, which only a few texts then see."""
+    words = low.replace(",", " ").replace(".", " ").replace("-", " ").split()
+    return sum(map(DIGIT_OF.__contains__, words))
+
+
 def added_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Spans of disguised identifiers, in source offsets."""
     odd, letter, spelled, digits, box_at, box_dot, bare, mixed = _rules()
     has_odd = not text.isascii() and odd.search(text) is not None
-    has_sign = _SIGN.search(text) is not None
+    low = text.lower()
+    has_sign = ("dot" in low or any(c in text for c in "([{<")) and _SIGN.search(text) is not None
     # names of look-alike letters show only after the first transducer
-    has_spelled = has_odd or _spelled_sign().search(text) is not None
+    has_spelled = has_odd or _names_in(low) >= 2 and _spelled_sign().search(text) is not None
     if not (has_odd or has_sign or has_spelled):
         return []
     r = Rewritten(text)
