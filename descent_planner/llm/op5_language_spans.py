@@ -16,6 +16,7 @@ the language that sorts first. Rows stay one for one.
 from __future__ import annotations
 
 import zlib
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -34,6 +35,8 @@ GROUPS = (2, 3, 4, 5)
 SWITCH = 6.0
 #: Most letters a batch holds, but for single longer texts.
 PIECE_BYTES = 400_000
+#: Most bytes of text that are decoded side by side, but for single longer texts: steps cost by the longest text of those.
+DECODE_BYTES = 8_000_000
 
 # First code points of blocks of letters, and the script each begins.
 SCRIPTS = (
@@ -168,6 +171,22 @@ def viterbi(scores: np.ndarray, counts: np.ndarray, penalty: float) -> np.ndarra
     return labels
 
 
+def _decoded(batch: pa.RecordBatch, column: int, model: Model) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray, np.ndarray]]:
+    """Parts of a batch with the text and the label of each word, and each text's letters by language."""
+    k = max(1, len(model.languages))
+    for part in pieces(batch, "text", DECODE_BYTES):
+        scores, counts, sizes = [], [], []
+        for small in pieces(part, "text", PIECE_BYTES):
+            found = Letters([t or "" for t in small.column(column).to_pylist()])
+            scores.append(model.words(found))
+            counts.append(found.word_count)
+            sizes.append(found.sizes)
+        count, size = np.concatenate(counts), np.concatenate(sizes)
+        label = viterbi(np.concatenate(scores), count, SWITCH) if model.languages else np.zeros(len(size), dtype=np.int64)
+        text = np.repeat(np.arange(part.num_rows), count)
+        yield part, text, label, np.bincount(text * k + label, weights=size, minlength=part.num_rows * k).reshape(-1, k)
+
+
 def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string")) % 4 == 2
 
@@ -188,12 +207,7 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
     def make():
         def each(batch: pa.RecordBatch) -> pa.RecordBatch:
             langs, shares, counts, shown = [], [], [], []
-            for part in pieces(batch, "text", PIECE_BYTES):
-                found = Letters([t or "" for t in part.column(1).to_pylist()])
-                label = viterbi(model.words(found), found.word_count, SWITCH) if model.languages else np.zeros(len(found.starts), dtype=np.int64)
-                k = max(1, len(model.languages))
-                text = np.repeat(np.arange(part.num_rows), found.word_count)
-                letters = np.bincount(text * k + label, weights=found.sizes, minlength=part.num_rows * k).reshape(-1, k)
+            for part, text, label, letters in _decoded(batch, 1, model):
                 total = letters.sum(axis=1)
                 best = letters.argmax(axis=1)
                 none = (total == 0) | (not model.languages)
@@ -225,14 +239,7 @@ def keep_identified(docs: DataFrame, model: Model, least: float = 0.5) -> DataFr
     def make():
         def each(batch: pa.RecordBatch) -> pa.RecordBatch | None:
             outs = []
-            for part in pieces(batch, "text", PIECE_BYTES):
-                found = Letters([t or "" for t in part.column(at).to_pylist()])
-                if not model.languages:
-                    continue
-                label = viterbi(model.words(found), found.word_count, SWITCH)
-                k = len(model.languages)
-                text = np.repeat(np.arange(part.num_rows), found.word_count)
-                letters = np.bincount(text * k + label, weights=found.sizes, minlength=part.num_rows * k).reshape(-1, k)
+            for part, _, _, letters in _decoded(batch, at, model) if model.languages else ():
                 total = letters.sum(axis=1)
                 ok = (total > 0) & (letters.max(axis=1) >= least * total)
                 names = pa.array([model.languages[b] for b in letters.argmax(axis=1).tolist()], pa.string())
