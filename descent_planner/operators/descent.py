@@ -111,9 +111,14 @@ def dimension(units: DataFrame) -> int:
     return first.d
 
 
+def vector(w: np.ndarray) -> Column:
+    """A vector as one constant: one call to the JVM whatever its length, and folded into a literal by the optimiser."""
+    return F.split(F.lit(",".join(repr(float(x)) for x in w)), ",").cast("array<double>")
+
+
 def margin(w: np.ndarray) -> Column:
     """w.x with the weights as one literal."""
-    lit = F.lit([float(x) for x in w])
+    lit = vector(w)
     if len(w) <= SQL_FEATURES:
         out = F.lit(0.0)
         for j in range(len(w)):
@@ -197,9 +202,40 @@ def clean(units: DataFrame, on_bad: str = "fail") -> DataFrame:
     return units.where(F.coalesce(good, F.lit(False)))
 
 
-def _run(w: np.ndarray, cfg: Config, one) -> FitResult:
-    """The loop: ``one(i, w)`` gives (new weights, units used, step)."""
+@dataclass
+class RunLog:
+    """Weights of every ``every``-th iteration as small tables under ``path``; a run over the same path goes on from the last.
+
+    Bernoulli and random-partition draws depend on the iteration alone and shuffled partitions on their cursor, so that
+    a run that is broken off and taken up ends with the weights of one that isn't.
+    """
+
+    spark: SparkSession
+    path: str
+    every: int = 10
+    schema = "iter int, w array<double>, delta double, cursor array<int>"
+
+    def last(self):
+        p = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/*/_SUCCESS")
+        done = p.getFileSystem(self.spark._jsc.hadoopConfiguration()).globStatus(p)
+        if not done:
+            return None
+        i = max(int(s.getPath().getParent().getName()) for s in done)
+        return self.spark.read.schema(self.schema).parquet(f"{self.path}/{i}").first()
+
+    def save(self, i: int, w: np.ndarray, delta: float | None, cursor: tuple) -> None:
+        row = (i, [float(x) for x in w], delta, [int(c) for c in cursor])
+        self.spark.createDataFrame([row], self.schema).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/{i}")
+
+
+def _run(w: np.ndarray, cfg: Config, one, log: RunLog | None = None, seek=None, cursor=None) -> FitResult:
+    """The loop: ``one(i, w)`` gives (new weights, units used, step). The trace of a run taken up holds its own iterations."""
     rule, trace, delta, i, began = cfg.loop(), [], None, 0, time.monotonic()
+    saved = log.last() if log else None
+    if saved:
+        i, w, delta = saved.iter, np.array(saved.w), saved.delta
+        if seek:
+            seek(tuple(saved.cursor), i)
     while rule.should_continue(delta, i):
         i += 1
         t = time.monotonic()
@@ -215,10 +251,12 @@ def _run(w: np.ndarray, cfg: Config, one) -> FitResult:
         else:
             rule.status = "DIVERGED"
             break
+        if log and i % log.every == 0:
+            log.save(i, w, delta, cursor() if cursor else ())
     return FitResult(w, trace, rule.status, cfg, time.monotonic() - began)
 
 
-def bgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, cache: bool = True) -> FitResult:
+def bgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, cache: bool = True, log: RunLog | None = None) -> FitResult:
     """Batch descent: one aggregate of all units an iteration."""
     cfg, g = cfg or Config(), GRADIENTS[gradient]
     if cache:
@@ -230,13 +268,13 @@ def bgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, c
             p = compute(units, w, g, cfg.aggregation)
             return update(p, w, cfg.alpha(i), cfg), p.n, cfg.alpha(i)
 
-        return _run(stage(d, cfg, units), cfg, one)
+        return _run(stage(d, cfg, units), cfg, one, log)
     finally:
         if cache:
             units.unpersist()
 
 
-def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, batch: int = 1000, sampler: str = "bernoulli", transform=None, fraction: float | None = None, **sampler_options) -> FitResult:
+def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, batch: int = 1000, sampler: str = "bernoulli", transform=None, fraction: float | None = None, log: RunLog | None = None, **sampler_options) -> FitResult:
     """Mini-batch descent. ``units`` hold part_id for the partition samplers.
 
     With ``transform`` the units are raw rows and are transformed after each draw (lazy); else they are transformed
@@ -247,6 +285,7 @@ def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, b
     sample = lazily(units.limit(1))
     d = dimension(sample)
     touched = {"units": 0, "partitions": 0}
+    seek = cursor = None
     if sampler == "bernoulli":
         n = units.count()
         chooser = Bernoulli(fraction if fraction is not None else min(1.0, batch / n), cfg.seed, **sampler_options)
@@ -273,6 +312,7 @@ def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, b
         else:
             chooser = ShuffledPartition(sizes, batch, cfg.seed, **sampler_options)
             made: dict = {}
+            seek, cursor = (lambda at, draws: chooser.seek(units, at, draws)), chooser.cursor
 
             def one(i, w):
                 rows = [r for _, r in chooser.draw_rows(units)]
@@ -285,7 +325,11 @@ def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, b
                     x, y = local(lazily(units.sparkSession.createDataFrame(rows, made["schema"])))
                 return update(compute_local(x, y, w, g), w, cfg.alpha(i), cfg), len(y), cfg.alpha(i)
 
-    out = _run(stage(d, cfg, units if transform is None else sample), cfg, one)
+    try:
+        out = _run(stage(d, cfg, units if transform is None else sample), cfg, one, log, seek, cursor)
+    finally:
+        if isinstance(chooser, ShuffledPartition):
+            chooser.close()
     out.touched = touched
     return out
 
@@ -420,16 +464,16 @@ def bgd_sparse(sparse: DataFrame, gradient: str, cfg: Config, dim: int) -> FitRe
     """Batch descent over sparse units; the margin reads a literal of weights by index, the gradient is keyed."""
     g = GRADIENTS[gradient]
     sparse = sparse.persist()
+    n = sparse.count()
 
     def one(i, w):
-        lit = F.lit([float(x) for x in w])
+        lit = vector(w)
         z = F.aggregate(F.zip_with("idx", "val", lambda j, x: F.when(j < dim, F.element_at(lit, j + 1) * x).otherwise(0.0)), F.lit(0.0), lambda s, x: s + x)
         c = sparse.select("idx", "val", g.coefficient(z, F.col("label")).alias("c"))
         rows = c.select("c", F.explode(F.arrays_zip("idx", "val")).alias("p")).groupBy(F.col("p.idx").alias("j")).agg(F.sum(F.col("c") * F.col("p.val")).alias("g")).collect()
         grad = np.zeros(dim)
         for r in rows:
             grad[r.j] = r.g
-        n = sparse.count()
         return update(Partial(n, 0.0, grad), w, cfg.alpha(i), cfg), n, cfg.alpha(i)
 
     try:

@@ -54,6 +54,32 @@ def partition_catalog(units: DataFrame) -> DataFrame:
     return units.groupBy("part_id").agg(F.count("*").alias("n_units"))
 
 
+def layout_files(units: DataFrame, path: str, parts: int) -> DataFrame:
+    """Writes one file a partition and returns their catalogue (part_id, file, bytes, n_units).
+
+    Folders of partitions cost a listing each; with a catalogue a draw opens the files it names and lists nothing.
+    """
+    # ranges of part_id keep each partition whole; tasks that hold several partitions write a file for each
+    with_parts(units, parts).repartitionByRange(parts, "part_id").write.partitionBy("part_id").parquet(path)
+    rows = units.sparkSession.read.parquet(path)
+    return rows.groupBy("part_id", F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_size").alias("bytes")).agg(F.count("*").alias("n_units"))
+
+
+def catalog_reader(path: str, catalog: DataFrame):
+    """A reader of chosen partitions by the files that a catalogue names, for ``ShuffledPartition(read=...)``.
+
+    The catalogue has a row for each file; it is a table, from which a draw takes the rows of its partitions.
+    """
+    spark = catalog.sparkSession
+    schema = spark.read.parquet(path).schema
+
+    def read(parts: list[int]) -> DataFrame:
+        files = [r.file for r in catalog.where(F.col("part_id").isin(parts)).select("file").collect()]
+        return spark.read.schema(schema).option("basePath", path).parquet(*files)
+
+    return read
+
+
 @dataclass
 class Bernoulli:
     """Scans all units and keeps each with probability ``fraction``; an empty draw is drawn again with another sub-seed."""
@@ -114,6 +140,10 @@ class ShuffledPartition:
 
     What is left of a partition is discarded when it is less than a batch, or with ``carry`` filled up from the next
     partition. After all partitions a new epoch begins with a new shuffle.
+
+    ``mix`` partitions are read and used up together, each in proportion to its size, where partitions are skewed (a
+    layout that follows the label). ``prefetch`` reads the next ones in the background; then two loads are held.
+    ``read`` gives the rows of partitions by other means than a filter on part_id.
     """
 
     sizes: dict[int, int]
@@ -126,6 +156,9 @@ class ShuffledPartition:
     offset: int = 0
     held: list = field(default_factory=list)
     reads: int = 0
+    mix: int = 1
+    prefetch: bool = False
+    read: object = None
 
     def order(self, epoch: int) -> list[int]:
         return sorted(self.sizes, key=lambda p: (py_rank(self.seed, epoch, f"part{p}"), p))
@@ -136,18 +169,59 @@ class ShuffledPartition:
         if all(n < self.size for n in self.sizes.values()):
             self.carry = True
         self._short = min(self.size, sum(self.sizes.values()))
+        self._pool, self._next, self._drawn = None, None, 0
+
+    def _after(self, epoch: int, at: int) -> tuple[int, int]:
+        return (epoch + 1, 0) if at >= len(self.sizes) else (epoch, at)
+
+    def _fetch(self, units: DataFrame, epoch: int, at: int) -> list:
+        """``mix`` partitions from place ``at`` of an epoch's order, each shuffled, dealt by their shares."""
+        from pyspark.sql.window import Window
+
+        parts = self.order(epoch)[at : at + self.mix]
+        rows = self.read(parts) if self.read else units.where(F.col("part_id").isin(parts))
+        rows = rows.withColumn("_r", rank_key(self.seed, epoch, F.col("unit_id")))
+        if len(parts) > 1:
+            size = F.element_at(F.create_map(*(F.lit(v) for p in parts for v in (p, self.sizes[p]))), F.col("part_id"))
+            rows = rows.withColumn("_p", (F.row_number().over(Window.partitionBy("part_id").orderBy("_r", "unit_id")) - 0.5) / size).orderBy("_p", "part_id").drop("_p")
+        else:
+            rows = rows.orderBy("_r", "unit_id")
+        return [(r.part_id, r) for r in rows.drop("_r").collect()]
+
+    def cursor(self) -> tuple[int, int, int]:
+        """(epoch, place after the partitions held, offset in them): where a later run goes on."""
+        return self.epoch, self.at, self.offset
+
+    def seek(self, units: DataFrame, cursor: tuple[int, int, int], draws: int) -> None:
+        """Goes on at a cursor. What is carried over came from partitions before, so with ``carry`` draws are repeated."""
+        if self.carry:
+            for _ in range(draws):
+                self.draw_rows(units)
+            return
+        self.epoch, self.at, self.offset = cursor
+        if self.at:
+            start = (self.at - 1) // self.mix * self.mix
+            self.held = self._fetch(units, self.epoch, start)
 
     def _load(self, units: DataFrame) -> list:
-        """The next partition, shuffled; the scan reads that partition alone."""
-        order = self.order(self.epoch)
-        if self.at >= len(order):
-            self.epoch, self.at = self.epoch + 1, 0
-            order = self.order(self.epoch)
-        part = order[self.at]
-        self.at += 1
-        self.reads += 1
-        rows = units.where(F.col("part_id") == part).withColumn("_r", rank_key(self.seed, self.epoch, F.col("unit_id"))).orderBy("_r", "unit_id").drop("_r")
-        return [(part, r) for r in rows.collect()]
+        """The next partitions, shuffled; the scan reads those alone."""
+        self.epoch, self.at = self._after(self.epoch, self.at)
+        rows = self._next.result() if self._next else self._fetch(units, self.epoch, self.at)
+        taken = min(self.mix, len(self.sizes) - self.at)
+        self.at += taken
+        self.reads += taken
+        if self.prefetch:
+            from concurrent.futures import ThreadPoolExecutor
+
+            self._pool = self._pool or ThreadPoolExecutor(1)
+            self._next = self._pool.submit(self._fetch, units, *self._after(self.epoch, self.at))
+        return rows
+
+    def close(self) -> None:
+        """Waits for a read in the background and drops it."""
+        if self._pool:
+            self._pool.shutdown(wait=True)
+            self._pool = self._next = None
 
     def draw_rows(self, units: DataFrame) -> list:
         """The next batch as (part, row); a partition is the most that is held."""

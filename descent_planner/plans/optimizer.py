@@ -9,10 +9,10 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.descent import ALGORITHMS, Config, FitResult, bgd, dimension, mgd
+from ..operators.descent import ALGORITHMS, Config, FitResult, bgd, dimension, local, mgd
 from ..operators.samplers import with_parts
 from .cost import Data, Env, place_operators, plan_cost
-from .estimate import PRESETS, estimate_iterations, speculate
+from .estimate import PRESETS, estimate_iterations, run_local, speculate, speculate_samplers
 from .space import PlanSpec, enumerate_plans
 
 
@@ -35,6 +35,7 @@ class Request:
     mode: str = "corrected"
     preset: str = "experiment"
     epsilon_given: bool = False
+    per_sampler: bool = False
 
 
 @dataclass
@@ -74,7 +75,7 @@ def choose(req: Request, data: Data, env: Env, iterations: dict[str, int]) -> tu
         raise ValueError(f"no plan has algorithm={req.algorithm}, sampler={req.sampler}, transform={req.transform}")
     rows = []
     for p in plans:
-        need = iterations[p.algorithm]
+        need = iterations.get(f"{p.algorithm}-{p.sampler}") or iterations[p.algorithm]
         t = min(need, req.max_iter) if req.max_iter else need
         row = plan_cost(p, data, req.batch, t, env, req.mode)
         row["violated"] = check_constraints(row, req, need)
@@ -94,7 +95,7 @@ def optimise(units: DataFrame, req: Request, env: Env | None = None, data: Data
     else:
         t = time.monotonic()
         cfg = Config(step=req.step_rule, beta=req.step, norm=req.norm)
-        found = speculate(units, req.gradient, cfg, batch=req.batch, **PRESETS[req.preset])
+        found = (speculate_samplers if req.per_sampler else speculate)(units, req.gradient, cfg, batch=req.batch, **PRESETS[req.preset])
         sampled = time.monotonic() - t
         iterations = {a: estimate_iterations(s.pairs, req.epsilon, None)[0] for a, s in found.items()}
     chosen, rows = choose(req, data, env, iterations)
@@ -130,6 +131,19 @@ def execute(plan: PlanSpec, raw: DataFrame, transform, req: Request, parts: int
         units.unpersist()
 
 
+def run_placed(units: DataFrame, algorithm: str, gradient: str, cfg: Config, batch: int = 1000, data: Data | None = None, env: Env | None = None, parts: int = 8) -> dict:
+    """Runs an algorithm where its data belong: on the driver when they fit one partition, else on the cluster.
+
+    Gives the errors (delta, iteration), iterations, status, seconds and the place.
+    """
+    data, env, began = data or collect_stats(units), env or Env(), time.monotonic()
+    if place_operators(data, batch, env, algorithm != "bgd")["transform"] == "driver":
+        s = run_local(algorithm, *local(units), gradient, cfg, cfg.tolerance, cfg.time_budget or 60.0, batch, max_iter=cfg.max_iter)
+        return {"pairs": s.pairs, "iterations": s.iterations, "status": {"tolerance": "CONVERGED", "cap": "MAX_ITER", "budget": "TIME"}.get(s.stopped_by, "DIVERGED"), "seconds": time.monotonic() - began, "place": "driver"}
+    r = bgd(units, gradient, cfg) if algorithm == "bgd" else mgd(with_parts(units, parts), gradient, cfg, 1 if algorithm == "sgd" else batch, "shuffle")
+    return {"pairs": [(t["delta"], t["iter"]) for t in r.trace if t["delta"]], "iterations": r.iterations, "status": r.status, "seconds": time.monotonic() - began, "place": "cluster"}
+
+
 def run_all_plans(raw: DataFrame, transform, req: Request, parts: int = 8, cfg: Config | None = None) -> list[dict]:
     """Every plan run, for the best and the worst of them."""
     out = []

@@ -301,6 +301,25 @@ def _(spark, sf):
     return spark.createDataFrame([(i, r.unit_id, p) for i in range(1, 31) for p, r in s.draw_rows(u)], "iter int, unit_id long, part_id int")
 
 
+_MIXED = f"""WITH u AS ({_U6}),
+p AS (SELECT part_id, count(*) AS n, (row_number() OVER (ORDER BY {_rank(0, "'part'||part_id")}, part_id) - 1) // 2 AS g FROM u GROUP BY part_id),
+h AS (SELECT g, sum(n) // {BATCH} AS k, coalesce(sum(sum(n) // {BATCH}) OVER (ORDER BY g ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM p GROUP BY g),
+s AS (SELECT unit_id, part_id, g, (row_number() OVER (PARTITION BY part_id ORDER BY {_rank(0, "unit_id")}, unit_id) - 0.5::DOUBLE) / n AS place FROM u JOIN p USING (part_id)),
+r AS (SELECT *, row_number() OVER (PARTITION BY g ORDER BY place, part_id) - 1 AS rn FROM s)
+SELECT (before + rn // {BATCH} + 1)::INT AS iter, unit_id, part_id FROM r JOIN h USING (g) WHERE rn // {BATCH} < k AND before + rn // {BATCH} < 24"""
+
+
+@query("sample_mixed_partition_slices", _MIXED)
+def _(spark, sf):
+    """Batches of which each takes its units from two partitions, the next two being read in the background."""
+    u = _laid(spark, sf)
+    sizes = {r.part_id: r.n_units for r in samplers.partition_catalog(u).collect()}
+    s = samplers.ShuffledPartition(sizes, BATCH, SEED, mix=2, prefetch=True)
+    rows = [(i, r.unit_id, p) for i in range(1, 25) for p, r in s.draw_rows(u)]
+    s.close()
+    return spark.createDataFrame(rows, "iter int, unit_id long, part_id int")
+
+
 query("sample_speculation_1000", f"SELECT o_orderkey AS unit_id FROM orders ORDER BY {_rank(0, 'o_orderkey')}, o_orderkey LIMIT 1000")(lambda spark, sf: samplers.draw_once(tasks.table(spark, sf, "orders").select(F.col("o_orderkey").alias("unit_id")), 1000).select("unit_id"))
 query("partition_catalog", f"SELECT (event_id % {PARTS})::INT AS part_id, count(*) AS n_units FROM events GROUP BY 1")(lambda spark, sf: samplers.partition_catalog(_laid(spark, sf)))
 

@@ -348,3 +348,14 @@ def _stream_sgd(s, sf):
 
 add("stream_sgd", _stream_sgd, f"SELECT round(avg(label*x0), 6) AS w0, round(avg(label*x1), 6) AS w1, round(avg(label*x2), 6) AS w2 FROM ({tasks.W6.sql()})")
 add("stream_stateful_weights", lambda s, sf: streams.replay(s, sf, lambda e: streams.per_user_models(e, "logistic", __import__("descent_planner.operators.descent", fromlist=["Config"]).Config()), _folder(s, "ckpt"), mode="update"))
+
+
+def _late(s, sf):
+    e = t(s, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    late = F.col("event_id") % 20 == 0
+    return _text(streams.late_counts(s, e.where(~late), e.where(late), _folder(s, "late")))
+
+
+_MARKS = "SELECT date_trunc('millisecond', max(ts) FILTER (event_id % 20 <> 0)) - INTERVAL 1 HOUR AS w1, date_trunc('millisecond', max(ts)) - INTERVAL 1 HOUR AS w2 FROM events"
+add("stream_late_data", _late, f"SELECT {_DAY.format(w='d')}, CASE WHEN d + INTERVAL 1 DAY <= w1 THEN on_time ELSE n END AS n FROM (SELECT date_trunc('day', ts) AS d, count(*) AS n, count(*) FILTER (event_id % 20 <> 0) AS on_time FROM events GROUP BY 1), ({_MARKS}) WHERE d + INTERVAL 1 DAY <= greatest(w1, w2)")
+add("stream_stream_interval_join", lambda s, sf: streams.replay(s, sf, streams.followed_within, _folder(s, "ckpt"), mode="append"), "SELECT a.event_id AS first, b.event_id AS second FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")

@@ -50,6 +50,30 @@ def replay(spark: SparkSession, sf_dir: str, make, folder: str, watermark: str =
     return spark.table(name)
 
 
+def late_counts(spark: SparkSession, on_time: DataFrame, late: DataFrame, folder: str, watermark: str = "1 hour") -> DataFrame:
+    """(start, n) of the days that the watermark closes, where ``late`` rows arrive after all ``on_time`` ones.
+
+    The query stops between the two arrivals and is started again over the same checkpoint, so that the second one meets
+    the watermark of the first: what belongs to a closed day is dropped.
+    """
+    source, sink = f"{folder}/in", f"{folder}/out"
+    schema = on_time.select("event_id", "ts").schema
+    for rows in (on_time, late):
+        rows.select("event_id", "ts").write.mode("append").parquet(source)
+        days = spark.readStream.schema(schema).parquet(source).withWatermark("ts", watermark).groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+        q = days.select(F.col("w.start").alias("start"), "n").writeStream.format("parquet").outputMode("append").option("checkpointLocation", f"{folder}/ckpt").trigger(availableNow=True).start(sink)
+        q.awaitTermination()
+    return spark.read.parquet(sink)
+
+
+def followed_within(events: DataFrame, span: str = "1 hour") -> DataFrame:
+    """(first, second): a user's events and those that follow them within ``span``; the watermarks bound the state."""
+    a = events.select(F.col("event_id").alias("first"), "user_id", F.col("ts").alias("at"))
+    b = events.select(F.col("event_id").alias("second"), F.col("user_id").alias("who"), F.col("ts").alias("then"))
+    near = (F.col("user_id") == F.col("who")) & (F.col("then") > F.col("at")) & (F.col("then") <= F.col("at") + F.expr(f"INTERVAL {span}"))
+    return a.join(b, near).select("first", "second")
+
+
 def _is_folder(spark: SparkSession, path: str) -> bool:
     p = spark._jvm.org.apache.hadoop.fs.Path(path)
     return p.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(p).isDirectory()
