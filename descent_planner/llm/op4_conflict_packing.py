@@ -1,5 +1,8 @@
 """Best-fit packing of documents into bins of ``CAPACITY`` tokens under conflicts.
 
+Tokens are the ids of op6's encoder (``n_ids``), and bins are filled by them; ``n_tokens`` counts the words between
+white space that start in a piece, which says nothing of its size.
+
 A bin never holds two documents of one source, nor two of one duplicate cluster: it carries a bitmap of each. Bins
 are ordered by residual space. A document takes the bin of least residual that fits; where that one conflicts, the
 search goes to its successor until a bin is compatible, and opens a bin where none is.
@@ -7,13 +10,14 @@ search goes to its successor until a bin is compatible, and opens a bin where no
 Documents longer than a bin are cut: their full pieces fill bins of their own, and the rest is packed as one piece.
 Rows are dealt out by a hash of id and cluster-free salt into groups of about ``GROUP_ROWS``, each packed by itself,
 longest first and ties by id; so a hot source or cluster is spread and no task gets more than its groups. Every row
-is placed. Null lengths count as 0; pieces of no tokens take a place in a bin as any other. A null source or
+is placed. Null lengths count as 0; pieces of no ids take a place in a bin as any other. A null source or
 cluster conflicts with nothing. Repeated rows are rows of their own; bins are numbered within their group.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 from bisect import bisect_left, insort
 from collections.abc import Iterator
 
@@ -22,10 +26,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import over_batches
+from .bpe import tree_encoder, vocabulary
+from .op6_bpe_codec import PIECE_BYTES, _tokenizer_path
+from .shared import over_batches, pieces
 
 CAPACITY = 2048
 GROUP_ROWS = 2_000
+_WORD = re.compile(r"\S+")
 
 
 class Bins:
@@ -101,14 +108,14 @@ def pack_group(rows: list[tuple], capacity: int) -> list[tuple[int, int, int, in
     return out
 
 
-PACKED = "doc_id long, piece int, shard long, bin long, n_tokens long, source string, cluster long"
+PACKED = "doc_id long, piece int, shard long, bin long, n_tokens long, source string, cluster long, n_ids long"
 
 
 def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROWS) -> DataFrame:
-    """Packs (doc_id, n_tokens, source, cluster); the bins are named by (shard, bin)."""
-    items = items.select(F.col("doc_id").cast("long").alias("doc_id"), F.greatest(F.coalesce(F.col("n_tokens").cast("long"), F.lit(0)), F.lit(0)).alias("n_tokens"), F.col("source").cast("string").alias("source"), F.col("cluster").cast("long").alias("cluster"))
+    """Packs (doc_id, n_ids, source, cluster, words) by n_ids; the bins are named by (shard, bin). ``words`` are the words of each piece."""
+    items = items.select(F.col("doc_id").cast("long").alias("doc_id"), F.greatest(F.coalesce(F.col("n_ids").cast("long"), F.lit(0)), F.lit(0)).alias("n_ids"), F.col("source").cast("string").alias("source"), F.col("cluster").cast("long").alias("cluster"), F.col("words").cast("array<long>").alias("words"))
     groups = max(1, round(items.count() / group_rows))
-    dealt = items.withColumn("shard", F.pmod(F.xxhash64("doc_id", "n_tokens", "source", F.lit(11)), F.lit(groups))).repartition("shard").sortWithinPartitions("shard", "doc_id", "n_tokens", "source", "cluster")
+    dealt = items.withColumn("shard", F.pmod(F.xxhash64("doc_id", "n_ids", "source", F.lit(11)), F.lit(groups))).repartition("shard").sortWithinPartitions("shard", "doc_id", "n_ids", "source", "cluster", "words")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
@@ -117,13 +124,14 @@ def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROW
         def flush() -> pa.RecordBatch:
             found = pack_group([x[:4] for x in held], capacity)
             own = [held[i] for i, _, _, _ in found]
+            words = [x[4][f[1]] for x, f in zip(own, found, strict=True)]
             return pa.RecordBatch.from_arrays(
-                [pa.array([x[0] for x in own], pa.int64()), pa.array([f[1] for f in found], pa.int32()), pa.array(np.full(len(found), shard)), pa.array([f[2] for f in found], pa.int64()), pa.array([f[3] for f in found], pa.int64()), pa.array([x[2] for x in own], pa.string()), pa.array([x[3] for x in own], pa.int64())],
-                ["doc_id", "piece", "shard", "bin", "n_tokens", "source", "cluster"],
+                [pa.array([x[0] for x in own], pa.int64()), pa.array([f[1] for f in found], pa.int32()), pa.array(np.full(len(found), shard)), pa.array([f[2] for f in found], pa.int64()), pa.array(words, pa.int64()), pa.array([x[2] for x in own], pa.string()), pa.array([x[3] for x in own], pa.int64()), pa.array([f[3] for f in found], pa.int64())],
+                ["doc_id", "piece", "shard", "bin", "n_tokens", "source", "cluster", "n_ids"],
             )
 
         for b in batches:
-            for *row, s in zip(*(b.column(i).to_pylist() for i in range(5)), strict=True):
+            for *row, s in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
                 if s != shard and held:
                     yield flush()
                     held.clear()
@@ -135,21 +143,40 @@ def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROW
     return dealt.mapInArrow(run, PACKED)
 
 
-def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """(doc_id, n_tokens, source, cluster): tokens are words between white space, the cluster is a hash of the lower-case words (null for none)."""
+def words_of_pieces(text: str, lengths: np.ndarray, capacity: int) -> list[int]:
+    """How many words start in each piece of ``capacity`` ids, of which ``lengths`` has the bytes."""
+    if len(lengths) <= capacity:
+        return [len(text.split())]
+    points = np.frombuffer(text.encode("utf-32-le"), dtype=np.uint32)
+    size = 1 + (points > 0x7F) + (points > 0x7FF) + (points > 0xFFFF)
+    at = (np.cumsum(size) - size)[[m.start() for m in _WORD.finditer(text)]]
+    ends = np.cumsum(lengths)[capacity - 1 :: capacity]
+    return np.bincount(np.searchsorted(ends, at, "right"), minlength=-(-len(lengths) // capacity)).tolist()
+
+
+def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", capacity: int = CAPACITY) -> DataFrame:
+    """(doc_id, n_ids, source, cluster, words): ids are those of op6's encoder, ``words`` the words between white space of each piece, the cluster is a hash of the lower-case words (null for none)."""
+    path = _tokenizer_path()
 
     def make():
+        encoder, vocab = tree_encoder(path), vocabulary(path)
+
         def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-            sizes, clusters = [], []
-            for text in batch.column(1).to_pylist():
-                words = (text or "").lower().split()
-                sizes.append(len(words))
-                clusters.append(int.from_bytes(hashlib.blake2b(" ".join(words).encode(), digest_size=8).digest(), "little", signed=True) if words else None)
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), batch.column(2), pa.array(clusters, pa.int64())], ["doc_id", "n_tokens", "source", "cluster"])
+            sizes, words, clusters = [], [], []
+            for part in pieces(batch, "text", PIECE_BYTES):
+                texts = part.column(1).to_pylist()
+                ids, n = encoder(texts)
+                sizes.append(n)
+                ends = np.cumsum(n)
+                for text, a, b in zip(texts, (ends - n).tolist(), ends.tolist(), strict=True):
+                    words.append(words_of_pieces(text or "", vocab.lengths[ids[a:b]], capacity))
+                    low = (text or "").lower().split()
+                    clusters.append(int.from_bytes(hashlib.blake2b(" ".join(low).encode(), digest_size=8).digest(), "little", signed=True) if low else None)
+            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(sizes).astype(np.int64)), batch.column(2), pa.array(clusters, pa.int64()), pa.array(words, pa.list_(pa.int64()))], ["doc_id", "n_ids", "source", "cluster", "words"])
 
         return each
 
-    return over_batches(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(source_col).cast("string").alias("source")), make, "doc_id long, n_tokens long, source string, cluster long")
+    return over_batches(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(source_col).cast("string").alias("source")), make, "doc_id long, n_ids long, source string, cluster long, words array<long>")
 
 
 def op4_conflict_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,6 +5,7 @@ import duckdb
 import pytest
 
 from descent_planner.llm import op4_conflict_packing as op4
+from descent_planner.llm import op6_bpe_codec as op6
 from descent_planner.llm import op8_site_lines as op8
 
 from . import edge
@@ -73,6 +74,24 @@ def test_op4(spark, sf, tmp_path, edges):
     assert max(bins.values()) <= op4.CAPACITY
 
 
+def test_op4_sizes_are_the_encoders(spark, tmp_path):
+    """Texts without spaces are cut and fill bins by their ids; words are counted once over the pieces."""
+    texts = ["漢字仮名交じり文" * 3000, "QUJDREVGR0hJSktMTU5PUFFSU1RVVldYWVo=" * 400, "wörd two  three\n" * 3000, "one 日本", "a", None, " "]
+    folder = edge.tables(spark, tmp_path, texts)
+    want = {r.doc_id: r.n_tokens for r in op6.op6_bpe_codec(spark, folder).collect()}
+    ids, words, bins, pieces = defaultdict(int), defaultdict(int), defaultdict(int), defaultdict(list)
+    for r in op4.op4_conflict_packing(spark, folder).collect():
+        ids[r.doc_id] += r.n_ids
+        words[r.doc_id] += r.n_tokens
+        bins[r.shard, r.bin] += r.n_ids
+        pieces[r.doc_id].append(r.piece)
+    assert dict(ids) == want and max(bins.values()) <= op4.CAPACITY
+    assert dict(words) == {i: len((t or "").split()) for i, t in enumerate(texts)}
+    for i, n in want.items():
+        assert sorted(pieces[i]) == list(range(max(1, -(-n // op4.CAPACITY))))
+    assert all(want[i] > op4.CAPACITY for i in range(3))
+
+
 def test_op4_empty(spark, tmp_path):
     assert op4.op4_conflict_packing(spark, edge.tables(spark, tmp_path, [])).count() == 0
 
