@@ -37,8 +37,11 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Packs all documents into bins in which no source and no duplicate cluster comes twice."""
-    return op4_conflict_packing.pack(saved(op4_conflict_packing.measured(docs), "measured"))
+    """Packs all documents into bins in which no source and no cluster of near copies comes twice.
+
+    Clusters are looked for anew, since the redaction may have made near copies.
+    """
+    return op4_conflict_packing.pack(op4_conflict_packing.clustered(docs))
 
 
 def _measured(docs: DataFrame) -> DataFrame:

@@ -3,7 +3,9 @@
 Tokens are the ids of op6's encoder (``n_ids``), and bins are filled by them; ``n_tokens`` counts the words between
 white space that start in a piece, which says nothing of its size.
 
-A bin never holds two documents of one source, nor two of one duplicate cluster: it carries a bitmap of each. Bins
+A bin never holds two documents of one source, nor two of one duplicate cluster: it carries a bitmap of each. A
+cluster is a component of op7's near copies (``CORPUS``: 5 words, 0.8) over lower-case words between white space;
+texts without words have none. Bins
 are ordered by residual space. A document takes the bin of least residual that fits; where that one conflicts, the
 search goes to its successor until a bin is compatible, and opens a bin where none is.
 
@@ -16,7 +18,6 @@ cluster conflicts with nothing. Repeated rows are rows of their own; bins are nu
 
 from __future__ import annotations
 
-import hashlib
 import re
 from bisect import bisect_left, insort
 from collections.abc import Iterator
@@ -28,7 +29,8 @@ from pyspark.sql import functions as F
 
 from .bpe import tree_encoder, vocabulary
 from .op6_bpe_codec import PIECE_BYTES, _tokenizer_path
-from .shared import over_batches, pieces
+from .op7_near_duplicates import CORPUS, set_components, set_keys, shingle_sets
+from .shared import over_batches, pieces, saved
 
 CAPACITY = 2048
 GROUP_ROWS = 2_000
@@ -155,34 +157,41 @@ def words_of_pieces(text: str, lengths: np.ndarray, capacity: int) -> list[int]:
 
 
 def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", capacity: int = CAPACITY) -> DataFrame:
-    """(doc_id, n_ids, source, cluster, words): ids are those of op6's encoder, ``words`` the words between white space of each piece, the cluster is a hash of the lower-case words (null for none)."""
+    """(doc_id, n_ids, source, words, set_key, text): ids are those of op6's encoder, ``words`` the words between white space of each piece, ``text`` the lower-case words and ``set_key`` op7's hash of their shingles."""
     path = _tokenizer_path()
 
     def make():
         encoder, vocab = tree_encoder(path), vocabulary(path)
 
         def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-            sizes, words, clusters = [], [], []
+            sizes, words, keys, lows = [], [], [], []
             for part in pieces(batch, "text", PIECE_BYTES):
                 texts = part.column(1).to_pylist()
                 ids, n = encoder(texts)
                 sizes.append(n)
                 ends = np.cumsum(n)
-                for text, a, b in zip(texts, (ends - n).tolist(), ends.tolist(), strict=True):
-                    words.append(words_of_pieces(text or "", vocab.lengths[ids[a:b]], capacity))
-                    low = (text or "").lower().split()
-                    clusters.append(int.from_bytes(hashlib.blake2b(" ".join(low).encode(), digest_size=8).digest(), "little", signed=True) if low else None)
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(sizes).astype(np.int64)), batch.column(2), pa.array(clusters, pa.int64()), pa.array(words, pa.list_(pa.int64()))], ["doc_id", "n_ids", "source", "cluster", "words"])
+                words += [words_of_pieces(text or "", vocab.lengths[ids[a:b]], capacity) for text, a, b in zip(texts, (ends - n).tolist(), ends.tolist(), strict=True)]
+                low = [" ".join((text or "").lower().split()) for text in texts]
+                keys += set_keys(*shingle_sets(low, CORPUS.shingle))
+                lows += low
+            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(sizes).astype(np.int64)), batch.column(2), pa.array(words, pa.list_(pa.int64())), pa.array(keys, pa.binary()), pa.array(lows, pa.string())], ["doc_id", "n_ids", "source", "words", "set_key", "text"])
 
         return each
 
-    return over_batches(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(source_col).cast("string").alias("source")), make, "doc_id long, n_ids long, source string, cluster long, words array<long>")
+    return over_batches(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(source_col).cast("string").alias("source")), make, "doc_id long, n_ids long, source string, words array<long>, set_key binary, text string")
 
 
-def op4_conflict_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from .shared import saved
+def clustered(docs: DataFrame) -> DataFrame:
+    """What ``pack`` takes: the measures of ``docs`` and the cluster of each row (null without words)."""
+    rows = saved(measured(docs), "measured")
+    _, named = set_components(rows, CORPUS)
+    # sets that only rows without an id have are known by their hash
+    cluster = F.when(F.col("set_key").isNotNull(), F.coalesce("comp", F.xxhash64("set_key")))
+    return saved(rows.drop("text").join(named.hint("merge"), "set_key", "left").select("doc_id", "n_ids", "source", cluster.alias("cluster"), "words"), "clustered")
+
 
-    return pack(saved(measured(spark.read.parquet(f"{sf_dir}/documents.parquet")), "measured"))
+def op4_conflict_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(clustered(spark.read.parquet(f"{sf_dir}/documents.parquet")))
 
 
 QUERIES = {"op4_conflict_packing": op4_conflict_packing}

@@ -76,6 +76,12 @@ def shingle_sets(texts: list[str | None], size: int) -> tuple[np.ndarray, np.nda
     return out[keep], np.bincount(owner[keep], minlength=len(texts))
 
 
+def set_keys(elements: np.ndarray, sizes: np.ndarray) -> list[bytes | None]:
+    """A hash of each set; None for an empty one."""
+    data = elements.tobytes()
+    return [hashlib.blake2b(data[8 * (e - k) : 8 * e], digest_size=16).digest() if k else None for e, k in zip(np.cumsum(sizes).tolist(), sizes.tolist(), strict=True)]
+
+
 def sketches(elements: np.ndarray, sizes: np.ndarray, t: int) -> np.ndarray:
     """A row of t coordinates for each set; rows of empty sets are all ones."""
     n = len(sizes)
@@ -133,9 +139,7 @@ def sketched(docs: DataFrame, p: Params) -> DataFrame:
             sizes, keys, made = [], [], []
             for part in pieces(b, "text", PIECE_BYTES):
                 elements, n = shingle_sets(part.column(1).to_pylist(), shingle)
-                ends = np.cumsum(n)
-                data = elements.tobytes()
-                keys += [hashlib.blake2b(data[8 * (e - k) : 8 * e], digest_size=16).digest() if k else None for e, k in zip(ends.tolist(), n.tolist(), strict=True)]
+                keys += set_keys(elements, n)
                 sizes.append(n)
                 made.append(band_keys(sketches(elements, n, bands * rows), bands, rows))
             flat = np.concatenate(made).reshape(-1)
@@ -264,8 +268,8 @@ def components(edges: DataFrame, name: str) -> DataFrame:
         labels = new.select("id", "comp")
 
 
-def near_duplicates(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept)."""
+def set_components(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n_shingles, set_key) of each row, and (set_key, comp) of each different set."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     rows = saved(sketched(docs, p), "near-sketches")
     classes = saved(rows.where("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "near-classes")
@@ -316,7 +320,13 @@ def near_duplicates(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col
         comps = components(links, "near")
 
     named = classes.join(comps.withColumnRenamed("id", "rep").hint("merge"), "rep", "left").select("set_key", F.coalesce("comp", "rep").alias("comp"))
-    out = rows.select("doc_id", "n_shingles", "set_key").join(named.hint("merge"), "set_key", "left")
+    return rows.select("doc_id", "n_shingles", "set_key"), named
+
+
+def near_duplicates(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept)."""
+    rows, named = set_components(docs, p, id_col, text_col)
+    out = rows.join(named.hint("merge"), "set_key", "left")
     return out.select("doc_id", "n_shingles", F.coalesce("comp", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
 
 

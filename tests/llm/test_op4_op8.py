@@ -92,6 +92,27 @@ def test_op4_sizes_are_the_encoders(spark, tmp_path):
     assert all(want[i] > op4.CAPACITY for i in range(3))
 
 
+def test_op4_near_copies_conflict(spark, tmp_path):
+    """Near copies of different or no sources are one cluster and never share a bin; so are copies but for case and spaces."""
+    rng = random.Random(3)
+    texts = []
+    for _ in range(5):
+        words = [f"w{rng.randrange(10**6)}" for _ in range(80)]
+        for k in range(6):
+            own = words.copy()
+            own[k * 13] = "edited"
+            texts.append(" ".join(own))
+    texts += ["ÄRGER im Büro", "ärger\u3000im büro", "ärger im\xa0BÜRO"]
+    rows = [(i, t, None if i % 3 == 0 else f"s{i}") for i, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    clusters, bins = defaultdict(set), defaultdict(list)
+    for r in op4.op4_conflict_packing(spark, str(tmp_path)).collect():
+        clusters[min(r.doc_id // 6, 5)].add(r.cluster)
+        bins[r.shard, r.bin].append(r.cluster)
+    assert [clusters[k] for k in range(6)] == [{6 * k} for k in range(6)]
+    assert all(len(set(b)) == len(b) for b in bins.values())
+
+
 def test_op4_empty(spark, tmp_path):
     assert op4.op4_conflict_packing(spark, edge.tables(spark, tmp_path, [])).count() == 0
 
