@@ -2,7 +2,7 @@
 
 Equal vectors are one node with its smallest ids. Nodes are dealt into shards of about ``SHARD_NODES`` by a hash.
 Largest inner product becomes least distance by one more coordinate that gives all nodes of a shard the same
-length. A shard's graph grows in batches that double: a beam search over the graph so far proposes neighbours of
+length; graphs are built in double precision. A shard's graph grows in batches that double: a beam search over the graph so far proposes neighbours of
 each new node; robust pruning keeps the nearest candidate and drops those that are nearer to it, by the factor
 ``RELAX``, than to the node, up to ``DEGREE`` times; edges are answered by reverse edges, and nodes of too many are
 pruned again. Searches of a batch run side by side as array operations.
@@ -44,7 +44,7 @@ def beam_search(v: np.ndarray, half: np.ndarray, graph: np.ndarray, entries: np.
     """
     b, n, e = len(q), len(v), len(entries)
     ids = np.full((b, beam), -1, dtype=np.int64)
-    dist = np.full((b, beam), np.inf, dtype=np.float32)
+    dist = np.full((b, beam), np.inf, dtype=v.dtype)
     opened = np.zeros((b, beam), dtype=bool)
     seen = np.zeros((b, n + 1), dtype=bool)
     seen[:, n] = True  # stands for no node
@@ -73,7 +73,7 @@ def beam_search(v: np.ndarray, half: np.ndarray, graph: np.ndarray, entries: np.
         row, col = np.nonzero(near < n)
         node = near[row, col]
         seen[live[row], node] = True
-        d = np.full(near.shape, np.inf, dtype=np.float32)
+        d = np.full(near.shape, np.inf, dtype=v.dtype)
         d[row, col] = half[node] - np.einsum("ij,ij->i", v[node], q[live[row]])
         near[near == n] = -1
         all_d = np.concatenate([dist[live], d], axis=1)
@@ -87,8 +87,8 @@ def beam_search(v: np.ndarray, half: np.ndarray, graph: np.ndarray, entries: np.
 def robust_prune(v: np.ndarray, nodes: np.ndarray, candidates: np.ndarray, degree: int, relax: float) -> np.ndarray:
     """Diverse neighbours of each node among its row of candidates (-1 fills up)."""
     out = np.full((len(nodes), degree), -1, dtype=np.int64)
-    for at in range(0, len(nodes), 256):
-        own, cand = nodes[at : at + 256], np.sort(candidates[at : at + 256], axis=1)
+    for at in range(0, len(nodes), 128):
+        own, cand = nodes[at : at + 128], np.sort(candidates[at : at + 128], axis=1)
         cand[:, 1:][cand[:, 1:] == cand[:, :-1]] = -1
         cand[cand == own[:, None]] = -1
         alive = cand >= 0
@@ -113,8 +113,12 @@ def build_graph(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(neighbours of each node, entry nodes) over vectors whose inner product is to be large."""
     n = len(vectors)
     sq = (vectors.astype(np.float64) ** 2).sum(axis=1)
-    v = np.concatenate([vectors, np.sqrt(np.maximum(sq.max() - sq, 0))[:, None]], axis=1).astype(np.float32)
-    half = np.full(n, sq.max() / 2, dtype=np.float32)
+    # the further coordinate is measured from that of the shortest vector, which leaves distances as they are: one
+    # long vector then doesn't swamp the products of the short ones
+    further = np.sqrt(np.maximum(sq.max() - sq, 0))
+    lift = (sq - sq.min()) / np.maximum(further + further.max(), np.finfo(np.float64).tiny)
+    v = np.concatenate([vectors.astype(np.float64), lift[:, None]], axis=1)
+    half = (v * v).sum(axis=1) / 2
     graph = np.full((n, DEGREE), -1, dtype=np.int64)
     # in hashed order, so that the input's order doesn't shape the graph; the first few are all entries
     order = np.argsort((np.arange(n, dtype=np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15), kind="stable")

@@ -1,5 +1,6 @@
 import numpy as np
 import pytest
+from pyspark.sql import Row
 
 from descent_planner.llm import op9_pruned_graph as op9
 
@@ -48,6 +49,24 @@ def test_recall_over_shards_of_random_vectors(spark, tmp_path, monkeypatch, scal
     assert recall(op9.op9_pruned_graph(spark, str(tmp_path)).collect(), exact(ids, x.astype(np.float64))) >= 0.94
 
 
+@pytest.mark.parametrize("norm", [1e4, 1e7])
+def test_one_long_vector_spoils_no_shard(norm):
+    rng = np.random.default_rng(7)
+    x = rng.normal(size=(2000, 32))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    x[777] *= norm
+    graph, entries = op9.build_graph(x)
+    ids = np.arange(len(x))
+    index = (x, x.astype(np.float32), np.zeros(len(x), dtype=np.float32), graph, entries, ids, ids + 1)
+    q, vec, score = op9.search_shard(index, ids[::20], x[::20], 20)
+    rows = [Row(query_id=i, rank=k % 20 + 1, vec_id=v, score=s) for k, (i, v, s) in enumerate(zip(q.tolist(), vec.tolist(), score.tolist(), strict=True))]
+    assert recall(rows, exact(ids, x)) >= 0.95
+    # the others keep as many neighbours as they have without it
+    rest = np.delete(ids, 777)
+    other, _ = op9.build_graph(x[rest])
+    assert abs((graph[rest] >= 0).sum(axis=1).mean() - (other >= 0).sum(axis=1).mean()) < 2
+
+
 def test_edges(spark, tmp_path):
     bad = [None, [], [0.0, 0.0], [1.0, None], [float("nan"), 1.0], [float("inf"), 1.0], [1.0, 2.0, 3.0]]
     rows = [(i, v) for i, v in enumerate(bad)] + [(i, [1.0, 1.0]) for i in range(20, 70)] + [(80, [2.0, 0.0]), (81, [0.0, 1.0])]
