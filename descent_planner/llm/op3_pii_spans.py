@@ -49,8 +49,8 @@ DIGIT_NAMES = (
 )
 DIGIT_OF = {name: str(d) for d, names in enumerate(DIGIT_NAMES) for name in names.split()}
 
-# Endings that a host spelled with bare words must have.
-ENDINGS = "com org net edu gov mil int info biz io ai co uk us de fr es it nl eu ch at be pt pl se no dk fi ru cn jp br mx ar ca au nz za example test"
+# Words that stand before a dot in plain speech ("at the dot in"), so that they are no host.
+NO_HOST = "the a an this that these those each every any one no my your his her its our their which what last first next"
 
 # The @ with its local part is looked up from the @ on, so that long runs of its letters cost one pass.
 _DOMAIN = re.compile(r"@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]+)++")
@@ -178,8 +178,12 @@ def _rules() -> tuple:
     token = re.compile(r"\w+|[^\w]+")
     box_at = re.compile(r"(?<!\s)\s*[(\[{<]\s*(?:at|@)\s*[)\]}>]\s*", re.I)
     box_dot = re.compile(r"(?<!\s)\s*[(\[{<]\s*(?:dot|point|punkt|punto|\.)\s*[)\]}>]\s*", re.I)
-    # bare words count only in the whole shape: name at host dot ending
-    bare = re.compile(rf"(?<=[A-Za-z0-9])(?:\s+|_|-)at(?:\s+|_|-)(?=[A-Za-z0-9-]+(?:(?:\s+|_|-)dot(?:\s+|_|-)[A-Za-z0-9-]+)*(?:\s+|_|-)dot(?:\s+|_|-)(?:{'|'.join(ENDINGS.split())})\b)", re.I)
+    # any digit groups and names in a row, of which one adjoins the other
+    sep = r"(?:[ ,.()-]{1,3})"
+    item = rf"(?:{names}|[0-9]++)"
+    wide = re.compile(rf"(?<!\w)(?:plus{sep})?{item}(?:{sep}(?:{point}{sep})?{item})++(?!\w)", re.I)
+    # bare words count only in the whole shape: name at host dot ending, whatever the ending
+    bare = re.compile(rf"(?<=[A-Za-z0-9])(?:\s+|_|-)at(?:\s+|_|-)(?!(?:{'|'.join(NO_HOST.split())})\b)(?=[A-Za-z0-9-]+(?:(?:\s+|_|-)dot(?:\s+|_|-)[A-Za-z0-9-]+)*(?:\s+|_|-)dot(?:\s+|_|-)[A-Za-z]{{2,}}\b)", re.I)
     mixed = re.compile(r"(?<=[A-Za-z0-9])(?:\s+|_|-)dot(?:\s+|_|-)(?=[A-Za-z0-9])", re.I)
 
     def digits(m: re.Match) -> str | None:
@@ -189,7 +193,17 @@ def _rules() -> tuple:
         # separators vanish, but a spelled point is one
         return "".join(DIGIT_OF.get(w, w if w.isdigit() else {"plus": "+"}.get(w, "." if w in ("dot", "point", "punkt", "punto") else "")) for w in words if w[0].isalnum())
 
-    return odd, lambda m: letters.get(ord(m[0]), ""), spelled, digits, box_at, box_dot, bare, mixed
+    def group(dots: bool):
+        def to(m: re.Match) -> str | None:
+            words = token.findall(m[0].lower())
+            if not any(w in DIGIT_OF for w in words):
+                return None
+            # with ``dots`` a single point between two groups stays, as in an address
+            return "".join(DIGIT_OF.get(w, w if w[0].isdigit() else {"plus": "+", "dot": ".", "point": ".", "punkt": ".", "punto": "."}.get(w, "." if dots and w == "." else "")) for w in words)
+
+        return to
+
+    return odd, lambda m: letters.get(ord(m[0]), ""), ((spelled, digits), (wide, group(False)), (wide, group(True))), box_at, box_dot, bare, mixed
 
 
 #: Quick signs that a transducer has anything to do.
@@ -208,35 +222,60 @@ def _names_in(low: str) -> int:
     return sum(map(DIGIT_OF.__contains__, words))
 
 
+#: A group of digits, from which a name of a digit is looked for on both sides.
+_GROUP = re.compile("[0-9]+")
+
+
+@lru_cache(maxsize=1)
+def _beside() -> tuple[re.Pattern, re.Pattern]:
+    names = "|".join(sorted(DIGIT_OF, key=len, reverse=True))
+    sep = "[ ,.()-]{1,3}"
+    point = rf"(?:(?:dot|point|punkt|punto){sep})?"
+    return re.compile(rf"{sep}{point}(?:{names})(?!\w)", re.I), re.compile(rf"(?<!\w)(?:{names}){sep}{point}\Z", re.I)
+
+
+def _adjoins(text: str) -> bool:
+    """Whether a name of a digit stands beside a group of digits."""
+    after, before = _beside()
+    return any(after.match(text, m.end()) or before.search(text[max(0, m.start() - 24) : m.start()]) for m in _GROUP.finditer(text))
+
+
 def added_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Spans of disguised identifiers, in source offsets."""
-    odd, letter, spelled, digits, box_at, box_dot, bare, mixed = _rules()
+    odd, letter, runs, box_at, box_dot, bare, mixed = _rules()
     has_odd = not text.isascii() and odd.search(text) is not None
     low = text.lower()
     has_sign = ("dot" in low or any(c in text for c in "([{<")) and _SIGN.search(text) is not None
     # names of look-alike letters show only after the first transducer
-    has_spelled = has_odd or _names_in(low) >= 2 and _spelled_sign().search(text) is not None
+    named = _names_in(low.replace("(", " ").replace(")", " "))
+    has_spelled = has_odd or named >= 2 and _spelled_sign().search(text) is not None or named >= 1 and _adjoins(text)
     if not (has_odd or has_sign or has_spelled):
         return []
-    r = Rewritten(text)
-    if has_odd:
-        r.apply(odd, letter)
-        has_sign = has_sign or _SIGN.search(r.text) is not None
-    if has_spelled:
-        r.apply(spelled, digits)
-    if has_sign:
-        r.apply(box_at, lambda m: "@")
-        r.apply(bare, lambda m: "@")
-        r.apply(box_dot, lambda m: ".")
-        # a bare dot counts within what follows an @
-        r.apply(re.compile(rf"(?<=@)[A-Za-z0-9-]+(?:(?:{mixed.pattern})[A-Za-z0-9-]+)+", re.I), lambda m: mixed.sub(".", m[0]))
     known = {(a, k, b) for a, k, b in base}
     out = set()
-    for a, kind, b in base_spans(r.text):
-        s, e = r.source(a, b)
-        # a changed character, or hidden ones that left
-        if (r.changed.find(b"\1", a, b) >= 0 or e - s != b - a) and (s, kind, e) not in known:
-            out.add((s, kind, e))
+    # each way of reading runs of digits stands for itself, and what any of them shows counts
+    for run in runs if has_spelled else (None,):
+        r = Rewritten(text)
+        sign = has_sign
+        if has_odd:
+            r.apply(odd, letter)
+            sign = sign or _SIGN.search(r.text) is not None
+        if run:
+            before = r.text
+            r.apply(*run)
+            if run is not runs[0] and r.text == before:
+                continue
+        if sign:
+            r.apply(box_at, lambda m: "@")
+            r.apply(bare, lambda m: "@")
+            r.apply(box_dot, lambda m: ".")
+            # a bare dot counts within what follows an @
+            r.apply(re.compile(rf"(?<=@)[A-Za-z0-9-]+(?:(?:{mixed.pattern})[A-Za-z0-9-]+)+", re.I), lambda m: mixed.sub(".", m[0]))
+        for a, kind, b in base_spans(r.text):
+            s, e = r.source(a, b)
+            # a changed character, or hidden ones that left
+            if (r.changed.find(b"\1", a, b) >= 0 or e - s != b - a) and (s, kind, e) not in known:
+                out.add((s, kind, e))
     return sorted(out)
 
 

@@ -54,6 +54,24 @@ def test_disguises():
         assert (kind, span) in found(text), text
 
 
+def test_partly_disguised():
+    for text, kind, span in [
+        ("call +1 four one five 555 0123 now", "phone", "+1 four one five 555 0123"),
+        ("call +1 (four one five) 555 0123 now", "phone", "+1 (four one five) 555 0123"),
+        ("host 192.168.one.two is up", "ip", "192.168.one.two"),
+        ("host 192 dot 168 dot 1 dot two is up", "ip", "192 dot 168 dot 1 dot two"),
+        ("card 4111 1111 1111 111 one ok", "card", "4111 1111 1111 111 one"),
+        ("mail jane at firma dot cz today", "email", "jane at firma dot cz"),
+        ("mail jane at mail dot firma dot photography", "email", "jane at mail dot firma dot photography"),
+    ]:
+        assert (kind, span) in found(text), text
+    for text in ["room 12, one door", "chapter 3 one page, 2 two", "it looked at the dot matrix", "in 2019 one of 4 won", "we met at example.com"]:
+        assert found(text) == [], text
+    assert op3.redacted("at 192.168.one.two or +1 four one five 555 0123.") == "at <IP> or <PHONE>."
+    for text in ["1 one " * 50_000, "1.one." * 50_000, "one(" * 50_000, "1 " * 150_000 + "one"]:
+        op3.added_spans(text, [])
+
+
 def test_clean_texts_stay():
     for text in ["meet me at the dot in one two three steps", "look at example com, one dot two", "Привет, это обычный текст 12", "array[at] (dot) product", "un deux trois, partez"]:
         assert found(text) == [] and op3.redacted(text) == text
