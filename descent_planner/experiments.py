@@ -255,15 +255,14 @@ _effects("x13_samplers_sgd", ("sgd",), lambda r: True)
 _effects("x14_transform_random", ("mgd", "sgd"), lambda r: r["sampler"] == "random")
 
 
-@experiment("x15_curve_fits", "task string, step string, actual int, pairs int, inverse long, step_aware long, power long")
+@experiment("x15_curve_fits", "task string, step string, actual int, pairs int, inverse long, step_aware long, power long, status string")
 def x15(spark, sf):
-    """Predicted and needed iterations by step rule. The whole of a set is run on the driver, where it fits a partition."""
+    """Predicted and needed iterations by step rule. The whole of a set is run, on the driver where it fits a partition, else on the cluster."""
     for name, (make, gradient, _, _) in SETS.items():
         units = make(spark, sf)
-        if optimizer.collect_stats(units).bytes > cost.Env().partition_bytes:
-            units = samplers.draw_once(units, 100_000)
-        for r in estimate.curve_study(units, gradient, 1e-2, budget_s=6):
-            yield name, r["step"], r["actual"], r["pairs"], r["inverse"], r["step_aware"], r["power"]
+        large = optimizer.collect_stats(units).bytes > cost.Env().partition_bytes
+        for r in estimate.curve_study(units, gradient, 1e-2, budget_s=6, cluster=large):
+            yield name, r["step"], r["actual"], r["pairs"], r["inverse"], r["step_aware"], r["power"], r["status"]
 
 
 @experiment("x16_chosen_plans", "task string, algorithm string, plan string, iterations_est long, total_cost double, chosen boolean")

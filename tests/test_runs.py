@@ -75,3 +75,12 @@ def test_experiments_that_dont_depend_on_the_clock(spark, sf):
     assert all(r.distance < 1e-9 for r in agg)
     assert len(experiments.QUERIES) == 21
     assert tasks.TASKS
+
+
+def test_curve_study_runs_the_whole_set_on_the_cluster(spark, sf):
+    from descent_planner.plans import estimate
+    from descent_planner.sources.tasks import W2
+
+    units = W2.units(spark, sf)
+    here, there = (estimate.curve_study(units, "logistic", 0.1, steps=("inv",), budget_s=20, cluster=c) for c in (False, True))
+    assert here == there and here[0]["status"] == "CONVERGED" and here[0]["actual"] > 0
