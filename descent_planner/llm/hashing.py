@@ -25,25 +25,31 @@ def _symbol_table(seed: int) -> np.ndarray:
     return mix(np.arange(1 << 16, dtype=U) + U((seed * 0x9E3779B97F4A7C15 + 1) % (1 << 64)))
 
 
-@lru_cache(maxsize=8)
-def _powers(seed: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of an odd base and of its inverse, up to 2^bits of them."""
-    base = (0xD6E8FEB86659FD93 + 2 * seed) % (1 << 64) | 1
-    inverse = pow(base, -1, 1 << 64)
-    n = 1 << bits
-    out = []
-    for b in (base, inverse):
-        p = np.full(n, b, dtype=U)
-        p[0] = 1
-        out.append(np.multiply.accumulate(p))
-    return out[0], out[1]
+#: The powers made so far of each seed's base and its inverse, as many as the longest input needed up to this many.
+MOST_POWERS = 1 << 21
+_made: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+
+def _powers(seed: int, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers 0 to n of an odd base and of its inverse."""
+    held = _made.get(seed)
+    if held is None or len(held[0]) <= n:
+        base = (0xD6E8FEB86659FD93 + 2 * seed) % (1 << 64) | 1
+        size = max(1 << 16, n + n // 4 + 1)
+        held = []
+        for b in (base, pow(base, -1, 1 << 64)):
+            p = np.full(size, b, dtype=U)
+            p[0] = 1
+            held.append(np.multiply.accumulate(p, out=p))
+        if size <= MOST_POWERS:
+            _made[seed] = tuple(held)
+    return held[0], held[1]
 
 
 def run_hashes(symbols: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int = 1) -> np.ndarray:
     """A 64-bit hash of symbols[starts[i]:ends[i]] for each i; equal runs, equal hashes wherever they stand."""
     n = len(symbols)
-    bits = max(16, int(n).bit_length())
-    power, inverse = _powers(seed, bits)
+    power, inverse = _powers(seed, n)
     table = _symbol_table(seed)
     if symbols.dtype == np.uint8:
         value = table[symbols]
@@ -54,6 +60,7 @@ def run_hashes(symbols: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed:
             value = value + high.astype(U) * U(0x9E3779B97F4A7C15)
     total = np.empty(n + 1, dtype=U)
     total[0] = 0
-    np.cumsum(value * power[:n], out=total[1:])
+    value *= power[:n]
+    np.cumsum(value, out=total[1:])
     h = (total[ends] - total[starts]) * inverse[starts]
     return mix(h + (ends - starts).astype(U) * U(0xA24BAED4963EE407))

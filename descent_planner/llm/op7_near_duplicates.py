@@ -7,9 +7,10 @@ its least value. The first t rounds choose bins at random; round t + i puts ever
 with the probability of the Jaccard similarity, as those of min-wise hashing, and estimates concentrate as if bins
 were drawn without replacement.
 
-Documents of equal sets are one class. Classes that agree on a band are candidates. At similarity s a pair shares
-no band with probability (1 - s^rows)^bands; the defaults make that under 1e-8 at the threshold. No bucket is
-capped and no pair is listed twice:
+Documents of equal sets are one class. A set too small to reach the threshold with any other set (one of fewer than
+num / (den - num) elements) links by equality alone and needs no sketch. Classes that agree on a band are
+candidates. At similarity s a pair shares no band with probability (1 - s^rows)^bands; the defaults make that under
+1e-8 at the threshold. No bucket is capped and no pair is listed twice:
 
 1. Star rounds: every bucket names a centre, and each class is compared with the centre it shares most bands with.
    In the first round a bucket's centre is the member that meets most others over all its buckets, most likely the
@@ -22,14 +23,18 @@ capped and no pair is listed twice:
 Links are confirmed on the full sets: the sets of candidates are made again from their texts, sent to their partners
 by a sort-merge join, and intersected. Components come from minimum labels with pointer jumping, in tables.
 
-Texts without words (null, empty, white space) have an empty set and no link. Repeated ids are treated as rows of
-one document with the union of links. Nothing is collected but counts; ids of candidates are broadcast while there
-are ``BROADCAST_ROWS`` at most, else they are joined by shuffling.
+Texts without words (null, empty, white space) have an empty set and no link. Rows of one id are one document: all
+of them get one component, which joins those of their sets. Rows without an id join no component of others' by an
+id; they are named by the least id of their set's component, null where there is none, and are always kept. Nothing
+is collected but counts; ids of candidates are broadcast while there are ``BROADCAST_ROWS`` at most, else they are
+joined by shuffling. Tables that no later job reads are removed. Texts are hashed in windows of ``PIECE_BYTES``, so
+one very long text takes 8 bytes a word, not more.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -38,9 +43,10 @@ from pyspark.sql import functions as F
 
 from .bpe import ragged
 from .hashing import mix, run_hashes
-from .shared import over_batches, pieces, saved
+from .shared import Scratch, over_batches, pieces, saved
 
-PIECE_BYTES = 2_000_000
+#: Bytes of text hashed at once, and elements and rows sketched at once.
+PIECE_BYTES, SKETCH_ELEMENTS, SKETCH_ROWS = 250_000, 200_000, 2_000
 #: Two or three longs each: 24 MB at most.
 BROADCAST_ROWS = 1_000_000
 STAR_ROUNDS = 2
@@ -49,28 +55,72 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 
 
+def _words(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Where each word starts and ends, and its hash."""
+    word = ~_SPACES[data]
+    edge = np.flatnonzero(np.diff(np.concatenate([[False], word, [False]]).astype(np.int8)))
+    starts, stops = edge[::2], edge[1::2]
+    return starts, stops, run_hashes(data, starts, stops, 5) if len(starts) else np.empty(0, dtype=np.uint64)
+
+
+def _windows(h: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
+    """Hashes of the ``size`` words from each place."""
+    out = np.full(len(at), size, dtype=np.uint64)
+    for k in range(size):
+        out += h[at + k] * np.uint64((2 * k + 1) * 0x9E3779B97F4A7C15 % (1 << 64))
+    return mix(out)
+
+
+def _unique(values: np.ndarray) -> np.ndarray:
+    values.sort()
+    keep = np.ones(len(values), dtype=bool)
+    np.not_equal(values[1:], values[:-1], out=keep[1:])
+    return values[keep]
+
+
+def _long_set(raw: bytes, size: int) -> np.ndarray:
+    """The set of one text, hashed in windows that end between words; only the words' hashes are held."""
+    held = []
+    at = 0
+    while at < len(raw):
+        end = at + PIECE_BYTES
+        # a window ends at white space, however far that is
+        while end < len(raw) and raw[end] not in b"\x20\x09\x0a\x0b\x0c\x0d":
+            end += 1
+        held.append(_words(_LOWER[np.frombuffer(raw[at:end], dtype=np.uint8)])[2])
+        at = end
+    h = np.concatenate(held)
+    size = min(size, len(h))
+    return _unique(_windows(h, np.arange(len(h) - size + 1), size)) if size else h
+
+
 def shingle_sets(texts: list[str | None], size: int) -> tuple[np.ndarray, np.ndarray]:
     """All sets in a row, each sorted, and how many elements each has."""
     raw = [(t or "").encode() for t in texts]
+    if any(len(r) > PIECE_BYTES for r in raw) and len(raw) > 1:
+        apart = [shingle_sets([t], size) for t in texts]
+        return np.concatenate([x for x, _ in apart]), np.concatenate([n for _, n in apart])
+    if raw and len(raw[0]) > PIECE_BYTES:
+        own = _long_set(raw[0], size)
+        return own, np.array([len(own)])
     data = _LOWER[np.frombuffer(b" ".join(raw) + b" ", dtype=np.uint8)]
     ends = np.cumsum([len(r) + 1 for r in raw])
-    word = ~_SPACES[data]
-    edge = np.flatnonzero(np.diff(np.concatenate([[False], word, [False]]).astype(np.int8)))
-    starts, stops = edge[::2], edge[1::2]
-    h = run_hashes(data, starts, stops, 5) if len(starts) else np.empty(0, dtype=np.uint64)
+    starts, _, h = _words(data)
     count = np.diff(np.concatenate([[0], np.searchsorted(starts, ends)]))
     first = np.cumsum(count) - count
     # one shingle for each word that has size - 1 after it; a shorter text's words make a single one
     n = np.where(count >= size, count - size + 1, np.minimum(count, 1))
+    full = np.repeat(count >= size, n)
     at = ragged(first, n)
-    have = np.repeat(np.minimum(count, size), n)
-    out = np.zeros(len(at), dtype=np.uint64)
-    for k in range(size):
-        inside = have > k
-        out[inside] = mix(out[inside] + h[at[inside] + k] * np.uint64(2 * k + 1) + np.uint64(k + 1))
+    out = np.empty(len(at), dtype=np.uint64)
+    out[full] = _windows(h, at[full], size)
+    for k in range(1, size):
+        short = np.repeat(count == k, n)
+        out[short] = _windows(h, at[short], k)
+    stop = np.cumsum(n)
+    for a, b in zip((stop - n).tolist(), stop.tolist(), strict=True):
+        out[a:b].sort()
     owner = np.repeat(np.arange(len(texts)), n)
-    order = np.lexsort((out, owner))
-    out, owner = out[order], owner[order]
     keep = np.ones(len(out), dtype=bool)
     keep[1:] = (out[1:] != out[:-1]) | (owner[1:] != owner[:-1])
     return out[keep], np.bincount(owner[keep], minlength=len(texts))
@@ -82,28 +132,40 @@ def set_keys(elements: np.ndarray, sizes: np.ndarray) -> list[bytes | None]:
     return [hashlib.blake2b(data[8 * (e - k) : 8 * e], digest_size=16).digest() if k else None for e, k in zip(np.cumsum(sizes).tolist(), sizes.tolist(), strict=True)]
 
 
+def _throw(out: np.ndarray, e: np.ndarray, row, i: int, t: int) -> None:
+    """Round i for elements ``e`` of the sketches that start at ``row`` in ``out``."""
+    h = mix(e + np.uint64((i + 1) * 0x9E3779B97F4A7C15 % (1 << 64)))
+    if i < t:
+        # the bin comes from bits apart from the value's
+        column = (((h & np.uint64(0xFFFFFFFF)) * np.uint64(t)) >> np.uint64(32)).astype(np.int64)
+        h = mix(h)
+    else:
+        column = i - t
+    h >>= np.uint64(16)
+    h |= np.uint64(i) << np.uint64(48)
+    np.minimum.at(out, row + column, h)
+
+
 def sketches(elements: np.ndarray, sizes: np.ndarray, t: int) -> np.ndarray:
     """A row of t coordinates for each set; rows of empty sets are all ones."""
     n = len(sizes)
     full = np.uint64(0xFFFFFFFFFFFFFFFF)
     out = np.full(n * t, full, dtype=np.uint64)
     first = np.cumsum(sizes) - sizes
-    live = np.flatnonzero(sizes > 0)
+    large = sizes > SKETCH_ELEMENTS
+    for k in np.flatnonzero(large).tolist():
+        own, mine = elements[first[k] : first[k] + sizes[k]], out[k * t : (k + 1) * t]
+        for i in range(2 * t):
+            for at in range(0, len(own), SKETCH_ELEMENTS):
+                _throw(mine, own[at : at + SKETCH_ELEMENTS], 0, i, t)
+            if (mine != full).all():
+                break
+    live = np.flatnonzero((sizes > 0) & ~large)
     for i in range(2 * t):
         if not len(live):
             break
         own = sizes[live]
-        e = elements[ragged(first[live], own)]
-        row = np.repeat(live, own)
-        h = mix(e + np.uint64((i + 1) * 0x9E3779B97F4A7C15 % (1 << 64)))
-        value = (np.uint64(i) << np.uint64(48)) | (h >> np.uint64(16))
-        if i < t:
-            # the bin comes from bits apart from the value's
-            column = (((h & np.uint64(0xFFFFFFFF)) * np.uint64(t)) >> np.uint64(32)).astype(np.int64)
-            value = (np.uint64(i) << np.uint64(48)) | (mix(h) >> np.uint64(16))
-        else:
-            column = np.full(len(e), i - t, dtype=np.int64)
-        np.minimum.at(out, row * t + column, value)
+        _throw(out, elements[ragged(first[live], own)], np.repeat(live * t, own), i, t)
         if i < t or (i + 1) % 8 == 0:
             live = live[(out.reshape(n, t)[live] == full).any(axis=1)]
     return out.reshape(n, t)
@@ -124,31 +186,58 @@ class Params:
         self.shingle, self.num, self.den, self.bands, self.rows = shingle, num, den, bands, rows
 
 
-#: 3-word shingles at 0.85: a link is missed with probability 9e-9 at most.
-CONTRACT = Params(3, 85, 100, 48, 7)
-#: 5-word shingles at 0.8: 4e-9.
-CORPUS = Params(5, 80, 100, 64, 6)
+#: 3-word shingles at 0.85: a link is missed with probability 1e-8 at most.
+CONTRACT = Params(3, 85, 100, 25, 4)
+#: 5-word shingles at 0.8: 6e-9.
+CORPUS = Params(5, 80, 100, 36, 4)
+
+
+def bands_of(elements: np.ndarray, sizes: np.ndarray, p: Params) -> tuple[np.ndarray, np.ndarray]:
+    """The band keys of all sets in a row, and how many each has: all, or none where a set can only link to its equals."""
+    can = sizes * (p.den - p.num) >= p.num
+    total = np.cumsum(sizes)
+    which = np.flatnonzero(can)
+    made, at = [np.empty(0, dtype=np.int64)], 0
+    while at < len(which):
+        base = total[which[at]] - sizes[which[at]]
+        end = max(at + 1, min(at + SKETCH_ROWS, int(np.searchsorted(total[which], base + SKETCH_ELEMENTS, "right"))))
+        some = which[at:end]
+        own = elements[ragged(total[some] - sizes[some], sizes[some])]
+        made.append(band_keys(sketches(own, sizes[some], p.bands * p.rows), p.bands, p.rows).reshape(-1))
+        at = end
+    return np.concatenate(made), np.where(can, p.bands, 0)
+
+
+def sketch_columns(texts: list[str | None], p: Params) -> list[pa.Array]:
+    """n_shingles, set_key and bands of some texts."""
+    elements, n = [], []
+    size = np.array([len(t or "") for t in texts], dtype=np.int64)
+    total, at = np.cumsum(size), 0
+    while at < len(texts):
+        end = max(at + 1, int(np.searchsorted(total, total[at] - size[at] + PIECE_BYTES, "right")))
+        e, k = shingle_sets(texts[at:end], p.shingle)
+        elements.append(e)
+        n.append(k)
+        at = end
+    e, k = np.concatenate(elements), np.concatenate(n)
+    flat, many = bands_of(e, k, p)
+    return [pa.array(k.astype(np.int64)), pa.array(set_keys(e, k), pa.binary()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]).astype(np.int32)), pa.array(flat))]
+
+
+SKETCHED = "n_shingles long, set_key binary, bands array<long>"
 
 
 def sketched(docs: DataFrame, p: Params) -> DataFrame:
     """(doc_id, n_shingles, set_key, bands) for each row."""
-    shingle, bands, rows = p.shingle, p.bands, p.rows
 
     def make():
-        def each(b: pa.RecordBatch) -> pa.RecordBatch:
-            sizes, keys, made = [], [], []
-            for part in pieces(b, "text", PIECE_BYTES):
-                elements, n = shingle_sets(part.column(1).to_pylist(), shingle)
-                keys += set_keys(elements, n)
-                sizes.append(n)
-                made.append(band_keys(sketches(elements, n, bands * rows), bands, rows))
-            flat = np.concatenate(made).reshape(-1)
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * bands), pa.array(flat))
-            return pa.RecordBatch.from_arrays([b.column(0), pa.array(np.concatenate(sizes).astype(np.int64)), pa.array(keys, pa.binary()), lists], ["doc_id", "n_shingles", "set_key", "bands"])
+        def each(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+            for part in pieces(b, "text", 4 * PIECE_BYTES):
+                yield pa.RecordBatch.from_arrays([part.column(0), *sketch_columns(part.column(1).to_pylist(), p)], ["doc_id", "n_shingles", "set_key", "bands"])
 
         return each
 
-    return over_batches(docs.select("doc_id", "text"), make, "doc_id long, n_shingles long, set_key binary, bands array<long>")
+    return over_batches(docs.select("doc_id", "text"), make, "doc_id long, " + SKETCHED)
 
 
 def confirmed(docs: DataFrame, pairs: DataFrame, p: Params) -> DataFrame:
@@ -156,13 +245,12 @@ def confirmed(docs: DataFrame, pairs: DataFrame, p: Params) -> DataFrame:
     shingle, num, den = p.shingle, p.num, p.den
 
     def make_sets():
-        def each(b: pa.RecordBatch) -> pa.RecordBatch:
-            sets = []
+        def each(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for part in pieces(b, "text", PIECE_BYTES):
                 elements, n = shingle_sets(part.column(2).to_pylist(), shingle)
                 data, ends = elements.tobytes(), np.cumsum(n)
-                sets += [data[8 * (e - k) : 8 * e] for e, k in zip(ends.tolist(), n.tolist(), strict=True)]
-            return pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sets, pa.binary())], ["id", "to", "elements"])
+                sets = [data[8 * (e - k) : 8 * e] for e, k in zip(ends.tolist(), n.tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sets, pa.binary())], ["id", "to", "elements"])
 
         return each
 
@@ -193,8 +281,9 @@ def confirmed(docs: DataFrame, pairs: DataFrame, p: Params) -> DataFrame:
     return over_batches(left.join(right.hint("merge"), "b").select("a", "b", "x", "y"), make_test, "a long, b long")
 
 
-#: Slots of the table of shingle frequencies: 4 MB, whatever the input.
-FREQUENCY_BITS = 20
+#: The table of shingle frequencies has 2^16 to 2^22 slots (16 MB) of 32 bits by how many shingles are counted; beyond
+#: that rare and common shingles are told apart less well, which costs time and loses no link.
+LEAST_BITS, MOST_BITS = 16, 22
 
 
 def _prefixes(docs: DataFrame, members: DataFrame, p: Params) -> DataFrame:
@@ -206,82 +295,101 @@ def _prefixes(docs: DataFrame, members: DataFrame, p: Params) -> DataFrame:
     """
     shingle, num, den = p.shingle, p.num, p.den
     text = docs.select(F.col("doc_id").alias("id"), "text")
-    found = text.join(F.broadcast(members) if members.count() <= BROADCAST_ROWS else members.hint("merge"), "id").select("id", "comp", "text")
-
-    def make_counts():
-        def each(b: pa.RecordBatch) -> pa.RecordBatch:
-            total = np.zeros(1 << FREQUENCY_BITS, dtype=np.int64)
+    many, shingles = members.agg(F.count("*"), F.coalesce(F.sum("n_shingles"), F.lit(0))).first()
+    bits = min(MOST_BITS, max(LEAST_BITS, int(shingles).bit_length()))
+    members = members.select("id", "comp").distinct()
+    found = text.join(F.broadcast(members) if many <= BROADCAST_ROWS else members.hint("merge"), "id").select("id", "comp", "text")
+    low = np.uint64(64 - bits)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(1 << bits, dtype=np.int32)
+        for b in batches:
             for part in pieces(b, "text", PIECE_BYTES):
                 elements, _ = shingle_sets(part.column(2).to_pylist(), shingle)
-                total += np.bincount((elements >> np.uint64(64 - FREQUENCY_BITS)).astype(np.int64), minlength=len(total))
-            slot = np.flatnonzero(total)
-            return pa.RecordBatch.from_arrays([pa.array(slot), pa.array(total[slot])], ["slot", "n"])
-
-        return each
-
-    counts = np.zeros(1 << FREQUENCY_BITS, dtype=np.int32)
-    for r in over_batches(found, make_counts, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).toLocalIterator():
+                np.add.at(total, (elements >> low).astype(np.int64), 1)
+        slot = np.flatnonzero(total)
+        for at in range(0, len(slot), 10_000):
+            own = slot[at : at + 10_000]
+            yield pa.RecordBatch.from_arrays([pa.array(own), pa.array(total[own].astype(np.int64))], ["slot", "n"])
+
+    counts = np.zeros(1 << bits, dtype=np.int32)
+    for r in found.mapInArrow(count, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).toLocalIterator():
         counts[r.slot] = min(r.n, 2**31 - 1)
     known = docs.sparkSession.sparkContext.broadcast(counts)
 
     def make_heads():
         counts = known.value
 
-        def each(b: pa.RecordBatch) -> pa.RecordBatch:
-            rows, out, sizes, places = [], [], [], []
-            at = 0
+        def each(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for part in pieces(b, "text", PIECE_BYTES):
                 elements, n = shingle_sets(part.column(2).to_pylist(), shingle)
                 owner = np.repeat(np.arange(part.num_rows), n)
-                order = np.lexsort((elements, counts[(elements >> np.uint64(64 - FREQUENCY_BITS)).astype(np.int64)], owner))
+                order = np.lexsort((elements, counts[(elements >> low).astype(np.int64)], owner))
                 first = np.cumsum(n) - n
                 # of n elements at least the share num / den is common
                 take = np.where(n > 0, n - -(-num * n // den) + 1, 0)
-                out.append(elements[order][ragged(first, take)].view(np.int64))
-                places.append(np.arange(len(out[-1])) - np.repeat(np.cumsum(take) - take, take))
-                rows.append(at + np.repeat(np.arange(part.num_rows), take))
-                sizes.append(np.repeat(n, take))
-                at += part.num_rows
-            row = pa.array(np.concatenate(rows))
-            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(out)), pa.array(np.concatenate(places)), b.column(0).take(row), pa.array(np.concatenate(sizes).astype(np.int64)), b.column(1).take(row)], ["element", "place", "id", "n", "comp"])
+                out = elements[order][ragged(first, take)].view(np.int64)
+                place = np.arange(len(out)) - np.repeat(np.cumsum(take) - take, take)
+                row = pa.array(np.repeat(np.arange(part.num_rows), take))
+                yield pa.RecordBatch.from_arrays([pa.array(out), pa.array(place), part.column(0).take(row), pa.array(np.repeat(n, take).astype(np.int64)), part.column(1).take(row)], ["element", "place", "id", "n", "comp"])
 
         return each
 
     return over_batches(found, make_heads, "element long, place long, id long, n long, comp long")
 
 
-def components(edges: DataFrame, name: str) -> DataFrame:
+def components(edges: DataFrame, name: str, scratch: Scratch) -> DataFrame:
     """(id, comp) of every id in ``edges`` (a, b): the smallest id reachable.
 
     Each round gives an id the least label around it, then that label's own label; ids that nobody names keep theirs.
     """
-    both = saved(edges.union(edges.select("b", "a")).distinct(), f"{name}-edges")
+    own = Scratch(edges.sparkSession)
+    both = own.saved(edges.union(edges.select("b", "a")).distinct(), f"{name}-edges")
     labels = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("id"), F.least("a", "m").alias("comp"))
-    labels = saved(labels, f"{name}-labels")
+    labels = own.saved(labels, f"{name}-labels")
     while True:
         near = both.join(labels.select(F.col("id").alias("b"), "comp").hint("merge"), "b").groupBy(F.col("a").alias("id")).agg(F.min("comp").alias("near"))
         new = labels.join(near, "id").select("id", F.col("comp").alias("old"), F.least("comp", "near").alias("comp"))
         jump = labels.select(F.col("id").alias("comp"), F.col("comp").alias("further"))
-        new = saved(new.join(jump.hint("merge"), "comp").select("id", "old", F.least("comp", "further").alias("comp")), f"{name}-labels")
+        round_of = Scratch(edges.sparkSession)
+        new = round_of.saved(new.join(jump.hint("merge"), "comp").select("id", "old", F.least("comp", "further").alias("comp")), f"{name}-labels")
         if new.where("old <> comp").isEmpty():
+            own.drop()
+            scratch.take(round_of)
             return new.select("id", "comp")
+        own.take(round_of)
         labels = new.select("id", "comp")
 
 
+def one_document(rows: DataFrame, classes: DataFrame) -> DataFrame:
+    """(a, b): the classes that meet in one id, by their ids; rows of an id mostly have one set, and then there are none."""
+    more = rows.where("doc_id is not null and set_key is not null").groupBy("doc_id").agg(F.min(F.xxhash64("set_key")).alias("low"), F.max(F.xxhash64("set_key")).alias("high")).where("low <> high").select("doc_id")
+    ids = rows.join(more.hint("merge"), "doc_id").join(classes.hint("merge"), "set_key").select("doc_id", "rep").distinct()
+    # an id of several sets stands for itself, so that classes of one representative meet too
+    return ids.select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).where("a <> b")
+
+
 def set_components(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """(doc_id, n_shingles, set_key) of each row, and (set_key, comp) of each different set."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     rows = saved(sketched(docs, p), "near-sketches")
-    classes = saved(rows.where("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "near-classes")
+    return rows.select("doc_id", "n_shingles", "set_key"), components_of(docs, rows, p)
+
+
+def components_of(docs: DataFrame, rows: DataFrame, p: Params) -> DataFrame:
+    """(set_key, comp) of each different set of the saved sketches ``rows`` of ``docs`` (doc_id, text)."""
+    scratch = Scratch(docs.sparkSession)
+    classes = scratch.saved(rows.where("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep")), "near-classes")
     reps = rows.join(classes.hint("merge"), (rows.set_key == classes.set_key) & (rows.doc_id == classes.rep)).select("rep", "n_shingles", "bands")
     buckets = reps.select(F.explode("bands").alias("key"), "rep", "n_shingles")
     shared = buckets.groupBy("key").agg(F.min("rep").alias("low"), F.max("rep").alias("high"), F.count("*").alias("members")).where("low <> high").select("key", "members")
-    buckets = saved(buckets.join(shared.hint("merge"), "key"), "near-shared")
+    buckets = scratch.saved(buckets.join(shared.hint("merge"), "key"), "near-shared")
     # a class that meets many others is likely the text that its near copies were made from
     meets = buckets.groupBy("rep").agg(F.sum("members").alias("meets"))
-    buckets = saved(buckets.join(meets.hint("merge"), "rep").select("key", "rep", "n_shingles", "meets"), "near-buckets")
+    buckets = scratch.saved(buckets.join(meets.hint("merge"), "rep").select("key", "rep", "n_shingles", "meets"), "near-buckets")
 
-    tested = links = comps = None
+    links = scratch.saved(one_document(rows, classes), "near-links")
+    tested = comps = None
     for turn in range(STAR_ROUNDS):
         first = -F.col("meets") if turn == 0 else F.xxhash64("rep", F.lit(turn))
         order = F.struct(first.alias("o"), "rep", "n_shingles")
@@ -292,21 +400,20 @@ def set_components(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col:
         if comps is not None:
             stars = _apart(stars, comps)
         stars = stars.groupBy("a").agg(F.max(F.struct("n", "b")).alias("m")).select("a", F.col("m.b").alias("b"))
-        stars = saved(stars.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "near-stars")
+        stars = scratch.saved(stars.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "near-stars")
         if tested is not None:
             stars = stars.join(tested, ["a", "b"], "left_anti")
         tested = stars if tested is None else tested.union(stars)
-        new = saved(confirmed(docs, stars, p), "near-links")
-        links = new if links is None else links.union(new)
-        comps = components(links, "near")
+        links = links.union(scratch.saved(confirmed(docs, stars, p), "near-links"))
+        comps = components(links, "near", scratch)
 
     # pairs of one bucket whose components differ
     labelled = buckets.join(comps.withColumnRenamed("id", "rep").hint("merge"), "rep", "left").select("key", "rep", "n_shingles", F.coalesce("comp", "rep").alias("comp"))
-    labelled = saved(labelled, "near-labelled")
+    labelled = scratch.saved(labelled, "near-labelled")
     open_keys = labelled.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key")
-    left = saved(labelled.join(open_keys.hint("merge"), "key"), "near-open")
-    members = saved(left.select(F.col("rep").alias("id"), "comp").distinct(), "near-members")
-    heads = saved(_prefixes(docs, members, p), "near-heads")
+    left = labelled.join(open_keys.hint("merge"), "key")
+    members = scratch.saved(left.select(F.col("rep").alias("id"), "comp", "n_shingles").distinct(), "near-members")
+    heads = scratch.saved(_prefixes(docs, members, p), "near-heads")
     meet = heads.groupBy("element").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("element")
     heads = heads.join(meet.hint("merge"), "element")
     x = heads.select("element", F.col("id").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("place").alias("ia"))
@@ -314,20 +421,21 @@ def set_components(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col:
     # where the first shared element stands bounds how many can follow it
     room = F.least(F.col("na") - F.col("ia"), F.col("nb") - F.col("ib")) * (p.den + p.num) >= p.num * (F.col("na") + F.col("nb"))
     rest = x.join(y.hint("merge"), "element").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & room)
-    rest = saved(rest.select("a", "b").distinct().join(tested, ["a", "b"], "left_anti"), "near-rest")
+    rest = scratch.saved(rest.select("a", "b").distinct().join(tested, ["a", "b"], "left_anti"), "near-rest")
     if not rest.isEmpty():
-        links = links.union(saved(confirmed(docs, rest, p), "near-links"))
-        comps = components(links, "near")
+        links = links.union(scratch.saved(confirmed(docs, rest, p), "near-links"))
+        comps = components(links, "near", scratch)
 
-    named = classes.join(comps.withColumnRenamed("id", "rep").hint("merge"), "rep", "left").select("set_key", F.coalesce("comp", "rep").alias("comp"))
-    return rows.select("doc_id", "n_shingles", "set_key"), named
+    named = saved(classes.join(comps.withColumnRenamed("id", "rep").hint("merge"), "rep", "left").select("set_key", F.coalesce("comp", "rep").alias("comp")), "near-named")
+    scratch.drop()
+    return named
 
 
 def near_duplicates(docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id, kept)."""
     rows, named = set_components(docs, p, id_col, text_col)
     out = rows.join(named.hint("merge"), "set_key", "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("comp", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    return out.select("doc_id", "n_shingles", F.coalesce("comp", "doc_id").alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def _apart(stars: DataFrame, comps: DataFrame) -> DataFrame:

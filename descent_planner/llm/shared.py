@@ -27,9 +27,7 @@ def new_path(spark: SparkSession, name: str) -> str:
 
 def saved(df: DataFrame, name: str) -> DataFrame:
     """Write and reread: cuts the lineage with files that outlive an executor."""
-    path = new_path(df.sparkSession, name)
-    df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return Scratch(df.sparkSession).saved(df, name)
 
 
 def discard(spark: SparkSession, path: str) -> None:
@@ -38,16 +36,39 @@ def discard(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def over_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | None]], schema: str) -> DataFrame:
-    """mapInArrow where ``make`` sets up once a task and its result maps each batch."""
+class Scratch:
+    """Saved tables that go together once nothing reads them."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def saved(self, df: DataFrame, name: str) -> DataFrame:
+        path = new_path(self.spark, name)
+        df.write.option("compression", "zstd").parquet(path)
+        self.paths.append(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def take(self, other: Scratch) -> None:
+        """Tables of ``other`` go with these."""
+        self.paths += other.paths
+
+    def drop(self) -> None:
+        for path in self.paths:
+            discard(self.spark, path)
+        self.paths = []
+
+
+def over_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | Iterator[pa.RecordBatch]]], schema: str) -> DataFrame:
+    """mapInArrow where ``make`` sets up once a task and its result maps each batch, to one or to several."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         each = make()
         for batch in batches:
             if batch.num_rows:
                 out = each(batch)
-                if out is not None and out.num_rows:
-                    yield out
+                for made in [out] if isinstance(out, pa.RecordBatch) else out:
+                    if made.num_rows:
+                        yield made
 
     return df.mapInArrow(run, schema)
 
