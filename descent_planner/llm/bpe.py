@@ -1,11 +1,9 @@
 """Byte-level BPE over whole batches of texts.
 
-Texts are cut into words by the vocabulary's pattern with array operations over code points. Each word's
-ids come from a bounded direct-mapped cache; words it lacks go to an encoder of words:
-
-* ``TreeMerger``: a segment tree over the ranks of adjacent pairs. The root names the lowest rank, leftmost
-  on ties; a merge changes three leaves and the paths above them. Words of like size share one array of trees.
-* ``LibraryWords``: the tokenizers library.
+``tree_encoder`` cuts texts into words by the vocabulary's pattern with array operations over code points. Each word's
+ids come from a bounded direct-mapped cache; words it lacks go to ``TreeMerger``: a segment tree over the ranks of
+adjacent pairs. The root names the lowest rank, leftmost on ties; a merge changes three leaves and the paths above
+them. Words of like size share one array of trees. ``library_encoder`` gives whole texts to the tokenizers library.
 
 Defined results: null and empty texts have no ids; the text of an added token is that token, as in the library.
 """
@@ -13,6 +11,7 @@ Defined results: null and empty texts have no ids; the text of an added token is
 from __future__ import annotations
 
 import json
+import re
 from functools import lru_cache
 
 import numpy as np
@@ -259,36 +258,52 @@ class TreeMerger:
         return np.array([x for x in symbol if x >= 0], dtype=np.int64)
 
 
-class LibraryWords:
-    """Encodes words with the tokenizers library, many at a call: lines of one text keep the words apart.
+class WholeTexts:
+    """Encodes whole texts with the tokenizers library; truncation and padding stay off.
 
-    Truncation and padding stay off. A word of white space alone could join its neighbour, and goes by itself.
+    A text beyond ``LONG`` characters goes in parts, cut between a letter and a space before a letter: there a word of
+    the vocabulary's pattern ends, whatever stands around, and no added token holds that.
     """
 
+    LONG = 1_000_000
+    _CUT = re.compile(r"(?<=[^\W\d_]) (?=[^\W\d_])")
+
     def __init__(self, path: str):
+        import os
+
+        # a task has one core
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.t = Tokenizer.from_file(path)
         self.t.no_truncation()
         self.t.no_padding()
-        self.line = self._ids("\n").tolist()[0]
+        self.narrow = self.t.get_vocab_size() <= 1 << 16
+
+    def _cut(self, text: str) -> list[str]:
+        out, at = [], 0
+        while len(text) - at > self.LONG:
+            m = self._CUT.search(text, at + self.LONG)
+            if m is None:
+                break
+            out.append(text[at : m.start()])
+            at = m.start()
+        return [*out, text[at:]]
 
-    def _ids(self, text: str) -> np.ndarray:
-        return np.array(self.t.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype=np.int64)
+    def __call__(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """All ids in a row, and how many each text has."""
+        if any(len(t or "") > self.LONG for t in texts):
+            ids, n = [], []
+            for text in texts:
+                own = [self._ids([part])[0] for part in self._cut(text or "")]
+                ids += own
+                n.append(sum(map(len, own)))
+            return np.concatenate(ids), np.array(n, dtype=np.int64)
+        ids = self._ids([t or "" for t in texts])
+        return np.concatenate([np.empty(0, dtype=np.uint32), *ids]), np.array([len(x) for x in ids], dtype=np.int64)
 
-    def __call__(self, words: list[str]) -> list[np.ndarray]:
-        out = [np.empty(0, dtype=np.int64)] * len(words)
-        apart = [i for i, w in enumerate(words) if not w.isspace()]
-        for at in range(0, len(apart), 4096):
-            part = apart[at : at + 4096]
-            ids = self._ids("\n".join(words[i] for i in part))
-            cut = np.flatnonzero(ids == self.line).tolist()
-            for i, a, b in zip(part, [0, *(x + 1 for x in cut)], [*cut, len(ids)], strict=True):
-                out[i] = ids[a:b]
-        for i, w in enumerate(words):
-            if w.isspace():
-                out[i] = self._ids(w)
-        return out
+    def _ids(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, dtype=np.uint32) for e in self.t.encode_batch_fast(texts, add_special_tokens=False)]
 
 
 class BatchEncoder:
@@ -394,8 +409,5 @@ def tree_encoder(path: str) -> BatchEncoder:
 
 
 @lru_cache(maxsize=2)
-def library_encoder(path: str) -> BatchEncoder:
-    with open(path, encoding="utf-8") as f:
-        added = {x["content"]: x["id"] for x in json.load(f).get("added_tokens", [])}
-    words = LibraryWords(path)
-    return BatchEncoder(words, added, words.t.get_vocab_size())
+def library_encoder(path: str) -> WholeTexts:
+    return WholeTexts(path)
