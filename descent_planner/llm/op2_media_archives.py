@@ -1,13 +1,14 @@
 """Media in archives, read by a Spark data source that plans byte ranges.
 
 ``write_archives`` lays members end to end in files of the shared folder: each member is a header (magic, id, sizes)
-and a PNG of 8-bit grey samples, 576 a row. Every task writes files of its own name, and the list of files comes
+and a PNG of 8-bit grey samples, 576 a row. A member without an id has a magic of its own. Every task writes files of its own name, and the list of files comes
 from the tasks that ended well; what a lost task left behind is on no list.
 
-The data source ``media_archives`` plans partitions of ``range_bytes`` over the listed files. A partition reads the
-members that start in its range, found by each file's directory at its end, and yields Arrow batches of
-``BATCH_BYTES`` at most. A member that fails is read again by its offset, ``ATTEMPTS`` times in all, without
-another member being read twice; if it still fails its row holds the error and no samples.
+The data source ``media_archives`` plans partitions of ``range_bytes`` over the listed files. A partition holds
+one open file and reads the members that start in its range, found by the file's directory at its end, in runs of
+``BATCH_BYTES`` a read; it yields Arrow batches of about that size. A member that fails is read again by its offset
+from a file opened anew, ``ATTEMPTS`` times in all, without another member being read twice; if it still fails its
+row holds the error and no samples. So a range costs one request for each run, not one for each document.
 
 Null texts count as empty; every text fills at least one row of 576. Repeated rows are members of their own.
 Files are opened by ``pyarrow.fs``, which serves local, HDFS and object stores.
@@ -38,6 +39,7 @@ ATTEMPTS = 3
 _HEAD = struct.Struct("<4sqqq")  # magic, id, bytes before padding, bytes of the medium
 _TAIL = struct.Struct("<qq4s")  # offset and number of the directory's entries, magic
 _MAGIC = b"mda1"
+_NO_ID = b"mda0"
 # The PNG signature.
 _PNG = b"\x89PNG\r\n\x1a\n"
 
@@ -131,7 +133,7 @@ def _write_files(batches: Iterator[pa.RecordBatch], folder: str) -> Iterator[pa.
                 out = system.open_output_stream(f"{path}/{name}")
             body, n = payload(text)
             medium = png(body)
-            out.write(_HEAD.pack(_MAGIC, -1 if doc is None else doc, n, len(medium)))
+            out.write(_HEAD.pack(_NO_ID if doc is None else _MAGIC, doc or 0, n, len(medium)))
             out.write(medium)
             entries.append(at)
             at += _HEAD.size + len(medium)
@@ -187,37 +189,53 @@ class ArchiveReader(DataSourceReader):
                 raise ValueError(f"{part.file} has no directory")
             f.seek(start)
             offsets = np.frombuffer(f.read(8 * n), dtype="<i8")
-        ends = np.append(offsets[1:], start)
-        mine = (offsets >= part.low) & (offsets < part.high)
-        rows, held = [], 0
-        for low, high in zip(offsets[mine].tolist(), ends[mine].tolist(), strict=True):
-            rows.append((*self._member(system, path, low, high), part.file, low))
-            held += high - low + len(rows[-1][3] or b"")
-            if held >= BATCH_BYTES:
-                yield _batch(rows)
-                rows, held = [], 0
+            ends = np.append(offsets[1:], start)
+            mine = (offsets >= part.low) & (offsets < part.high)
+            lows, highs = offsets[mine], ends[mine]
+            rows, held, at = [], 0, 0
+            while at < len(lows):
+                # members lie end to end: as many as a read may hold, one at least
+                stop = max(at + 1, int(np.searchsorted(highs, lows[at] + BATCH_BYTES, "right")))
+                try:
+                    f.seek(int(lows[at]))
+                    run = f.read(int(highs[stop - 1] - lows[at]))
+                except OSError:
+                    run = b""
+                for low, high in zip(lows[at:stop].tolist(), highs[at:stop].tolist(), strict=True):
+                    try:
+                        own = _parsed(run[low - int(lows[at]) : high - int(lows[at])])
+                    except (ValueError, struct.error) as e:
+                        own = self._member(system, path, low, high, ATTEMPTS - 1, f"{type(e).__name__}: {e}")
+                    rows.append((*own, part.file, low))
+                    held += high - low + len(own[3] or b"")
+                    if held >= BATCH_BYTES:
+                        yield _batch(rows)
+                        rows, held = [], 0
+                at = stop
         if rows:
             yield _batch(rows)
 
     @staticmethod
-    def _member(system, path: str, low: int, high: int) -> tuple:
-        """(id, bytes, medium, samples, error) of the member at an offset, opened anew at each attempt."""
-        why = ""
-        for _ in range(ATTEMPTS):
+    def _member(system, path: str, low: int, high: int, attempts: int = ATTEMPTS, why: str = "") -> tuple:
+        """(id, bytes, medium, samples, error) of the member at an offset, from a file opened anew at each attempt."""
+        for _ in range(attempts):
             try:
                 with system.open_input_file(path) as f:
                     f.seek(low)
-                    raw = f.read(high - low)
-                magic, doc, n, size = _HEAD.unpack_from(raw)
-                medium = raw[_HEAD.size : _HEAD.size + size]
-                if magic != _MAGIC or len(medium) != size:
-                    raise ValueError("damaged header")
-                return None if doc == -1 else doc, n, medium, samples(medium), None
+                    return _parsed(f.read(high - low))
             except (OSError, ValueError, struct.error) as e:
                 why = f"{type(e).__name__}: {e}"
         return None, None, None, None, why
 
 
+def _parsed(raw: bytes) -> tuple:
+    magic, doc, n, size = _HEAD.unpack_from(raw)
+    medium = raw[_HEAD.size : _HEAD.size + size]
+    if magic not in (_MAGIC, _NO_ID) or len(medium) != size:
+        raise ValueError("damaged header")
+    return None if magic == _NO_ID else doc, n, medium, samples(medium), None
+
+
 def _batch(rows: list[tuple]) -> pa.RecordBatch:
     kinds = (("doc_id", pa.int64(), 0), ("file", pa.string(), 5), ("offset", pa.int64(), 6), ("n_bytes", pa.int64(), 1), ("medium", pa.binary(), 2), ("payload", pa.binary(), 3), ("error", pa.string(), 4))
     return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], kind) for _, kind, i in kinds], [name for name, _, _ in kinds])

@@ -40,6 +40,34 @@ def test_ranges_and_retries(spark, tmp_path):
     assert [r.offset for r in rows if r.error] == [one.offset]
 
 
+def test_ids_null_and_minus_one(spark, tmp_path):
+    docs = spark.createDataFrame([(-1, "a"), (None, "b"), (0, None), (0, "c"), (0, "c")], "doc_id long, text string")
+    op2.write_archives(docs, f"file://{tmp_path}/a")
+    rows = op2.read_archives(spark, f"file://{tmp_path}/a").collect()
+    assert sorted((str(r.doc_id), r.n_bytes, r.error) for r in rows) == [("-1", 1, None), ("0", 0, None), ("0", 1, None), ("0", 1, None), ("None", 1, None)]
+
+
+def test_a_range_is_read_in_few_requests(monkeypatch, tmp_path, spark):
+    folder = f"file://{tmp_path}/a"
+    files = op2.write_archives(spark.createDataFrame([(i, f"text {i}") for i in range(300)], "doc_id long, text string").coalesce(1), folder).collect()
+    opened = []
+    real = op2._open
+
+    def counted(uri):
+        system, path = real(uri)
+
+        class Counting:
+            def open_input_file(self, p):
+                opened.append(p)
+                return system.open_input_file(p)
+
+        return Counting(), path
+
+    monkeypatch.setattr(op2, "_open", counted)
+    reader = op2.ArchiveReader({"path": folder, "files": f'[["{files[0].file}", {files[0].bytes}]]'})
+    assert sum(b.num_rows for part in reader.partitions() for b in reader.read(part)) == 300 and len(opened) == 1
+
+
 def test_a_member_is_retried(monkeypatch, tmp_path):
     medium = op2.png(op2.payload("hello")[0])
     raw = op2._HEAD.pack(op2._MAGIC, 5, 5, len(medium)) + medium
