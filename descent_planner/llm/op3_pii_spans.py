@@ -5,8 +5,9 @@ text (look-alike letters, spelled digits, at/dot disguises), each keeping for ev
 source range it came from. What the same patterns find in the rewritten text, over a range that a transducer
 changed, is mapped back and added; base spans stay.
 
-Null and empty texts have no spans. Rows stay one for one. Offsets are code points, ends exclusive. The work on a
-text is linear in its length.
+Null and empty texts have no spans. Rows stay one for one, repeated ones too. Offsets are code points, ends exclusive.
+The work on a text is linear in its length: no pattern can split a run in two ways, and a spelled host has labels of
+``LABEL`` characters and ``LABELS`` of them at most, as in the names of hosts.
 """
 
 from __future__ import annotations
@@ -14,6 +15,7 @@ from __future__ import annotations
 import hashlib
 import re
 import unicodedata
+from collections.abc import Iterator
 from functools import lru_cache
 
 import pyarrow as pa
@@ -52,6 +54,9 @@ DIGIT_OF = {name: str(d) for d, names in enumerate(DIGIT_NAMES) for name in name
 # Words that stand before a dot in plain speech ("at the dot in"), so that they are no host.
 NO_HOST = "the a an this that these those each every any one no my your his her its our their which what last first next"
 
+#: The longest label of a host's name, and the most labels of one.
+LABEL, LABELS = 63, 16
+
 # The @ with its local part is looked up from the @ on, so that long runs of its letters cost one pass.
 _DOMAIN = re.compile(r"@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]+)++")
 # A run of digits is tried from its first one: from any other it would go on alike.
@@ -180,10 +185,12 @@ def _rules() -> tuple:
     box_dot = re.compile(r"(?<!\s)\s*[(\[{<]\s*(?:dot|point|punkt|punto|\.)\s*[)\]}>]\s*", re.I)
     # any digit groups and names in a row, of which one adjoins the other
     sep = r"(?:[ ,.()-]{1,3})"
-    item = rf"(?:{names}|[0-9]++)"
-    wide = re.compile(rf"(?<!\w)(?:plus{sep})?{item}(?:{sep}(?:{point}{sep})?{item})++(?!\w)", re.I)
-    # bare words count only in the whole shape: name at host dot ending, whatever the ending
-    bare = re.compile(rf"(?<=[A-Za-z0-9])(?:\s+|_|-)at(?:\s+|_|-)(?!(?:{'|'.join(NO_HOST.split())})\b)(?=[A-Za-z0-9-]+(?:(?:\s+|_|-)dot(?:\s+|_|-)[A-Za-z0-9-]+)*(?:\s+|_|-)dot(?:\s+|_|-)[A-Za-z]{{2,}}\b)", re.I)
+    item = rf"(?:{names}|[0-9]++)(?!\w)"
+    wide = re.compile(rf"(?<!\w)(?:plus{sep})?{item}(?:{sep}(?:{point}{sep})?{item})++", re.I)
+    # bare words count only in the whole shape: name at host dot ending, whatever the ending; a label stops at a spelled dot
+    dot = r"(?:\s++|_|-)dot(?:\s++|_|-)"
+    label = rf"(?:[A-Za-z0-9]|-(?!dot(?:\s|_|-))){{1,{LABEL}}}+"
+    bare = re.compile(rf"(?<=[A-Za-z0-9])(?:\s+|_|-)at(?:\s+|_|-)(?!(?:{'|'.join(NO_HOST.split())})\b)(?={label}(?:{dot}{label}){{0,{LABELS - 2}}}{dot}[A-Za-z]{{2,{LABEL}}}\b)", re.I)
     mixed = re.compile(r"(?<=[A-Za-z0-9])(?:\s+|_|-)dot(?:\s+|_|-)(?=[A-Za-z0-9])", re.I)
 
     def digits(m: re.Match) -> str | None:
@@ -330,9 +337,10 @@ def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
     index = docs.columns.index(text_col)
 
     def make():
-        def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-            texts = pa.array([t if t is None else redacted(t) for t in batch.column(index).to_pylist()], batch.schema.field(index).type)
-            return batch.set_column(index, batch.schema.field(index), texts)
+        def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+            for part in pieces(batch, text_col, 8 * PIECE_BYTES):
+                texts = pa.array([t if t is None else redacted(t) for t in part.column(index).to_pylist()], part.schema.field(index).type)
+                yield part.set_column(index, part.schema.field(index), texts)
 
         return each
 

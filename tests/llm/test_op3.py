@@ -1,5 +1,6 @@
 import hashlib
 import re
+import time
 
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -97,3 +98,11 @@ def test_op3(spark, sf, tmp_path):
             assert r.base_sha256 == hashlib.sha256(op3.show(want).encode()).hexdigest()
             assert [r.n_email, r.n_ip, r.n_card, r.n_phone] == [sum(k == i for _, k, _ in want) for i in range(4)]
     assert op3.redact(edge.documents(spark)).columns == edge.documents(spark).columns
+
+
+def test_hostile_texts_take_linear_time():
+    for text in ["x at " + "bb-dot-" * 150_000 + "zzzz9", "x at " + "bb dot " * 140_000, "x-at-bb-dot-" * 80_000, "bb-at-" * 160_000 + "b-dot-cz", "one " * 250_000 + "onex", "1 one " * 160_000 + "onex", "(" * 1_000_000, "( " * 500_000, "a" + " " * 1_000_000 + "(at", "+1" * 500_000]:
+        began = time.monotonic()
+        op3.added_spans(text, op3.base_spans(text))
+        assert time.monotonic() - began < 6, text[:20]
+    assert found("x at " + "bb-dot-" * 12 + "com now")[0][0] == "email"
