@@ -7,8 +7,9 @@ A page counts once for each different line. Lines travel as 128-bit hashes of ho
 partial sums before the shuffle, so a hot host or line is spread. What is boilerplate is broadcast while it has
 ``BROADCAST_LINES`` keys at most, else texts and keys meet by a sort-merge join on the page.
 
-Null texts have no lines and stay null in ``drop_site_lines``; rows without a host form a site of their own. Rows
-stay one for one; a page that loses every line keeps an empty text.
+Null texts have no lines and stay null in ``drop_site_lines``; rows without a host form a site of their own. Every
+row is a page, repeated rows and ids too. Rows stay one for one; a page that loses every line keeps an empty text.
+A script, style, comment or tag without an end is text, and takes one look for its end, however many there are.
 """
 
 from __future__ import annotations
@@ -32,11 +33,34 @@ HTML_LINE_END = r"(?s:<script.*?</script>|<style.*?</style>|<!--.*?-->|<[^>]*>|\
 _HOST = r"^[a-z]+://([^/:?#]+)"
 
 
-def html_lines(html: str) -> list[str]:
-    return [y for x in _HTML.split(html) if (y := x.strip(" \t\n\r\f"))]
+_HTML = re.compile(HTML_LINE_END)
+# What begins a part that is no text, and what ends it.
+_ENDS = {"<script": "</script>", "<style": "</style>", "<!--": "-->"}
+_BEGIN = re.compile(r"<script|<style|<!--|<|\n")
 
 
-_HTML = re.compile(HTML_LINE_END)
+def html_lines(html: str) -> list[str]:
+    open_ended = any(html.rfind(a) + len(a) > html.rfind(b) for a, b in _ENDS.items() if a in html) or html.rfind("<") > html.rfind(">")
+    return [y for x in (_split(html) if open_ended else _HTML.split(html)) if (y := x.strip(" \t\n\r\f"))]
+
+
+def _split(html: str) -> list[str]:
+    """As ``_HTML.split``, in one pass: where no end follows any more, none is looked for."""
+    last = {a: html.rfind(b) for a, b in _ENDS.items()} | {"<": html.rfind(">")}
+    out, start, at = [], 0, 0
+    while m := _BEGIN.search(html, at):
+        kind, at = m[0], m.end()
+        end = at if kind == "\n" else 0
+        if kind in _ENDS and at <= last[kind]:
+            end = html.find(_ENDS[kind], at) + len(_ENDS[kind])
+        elif kind != "\n" and m.start() < last["<"]:
+            end = html.find(">", m.start()) + 1
+        if end:
+            out.append(html[start : m.start()])
+            start = at = end
+        else:
+            at = m.start() + 1
+    return [*out, html[start:]]
 
 
 def text_lines(text: str) -> list[str]:
@@ -156,24 +180,24 @@ QUERIES = {"op8_site_lines": op8_site_lines}
 ORACLES = {
     "op8_site_lines": rf"""
 WITH p AS (
-  SELECT page_id, coalesce(regexp_extract(url, '{_HOST}', 1), '') AS host,
+  SELECT row_number() OVER () AS page, page_id, coalesce(regexp_extract(url, '{_HOST}', 1), '') AS host,
          string_split_regex(coalesce(html, ''), '{HTML_LINE_END}') AS parts
   FROM pages),
 l AS (
-  SELECT page_id, host, pos, regexp_replace(part, '^[ \t\n\r\f]+|[ \t\n\r\f]+$', '', 'g') AS line
-  FROM (SELECT page_id, host, unnest(parts) AS part, generate_subscripts(parts, 1) AS pos FROM p)),
+  SELECT page, host, pos, regexp_replace(part, '^[ \t\n\r\f]+|[ \t\n\r\f]+$', '', 'g') AS line
+  FROM (SELECT page, host, unnest(parts) AS part, generate_subscripts(parts, 1) AS pos FROM p)),
 f AS (SELECT * FROM l WHERE line <> ''),
 t AS (SELECT host, count(*) AS host_pages FROM p GROUP BY host),
 b AS (
   SELECT host, line FROM f JOIN t USING (host)
   GROUP BY host, line, host_pages
-  HAVING count(DISTINCT page_id) >= {LEAST_PAGES} AND count(DISTINCT page_id) > {RATIO} * host_pages),
+  HAVING count(DISTINCT page) >= {LEAST_PAGES} AND count(DISTINCT page) > {RATIO} * host_pages),
 k AS (SELECT f.*, b.line IS NOT NULL AS bad FROM f LEFT JOIN b ON f.host = b.host AND f.line = b.line),
 s AS (
-  SELECT page_id, count(*) AS n_lines, count(*) FILTER (bad) AS n_dropped,
+  SELECT page, count(*) AS n_lines, count(*) FILTER (bad) AS n_dropped,
          coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT bad), '') AS kept
-  FROM k GROUP BY page_id)
+  FROM k GROUP BY page)
 SELECT p.page_id, p.host, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_dropped, 0)::BIGINT AS n_dropped,
        sha256(coalesce(kept, '')) AS kept_sha256
-FROM p LEFT JOIN s USING (page_id)"""
+FROM p LEFT JOIN s USING (page)"""
 }
