@@ -10,7 +10,8 @@ capitals and marks, length of words, number of words). For each category the ``K
 absolute z score between its classes are used.
 
 Fitted on at most ``SAMPLE_ROWS`` labelled rows: up to half of them are of the last category, the rest not, each
-taken by the hash of their ids and weighted back to their share of the labels. All texts are scored whole. Null
+taken by the hash of their ids and weighted back to their share of the labels; of an id's rows the one of least hash
+of its text. So the model is the same in every run. All texts are scored whole. Null
 texts and texts without a letter have probability 0 in every category, and are of none. Where no label was learned, or only one
 class, every probability is that class's share (0 for none). Rows stay one for one.
 """
@@ -201,9 +202,11 @@ def train(docs: DataFrame, labels: DataFrame, categories: Sequence[str], sample_
         return each
 
     # the chosen ids are bounded by sample_rows
-    rows = texts.join(F.broadcast(chosen), "doc_id").select("doc_id", "text", *names, "weight")
+    rows = texts.join(F.broadcast(chosen), "doc_id")
+    # one row an id: partial minima, so an id of many rows is no hot key
+    rows = rows.groupBy("doc_id", *names, "weight").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text")).alias("r")).select("doc_id", F.col("r.text").alias("text"), *names, "weight")
     rows = over_batches(rows, make, "doc_id long, " + ", ".join(f"{y} double" for y in names) + ", weight double, slots binary")
-    found = sorted((r.doc_id, bytes(r.slots), [r[y] for y in names], r.weight) for r in rows.limit(2 * sample_rows).toLocalIterator())
+    found = sorted((r.doc_id, bytes(r.slots), [r[y] for y in names], r.weight) for r in rows.toLocalIterator())
     slots = [np.frombuffer(s, dtype="<i4") for _, s, _, _ in found]
     ids = np.array([d for d, _, _, _ in found], dtype=np.int64).astype(np.uint64)
     text = np.repeat(np.arange(len(found)), [len(s) for s in slots]).astype(np.int64)

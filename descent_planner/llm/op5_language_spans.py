@@ -5,8 +5,9 @@ words used that script. Within them, every place of the word adds learned log sc
 there (two to five letters, word edges included). Viterbi decoding with a penalty for each switch labels the words
 of a text; equal labels in a row are a span. The text's language is the one with the most letters.
 
-The model is fitted on a bounded sample of labelled rows, ``SAMPLE_ROWS`` at most, taken by the hash of their ids;
-it has ``2^BITS`` entries a language. Every text is scored whole.
+The model is fitted on a bounded sample of labelled rows, ``SAMPLE_ROWS`` at most, taken by the hash of their ids, of
+an id's rows the one of least hash of text and language; so it is the same in every run. Their whole texts go to the
+driver, as many as those. The model has ``2^BITS`` entries a language. Every text is scored whole.
 
 Null texts and texts without a letter are ``und`` with score 0. Where no language was learned (an empty table, no
 labels) every text is ``und``. The score is the share of the text's letters in the predicted language. Ties go to
@@ -196,9 +197,11 @@ def train(docs: DataFrame, where: Column | None = None, sample_rows: int = SAMPL
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
     if where is not None:
         rows = rows.where(where)
-    chosen = rows.select(F.xxhash64(id_col).alias("h"), F.col(id_col).alias("id")).orderBy("h", "id").limit(sample_rows)
-    texts = rows.select(F.col(id_col).alias("id"), "text", "lang").join(F.broadcast(chosen.select("id").distinct()), "id")
-    return Model.fit(sorted((r.text, r.lang) for r in texts.limit(2 * sample_rows).toLocalIterator()))
+    chosen = rows.select(F.xxhash64(id_col).alias("h"), F.col(id_col).alias("id")).distinct().orderBy("h", "id").limit(sample_rows).select(F.col("id").alias("_id"))
+    texts = rows.select(F.col(id_col).alias("id"), "text", "lang").join(F.broadcast(chosen), F.expr("id <=> _id")).drop("_id")
+    # one row an id: partial minima, so an id of many rows is no hot key
+    texts = texts.groupBy("id").agg(F.min(F.struct(F.xxhash64("text", "lang").alias("h"), "text", "lang")).alias("r"))
+    return Model.fit(sorted((r.r.text, r.r.lang) for r in texts.toLocalIterator()))
 
 
 def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", spans: bool = False) -> DataFrame:
@@ -237,17 +240,12 @@ def keep_identified(docs: DataFrame, model: Model, least: float = 0.5) -> DataFr
     at, lang_at = docs.columns.index("text"), docs.columns.index("lang")
 
     def make():
-        def each(batch: pa.RecordBatch) -> pa.RecordBatch | None:
-            outs = []
+        def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for part, _, _, letters in _decoded(batch, at, model) if model.languages else ():
                 total = letters.sum(axis=1)
                 ok = (total > 0) & (letters.max(axis=1) >= least * total)
                 names = pa.array([model.languages[b] for b in letters.argmax(axis=1).tolist()], pa.string())
-                outs.append(part.set_column(lang_at, part.schema.field(lang_at), names.cast(part.schema.field(lang_at).type)).filter(pa.array(ok)))
-            if not outs:
-                return None
-            table = pa.Table.from_batches(outs).combine_chunks()
-            return table.to_batches()[0] if table.num_rows else None
+                yield part.set_column(lang_at, part.schema.field(lang_at), names.cast(part.schema.field(lang_at).type)).filter(pa.array(ok))
 
         return each
 
