@@ -7,8 +7,9 @@ each new node; robust pruning keeps the nearest candidate and drops those that a
 ``RELAX``, than to the node, up to ``DEGREE`` times; edges are answered by reverse edges, and nodes of too many are
 pruned again. Searches of a batch run side by side as array operations.
 
-Queries, in blocks, meet the index of every shard by an equi-join; each shard is beam-searched, scores are taken
-anew in double precision from the original vectors, and the best of all shards are the answer.
+Queries are gathered in blocks of ``BLOCK``, and every block meets the index of every shard by an equi-join, so that an
+index moves once for that many queries; each shard is beam-searched, scores are taken anew in double precision from
+the original vectors, and the best of all shards are the answer.
 
 Vectors that are null, zero, or hold null or non-finite components take no part; vectors of other lengths are
 indexed apart. Repeated ids are one row each. Ties go to the smaller id.
@@ -27,12 +28,13 @@ from pyspark.sql.window import Window
 
 from .shared import over_batches, saved
 
-SHARD_NODES = 4_000
+SHARD_NODES = 10_000
 DEGREE = 32
 BEAM = 64
 QUERY_BEAM = 160
 RELAX = 1.2
-BLOCK = 512
+#: Queries that travel together, and that one search handles side by side.
+BLOCK, SIDE_BY_SIDE = 2_048, 256
 #: Neighbour lists that one step of a search opens.
 OPEN = 4
 
@@ -130,8 +132,8 @@ def build_graph(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         size = min(n - done, max(64, done // 2))
         new = order[done : done + size]
         found = np.full((size, BEAM), -1, dtype=np.int64)
-        for at in range(0, size, 1024):
-            found[at : at + 1024], _ = beam_search(v, half, graph, entries, v[new[at : at + 1024]], BEAM)
+        for at in range(0, size, SIDE_BY_SIDE):
+            found[at : at + SIDE_BY_SIDE], _ = beam_search(v, half, graph, entries, v[new[at : at + SIDE_BY_SIDE]], BEAM)
         graph[new] = robust_prune(v, new, found, DEGREE, RELAX)
         # reverse edges
         src = np.repeat(new, DEGREE)
@@ -199,7 +201,8 @@ def _unpacked(dim: int, vectors: bytes, graph: bytes, entries: bytes, ids: bytes
 def search_shard(index: tuple, query_ids: np.ndarray, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query, vec_id, score) of the k best of a shard for each query, its own id left out."""
     x, narrow, zero, graph, entries, ids, ends = index
-    found, _ = beam_search(narrow, zero, graph, entries, q.astype(np.float32), max(QUERY_BEAM, 2 * k))
+    small = q.astype(np.float32)
+    found = np.concatenate([beam_search(narrow, zero, graph, entries, small[at : at + SIDE_BY_SIDE], max(QUERY_BEAM, 2 * k))[0] for at in range(0, len(q), SIDE_BY_SIDE)])
     row, col = np.nonzero(found >= 0)
     node = found[row, col]
     score = np.einsum("ij,ij->i", x[node], q[row])
@@ -232,7 +235,9 @@ def search(index: DataFrame, queries: DataFrame, k: int, id_col: str = "vec_id",
             if own:
                 yield _block(own)
 
-    blocks = usable(queries, id_col, vector_col).mapInArrow(block, "dim int, query_ids binary, q binary")
+    asked = usable(queries, id_col, vector_col)
+    # tasks of a block each, whatever the files: part-filled blocks would send the indexes more often
+    blocks = asked.repartition(max(1, -(-asked.count() // BLOCK)), "vec_id").mapInArrow(block, "dim int, query_ids binary, q binary")
     # every block goes to each shard of its dimension; shards is a row a shard, without the index itself
     shards = index.groupBy("dim").agg(F.collect_set("shard").alias("shards"))
     sent = blocks.join(F.broadcast(shards), "dim").select("dim", F.explode("shards").alias("shard"), "query_ids", "q")
