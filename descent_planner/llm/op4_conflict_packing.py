@@ -5,8 +5,7 @@ white space that start in a piece, which says nothing of its size.
 
 A bin never holds two documents of one source, nor two of one duplicate cluster: it carries a bitmap of each. A
 cluster is a component of op7's near copies (``CORPUS``: 5 words, 0.8) over lower-case words between white space;
-texts without words have none. Bins
-are ordered by residual space. A document takes the bin of least residual that fits; where that one conflicts, the
+texts without words have none. Bins are ordered by residual space. A document takes the bin of least residual that fits; where that one conflicts, the
 search goes to its successor until a bin is compatible, and opens a bin where none is.
 
 Documents longer than a bin are cut: their full pieces fill bins of their own, and the rest is packed as one piece.
@@ -29,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .bpe import tree_encoder, vocabulary
 from .op6_bpe_codec import PIECE_BYTES, _tokenizer_path
-from .op7_near_duplicates import CORPUS, set_components, set_keys, shingle_sets
+from .op7_near_duplicates import CORPUS, SKETCHED, Params, components_of, sketch_columns
 from .shared import over_batches, pieces, saved
 
 CAPACITY = 2048
@@ -113,10 +112,10 @@ def pack_group(rows: list[tuple], capacity: int) -> list[tuple[int, int, int, in
 PACKED = "doc_id long, piece int, shard long, bin long, n_tokens long, source string, cluster long, n_ids long"
 
 
-def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROWS) -> DataFrame:
-    """Packs (doc_id, n_ids, source, cluster, words) by n_ids; the bins are named by (shard, bin). ``words`` are the words of each piece."""
+def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROWS, n_rows: int | None = None) -> DataFrame:
+    """Packs (doc_id, n_ids, source, cluster, words) by n_ids; the bins are named by (shard, bin). ``words`` are the words of each piece, ``n_rows`` how many items there are, where that is known."""
     items = items.select(F.col("doc_id").cast("long").alias("doc_id"), F.greatest(F.coalesce(F.col("n_ids").cast("long"), F.lit(0)), F.lit(0)).alias("n_ids"), F.col("source").cast("string").alias("source"), F.col("cluster").cast("long").alias("cluster"), F.col("words").cast("array<long>").alias("words"))
-    groups = max(1, round(items.count() / group_rows))
+    groups = max(1, round((items.count() if n_rows is None else n_rows) / group_rows))
     dealt = items.withColumn("shard", F.pmod(F.xxhash64("doc_id", "n_ids", "source", F.lit(11)), F.lit(groups))).repartition("shard").sortWithinPartitions("shard", "doc_id", "n_ids", "source", "cluster", "words")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -156,42 +155,48 @@ def words_of_pieces(text: str, lengths: np.ndarray, capacity: int) -> list[int]:
     return np.bincount(np.searchsorted(ends, at, "right"), minlength=-(-len(lengths) // capacity)).tolist()
 
 
-def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", capacity: int = CAPACITY) -> DataFrame:
-    """(doc_id, n_ids, source, words, set_key, text): ids are those of op6's encoder, ``words`` the words between white space of each piece, ``text`` the lower-case words and ``set_key`` op7's hash of their shingles."""
+def folded(text: str) -> str:
+    """Lower-case words with a space between."""
+    return " ".join(text.lower().split())
+
+
+#: What makes a cluster: op7's near copies, over folded texts.
+CLUSTERS = Params(CORPUS.shingle, CORPUS.num, CORPUS.den, CORPUS.bands, CORPUS.rows, folded)
+
+
+def measured(docs: DataFrame, capacity: int = CAPACITY) -> DataFrame:
+    """(doc_id, n_ids, source, words, n_shingles, set_key, bands) of (doc_id, text, source): ids are those of op6's encoder, ``words`` the words between white space of each piece, and the rest op7's sketches."""
     path = _tokenizer_path()
 
     def make():
         encoder, vocab = tree_encoder(path), vocabulary(path)
 
-        def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-            sizes, words, keys, lows = [], [], [], []
+        def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for part in pieces(batch, "text", PIECE_BYTES):
                 texts = part.column(1).to_pylist()
                 ids, n = encoder(texts)
-                sizes.append(n)
                 ends = np.cumsum(n)
-                words += [words_of_pieces(text or "", vocab.lengths[ids[a:b]], capacity) for text, a, b in zip(texts, (ends - n).tolist(), ends.tolist(), strict=True)]
-                low = [" ".join((text or "").lower().split()) for text in texts]
-                keys += set_keys(*shingle_sets(low, CORPUS.shingle))
-                lows += low
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(sizes).astype(np.int64)), batch.column(2), pa.array(words, pa.list_(pa.int64())), pa.array(keys, pa.binary()), pa.array(lows, pa.string())], ["doc_id", "n_ids", "source", "words", "set_key", "text"])
+                words = [words_of_pieces(text or "", vocab.lengths[ids[a:b]] if b - a > capacity else ids[a:b], capacity) for text, a, b in zip(texts, (ends - n).tolist(), ends.tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n.astype(np.int64)), part.column(2), pa.array(words, pa.list_(pa.int64())), *sketch_columns(texts, CLUSTERS)], ["doc_id", "n_ids", "source", "words", "n_shingles", "set_key", "bands"])
 
         return each
 
-    return over_batches(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(source_col).cast("string").alias("source")), make, "doc_id long, n_ids long, source string, words array<long>, set_key binary, text string")
+    return over_batches(docs, make, "doc_id long, n_ids long, source string, words array<long>, " + SKETCHED)
 
 
-def clustered(docs: DataFrame) -> DataFrame:
-    """What ``pack`` takes: the measures of ``docs`` and the cluster of each row (null without words)."""
+def clustered(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> tuple[DataFrame, int]:
+    """What ``pack`` takes: the measures of ``docs`` with the cluster of each row (null without words), and how many rows there are."""
+    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(source_col).cast("string").alias("source"))
     rows = saved(measured(docs), "measured")
-    _, named = set_components(rows, CORPUS)
+    named = components_of(docs.select("doc_id", "text"), rows, CLUSTERS)
     # sets that only rows without an id have are known by their hash
     cluster = F.when(F.col("set_key").isNotNull(), F.coalesce("comp", F.xxhash64("set_key")))
-    return saved(rows.drop("text").join(named.hint("merge"), "set_key", "left").select("doc_id", "n_ids", "source", cluster.alias("cluster"), "words"), "clustered")
+    return rows.drop("bands").join(named.hint("merge"), "set_key", "left").select("doc_id", "n_ids", "source", cluster.alias("cluster"), "words"), rows.count()
 
 
 def op4_conflict_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(clustered(spark.read.parquet(f"{sf_dir}/documents.parquet")))
+    items, n = clustered(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return pack(items, n_rows=n)
 
 
 QUERIES = {"op4_conflict_packing": op4_conflict_packing}

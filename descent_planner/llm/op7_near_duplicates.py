@@ -181,9 +181,12 @@ def band_keys(sketch: np.ndarray, bands: int, rows: int) -> np.ndarray:
 
 
 class Params:
-    def __init__(self, shingle: int, num: int, den: int, bands: int, rows: int):
-        """Link where den * intersection >= num * union."""
-        self.shingle, self.num, self.den, self.bands, self.rows = shingle, num, den, bands, rows
+    def __init__(self, shingle: int, num: int, den: int, bands: int, rows: int, fold=None):
+        """Link where den * intersection >= num * union. ``fold`` rewrites a text before it is read."""
+        self.shingle, self.num, self.den, self.bands, self.rows, self.fold = shingle, num, den, bands, rows, fold
+
+    def sets(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        return shingle_sets(texts if self.fold is None else [t and self.fold(t) for t in texts], self.shingle)
 
 
 #: 3-word shingles at 0.85: a link is missed with probability 1e-8 at most.
@@ -215,7 +218,7 @@ def sketch_columns(texts: list[str | None], p: Params) -> list[pa.Array]:
     total, at = np.cumsum(size), 0
     while at < len(texts):
         end = max(at + 1, int(np.searchsorted(total, total[at] - size[at] + PIECE_BYTES, "right")))
-        e, k = shingle_sets(texts[at:end], p.shingle)
+        e, k = p.sets(texts[at:end])
         elements.append(e)
         n.append(k)
         at = end
@@ -242,12 +245,12 @@ def sketched(docs: DataFrame, p: Params) -> DataFrame:
 
 def confirmed(docs: DataFrame, pairs: DataFrame, p: Params) -> DataFrame:
     """Those of ``pairs`` (a, b) that are linked, by their texts' full sets."""
-    shingle, num, den = p.shingle, p.num, p.den
+    num, den, sets_of = p.num, p.den, p.sets
 
     def make_sets():
         def each(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for part in pieces(b, "text", PIECE_BYTES):
-                elements, n = shingle_sets(part.column(2).to_pylist(), shingle)
+                elements, n = sets_of(part.column(2).to_pylist())
                 data, ends = elements.tobytes(), np.cumsum(n)
                 sets = [data[8 * (e - k) : 8 * e] for e, k in zip(ends.tolist(), n.tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sets, pa.binary())], ["id", "to", "elements"])
@@ -293,7 +296,7 @@ def _prefixes(docs: DataFrame, members: DataFrame, p: Params) -> DataFrame:
     n - ceil(t n) + 1. The order takes shingles that few members have first, by counts in a table of fixed size;
     what all texts of a group share comes last, so that a passage doesn't bring its texts together.
     """
-    shingle, num, den = p.shingle, p.num, p.den
+    num, den, sets_of = p.num, p.den, p.sets
     text = docs.select(F.col("doc_id").alias("id"), "text")
     many, shingles = members.agg(F.count("*"), F.coalesce(F.sum("n_shingles"), F.lit(0))).first()
     bits = min(MOST_BITS, max(LEAST_BITS, int(shingles).bit_length()))
@@ -305,7 +308,7 @@ def _prefixes(docs: DataFrame, members: DataFrame, p: Params) -> DataFrame:
         total = np.zeros(1 << bits, dtype=np.int32)
         for b in batches:
             for part in pieces(b, "text", PIECE_BYTES):
-                elements, _ = shingle_sets(part.column(2).to_pylist(), shingle)
+                elements, _ = sets_of(part.column(2).to_pylist())
                 np.add.at(total, (elements >> low).astype(np.int64), 1)
         slot = np.flatnonzero(total)
         for at in range(0, len(slot), 10_000):
@@ -322,7 +325,7 @@ def _prefixes(docs: DataFrame, members: DataFrame, p: Params) -> DataFrame:
 
         def each(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for part in pieces(b, "text", PIECE_BYTES):
-                elements, n = shingle_sets(part.column(2).to_pylist(), shingle)
+                elements, n = sets_of(part.column(2).to_pylist())
                 owner = np.repeat(np.arange(part.num_rows), n)
                 order = np.lexsort((elements, counts[(elements >> low).astype(np.int64)], owner))
                 first = np.cumsum(n) - n

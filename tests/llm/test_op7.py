@@ -3,6 +3,7 @@ import re
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from descent_planner.llm import op7_near_duplicates as op7
 
@@ -64,6 +65,36 @@ def test_op7_equals_all_pairs(spark, sf, tmp_path, case):
     assert sorted(map(tuple, op7.op7_near_duplicates(spark, folder).collect())) == brute(rows, op7.CONTRACT)
 
 
+def test_rows_of_one_id_are_one_document(spark):
+    rows = [(5, "a b c d"), (3, "x y z w"), (5, "x y z w"), (None, "x y z w"), (None, "lonely words"), (9, "a b c d"), (7, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r.doc_id or -1, r.component_id or -1, r.kept) for r in op7.near_duplicates(docs, op7.CONTRACT).collect())
+    assert got == [(-1, -1, True), (-1, 3, True), (3, 3, True), (5, 3, False), (5, 3, False), (7, 7, True), (9, 3, False)]
+    left = sorted((r.doc_id or -1, r.text or "") for r in op7.drop_near_duplicates(docs, op7.CONTRACT).collect())
+    assert left == [(-1, "lonely words"), (-1, "x y z w"), (3, "x y z w"), (7, "")]
+
+
+def test_many_short_and_one_very_long_text(spark):
+    short = spark.range(100_000).select("id", F.concat(F.lit("w"), F.col("id") % 90_000, F.lit(" x y z")).alias("text"))
+    long = spark.range(2).select((F.col("id") + 200_000).alias("id"), F.array_join(F.transform(F.sequence(F.lit(1), F.lit(2_800_000)), lambda i: F.concat(F.lit("w"), (i.cast("long") * 7919) % 1000003)), " ").alias("text"))
+    docs = short.union(long).select(F.col("id").alias("doc_id"), "text")
+    got = op7.near_duplicates(docs, op7.CONTRACT).groupBy((F.col("doc_id") >= 200_000).alias("long")).agg(F.count("*").alias("n"), F.sum(F.col("kept").cast("int")).alias("kept"), F.max("n_shingles").alias("most"))
+    assert {(r.long, r.n, r.kept) for r in got.collect()} == {(False, 100_000, 90_000), (True, 2, 1)}
+
+
+@pytest.mark.parametrize("size", [1, 3, 5])
+def test_windows_give_the_same_set(size, monkeypatch):
+    rng = random.Random(size)
+    text = " ".join("Ab" * rng.randint(1, 9) for _ in range(3000)) + "\n\t  end " + "z" * 700
+    want = op7.shingle_sets([text], size)
+    monkeypatch.setattr(op7, "PIECE_BYTES", 500)
+    for texts in ([text], [None, text, "a b"]):
+        elements, n = op7.shingle_sets(texts, size)
+        at = 0 if len(texts) == 1 else int(n[0])
+        own = elements[at : at + n[texts.index(text)]]
+        assert (own == want[0]).all() and len(own) == want[1][0] == len(sets_of(text, size))
+
+
 def test_op7_empty(spark, tmp_path):
     assert op7.op7_near_duplicates(spark, edge.tables(spark, tmp_path, [])).count() == 0
 
