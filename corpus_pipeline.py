@@ -27,7 +27,7 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of the smallest id of each group at 0.8 over 5-word shingles."""
+    """Keeps the document of the smallest id of each group at 0.8 over 5-word shingles; rows of one id stay or go together, rows without an id stay."""
     return op7_near_duplicates.drop_near_duplicates(docs)
 
 
@@ -39,9 +39,10 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Packs all documents into bins in which no source and no cluster of near copies comes twice.
 
-    Clusters are looked for anew, since the redaction may have made near copies.
+    Clusters are looked for anew, since the redaction may have made near copies. Every row is packed, repeated ids too.
     """
-    return op4_conflict_packing.pack(op4_conflict_packing.clustered(docs))
+    items, n = op4_conflict_packing.clustered(docs)
+    return op4_conflict_packing.pack(items, n_rows=n)
 
 
 def _measured(docs: DataFrame) -> DataFrame:
