@@ -10,7 +10,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.gradients import GRADIENTS
-from .descent import Config, FitResult, Partial, _run, compute, compute_local, dimension, local, stage, update
+from .descent import SQL_FEATURES, Config, FitResult, Partial, _keyed, _run, compute, compute_local, dimension, stage, update
+from .samplers import SPAN, Bernoulli, py_rank, rank_key
 
 
 def library_sgd(units: DataFrame, gradient: str, cfg: Config, fraction: float = 1.0) -> FitResult:
@@ -49,9 +50,15 @@ def bernoulli_tree(units: DataFrame, gradient: str, cfg: Config, fraction: float
         units.unpersist()
 
 
-def matrix_blocks_standin(units: DataFrame, gradient: str, cfg: Config, block_rows: int = 4096) -> tuple[FitResult, float]:
+def drawn(ids: np.ndarray, seed: int, i: int, fraction: float) -> np.ndarray:
+    """Which ids the Bernoulli sampler keeps in draw i."""
+    return np.array([py_rank(seed, i, int(k)) for k in ids], dtype=np.int64) < min(1.0, fraction) * SPAN
+
+
+def matrix_blocks_standin(units: DataFrame, gradient: str, cfg: Config, block_rows: int = 4096, fraction: float = 1.0) -> tuple[FitResult, float]:
     """Stand-in for a declarative matrix system: rows are converted to binary blocks first (its seconds apart), then
-    each iteration is a block-wise product; one block runs on the driver."""
+    each iteration is a block-wise product; one block runs on the driver. With a ``fraction`` each block multiplies a
+    selection of its rows (MGD, SGD), for which it is read whole; an iteration whose selection is empty changes nothing."""
     g = GRADIENTS[gradient]
     began = time.monotonic()
     d = dimension(units)
@@ -61,33 +68,36 @@ def matrix_blocks_standin(units: DataFrame, gradient: str, cfg: Config, block_ro
             for at in range(0, b.num_rows, block_rows):
                 part = b.slice(at, block_rows)
                 x = part.column(1).flatten().to_numpy().astype("<f8")
-                yield pa.RecordBatch.from_arrays([pa.array([part.num_rows]), pa.array([part.column(0).to_numpy().astype("<f8").tobytes()], pa.binary()), pa.array([x.tobytes()], pa.binary())], ["n", "y", "x"])
+                yield pa.RecordBatch.from_arrays([pa.array([part.num_rows]), pa.array([part.column(0).to_numpy().astype("<f8").tobytes()], pa.binary()), pa.array([x.tobytes()], pa.binary()), pa.array([part.column(2).to_numpy().astype("<i8").tobytes()], pa.binary())], ["n", "y", "x", "ids"])
 
-    blocks = units.select("label", "features").mapInArrow(to_blocks, "n long, y binary, x binary").persist()
+    blocks = units.select("label", "features", F.col("unit_id").cast("long")).mapInArrow(to_blocks, "n long, y binary, x binary, ids binary").persist()
     many = blocks.count() > 1
     conversion = time.monotonic() - began
+    coefficient, loss, seed = g.np_coefficient, g.np_loss, cfg.seed
     if not many:
-        x, y = local(units)
-    coefficient, loss = g.np_coefficient, g.np_loss
+        one_block = blocks.first()
+        x, y, ids = (np.frombuffer(b, kind) for b, kind in zip((one_block.x, one_block.y, one_block.ids) if one_block else (b"", b"", b""), ("<f8", "<f8", "<i8"), strict=True))
+        x = x.reshape(len(y), -1)
 
     def one(i, w):
         if not many:
-            p = compute_local(x, y, w, g)
+            rows = drawn(ids, seed, i, fraction) if fraction < 1 else slice(None)
+            p = compute_local(x[rows], y[rows], w, g)
         else:
 
             def products(batches, w=w):
                 for b in batches:
-                    for n, y, x in zip(*(b.column(k).to_pylist() for k in range(3)), strict=True):
+                    for n, y, x, ids in zip(*(b.column(k).to_pylist() for k in range(4)), strict=True):
                         m, t = np.frombuffer(x, "<f8").reshape(n, -1), np.frombuffer(y, "<f8")
+                        if fraction < 1:
+                            rows = drawn(np.frombuffer(ids, "<i8"), seed, i, fraction)
+                            m, t = m[rows], t[rows]
                         z = m @ w
-                        yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([float(loss(z, t).sum())]), pa.array([(m.T @ coefficient(z, t)).tolist()], pa.list_(pa.float64()))], ["n", "loss", "grad"])
+                        yield pa.RecordBatch.from_arrays([pa.array([[*(m.T @ coefficient(z, t)).tolist(), float(len(t)), float(loss(z, t).sum())]], pa.list_(pa.float64()))], ["sums"])
 
-            sums = blocks.mapInArrow(products, "n long, loss double, grad array<double>").select("n", "loss", F.posexplode("grad").alias("j", "g")).groupBy("j").agg(F.sum("n").alias("n"), F.sum("loss").alias("loss"), F.sum("g").alias("g")).collect()
-            grad = np.zeros(d)
-            for r in sums:
-                grad[r.j] = r.g
-            p = Partial(sums[0].n, sums[0].loss, grad)
-        return update(p, w, cfg.alpha(i), cfg), p.n, cfg.alpha(i)
+            sums = blocks.mapInArrow(products, "sums array<double>").select(F.posexplode("sums").alias("j", "x")).groupBy("j").agg(F.sum("x").alias("g")).collect()
+            p = _keyed(sums, d)
+        return (update(p, w, cfg.alpha(i), cfg) if p.n else None), p.n, cfg.alpha(i)
 
     try:
         return _run(np.zeros(d), cfg, one), conversion
@@ -95,15 +105,17 @@ def matrix_blocks_standin(units: DataFrame, gradient: str, cfg: Config, block_ro
         blocks.unpersist()
 
 
-def fused_standin(units: DataFrame, gradient: str, cfg: Config, max_bytes: int = 1 << 30) -> FitResult:
+def fused_standin(units: DataFrame, gradient: str, cfg: Config, max_bytes: int = 1 << 30, fraction: float = 1.0) -> FitResult:
     """Stand-in for an abstraction that fuses Compute and Update: all units of an iteration pass one task, in order of
-    their ids. Reports FAILED_CAPACITY where they hold more than ``max_bytes``."""
+    their ids. Reports FAILED_CAPACITY where those, or the weights that the task sends back, hold more than ``max_bytes``.
+    With a ``fraction`` the sample is drawn in parallel and goes to the one task (MGD, SGD)."""
     g = GRADIENTS[gradient]
     d = dimension(units)
-    if units.count() * d * 8 > max_bytes:
+    if units.count() * min(1.0, fraction) * d * 8 > max_bytes:
         return FitResult(np.zeros(d), [], "FAILED_CAPACITY", cfg)
-    one_task = units.select("unit_id", "label", "features").coalesce(1).sortWithinPartitions("unit_id").persist()
-    coefficient = g.np_coefficient
+    mine = units.select("unit_id", "label", "features")
+    mine = (mine.coalesce(1).sortWithinPartitions("unit_id") if fraction >= 1 else mine).persist()
+    coefficient, sampler = g.np_coefficient, Bernoulli(fraction, cfg.seed)
 
     def one(i, w):
         def serial(batches, w=w):
@@ -115,29 +127,71 @@ def fused_standin(units: DataFrame, gradient: str, cfg: Config, max_bytes: int =
                     n += b.num_rows
             yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([grad.tolist()], pa.list_(pa.float64()))], ["n", "grad"])
 
-        r = one_task.mapInArrow(serial, "n long, grad array<double>").first()
-        return update(Partial(r.n, 0.0, np.array(r.grad)), w, cfg.alpha(i), cfg), r.n, cfg.alpha(i)
+        batch = mine if fraction >= 1 else sampler.draw(mine, i).repartition(1).sortWithinPartitions("unit_id")
+        r = batch.mapInArrow(serial, "n long, grad array<double>").first()
+        return (update(Partial(r.n, 0.0, np.array(r.grad)), w, cfg.alpha(i), cfg) if r and r.n else None), r.n if r else 0, cfg.alpha(i)
 
     try:
         return _run(np.zeros(d), cfg, one)
     finally:
-        one_task.unpersist()
+        mine.unpersist()
 
 
-def handcoded_bgd(units: DataFrame, gradient: str, iterations: int, beta: float = 1.0) -> np.ndarray:
-    """The same plan as a straight loop without operators."""
+def handcoded_bgd(units: DataFrame, gradient: str, iterations: int, beta: float = 1.0, fraction: float = 1.0, seed: int = 7) -> np.ndarray:
+    """The same plan as a straight loop without operators; with a ``fraction`` over a Bernoulli sample (MGD, SGD)."""
     g = GRADIENTS[gradient]
     units = units.persist()
     w = np.zeros(dimension(units))
+    coefficient = g.np_coefficient
     for i in range(1, iterations + 1):
-        z = sum((F.element_at("features", j + 1) * float(w[j]) for j in range(len(w))), F.lit(0.0))
-        c = g.coefficient(z, F.col("label"))
-        row = units.agg(*(F.avg(c * F.element_at("features", j + 1)) for j in range(len(w)))).first()
-        w = w - beta / np.sqrt(i) * np.array(row)
+        rows = units if fraction >= 1 else units.where(rank_key(seed, i, F.col("unit_id")) < fraction * SPAN)
+        if len(w) <= SQL_FEATURES:
+            z = sum((F.element_at("features", j + 1) * float(w[j]) for j in range(len(w))), F.lit(0.0))
+            c = g.coefficient(z, F.col("label"))
+            mean = rows.agg(*(F.avg(c * F.element_at("features", j + 1)) for j in range(len(w)))).first()
+            mean = None if mean[0] is None else np.array(mean)
+        else:
+
+            def sums(batches, w=w):
+                total = np.zeros(len(w) + 1)
+                for b in batches:
+                    if b.num_rows:
+                        x = b.column(1).flatten().to_numpy().reshape(b.num_rows, -1)
+                        total[:-1] += x.T @ coefficient(x @ w, b.column(0).to_numpy())
+                        total[-1] += b.num_rows
+                yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.float64()))], ["t"])
+
+            total = np.sum([r.t for r in rows.select("label", "features").mapInArrow(sums, "t array<double>").collect()], axis=0)
+            mean = total[:-1] / total[-1] if total[-1] else None
+        if mean is not None:
+            w = w - beta / np.sqrt(i) * mean
     units.unpersist()
     return w
 
 
+def handcoded_shuffled(units: DataFrame, gradient: str, iterations: int, batch: int = 1, beta: float = 1.0, seed: int = 7) -> np.ndarray:
+    """MGD or SGD over shuffled partitions as a straight loop: one partition after the other, in order of its hashes."""
+    g = GRADIENTS[gradient]
+    sizes = {r.part_id: r.n for r in units.groupBy("part_id").agg(F.count("*").alias("n")).collect()}
+    w, i, epoch = np.zeros(dimension(units)), 0, 0
+    while i < iterations:
+        before = i
+        for p in sorted(sizes, key=lambda p: (py_rank(seed, epoch, f"part{p}"), p)):
+            if i == iterations:
+                break
+            rows = units.where(F.col("part_id") == p).orderBy(rank_key(seed, epoch, F.col("unit_id")), "unit_id").select("label", "features").collect()
+            for at in range(0, len(rows) - batch + 1, batch):
+                if i == iterations:
+                    break
+                i += 1
+                x, y = np.array([r.features for r in rows[at : at + batch]], dtype=float), np.array([r.label for r in rows[at : at + batch]], dtype=float)
+                w = w - beta / np.sqrt(i) * (x.T @ g.np_coefficient(x @ w, y)) / batch
+        epoch += 1
+        if i == before:
+            raise ValueError("no partition holds a batch")
+    return w
+
+
 def ols_exact(units: DataFrame) -> np.ndarray:
     """Normal equations from one aggregate of the Gram matrix, for few features."""
     d = dimension(units)

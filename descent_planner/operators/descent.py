@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from ..functions.gradients import GRADIENTS, Gradient, penalty, regulariser
 from ..functions.steps import NORMS, STEPS, LoopRule
-from .samplers import Bernoulli, RandomPartition, ShuffledPartition, partition_catalog
+from .samplers import CUSTOM, SPAN, Bernoulli, Layout, RandomPartition, ShuffledPartition, partition_catalog, py_rank
 
 #: Up to this many features gradients are SQL sums; beyond it NumPy sums of Arrow batches.
 SQL_FEATURES = 16
@@ -139,12 +139,10 @@ def compute(units: DataFrame, w: np.ndarray, gradient: Gradient, how: str = "aut
         return Partial(row[0], row[1] or 0.0, np.array([x or 0.0 for x in row[2:]]))
     if how == "keyed":
         z = margin(w)
-        pairs = units.select(gradient.coefficient(z, F.col("label")).alias("c"), F.posexplode("features").alias("j", "x"))
-        grad = np.zeros(d)
-        for r in pairs.groupBy("j").agg(F.sum(F.col("c") * F.col("x")).alias("g")).collect():
-            grad[r.j] = r.g or 0.0
-        row = units.agg(F.count("*"), F.sum(gradient.loss(z, F.col("label")))).first()
-        return Partial(row[0], row[1] or 0.0, grad)
+        c = gradient.coefficient(z, F.col("label"))
+        # count and loss ride along as the keys d and d + 1: one scan, one shuffle
+        cells = units.select("features", c.alias("c"), gradient.loss(z, F.col("label")).alias("l")).select(F.posexplode(F.concat(F.transform("features", lambda x: F.col("c") * x), F.array(F.lit(1.0), F.col("l")))).alias("j", "x"))
+        return _keyed(cells.groupBy("j").agg(F.sum("x").alias("g")).collect(), d)
     weights = np.asarray(w, dtype=float)
     coefficient, loss = gradient.np_coefficient, gradient.np_loss
 
@@ -158,18 +156,30 @@ def compute(units: DataFrame, w: np.ndarray, gradient: Gradient, how: str = "aut
                 grad += x.T @ coefficient(z, y)
                 total += float(loss(z, y).sum())
                 n += b.num_rows
-        yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([total]), pa.array([grad.tolist()], pa.list_(pa.float64()))], ["n", "loss", "grad"])
+        yield pa.RecordBatch.from_arrays([pa.array([[*grad.tolist(), float(n), total]], pa.list_(pa.float64()))], ["sums"])
 
-    parts = units.select("label", "features").mapInArrow(sums, "n long, loss double, grad array<double>")
-    if how == "tree" or parts.rdd.getNumPartitions() * d * 8 > PARTIAL_BYTES:
-        pairs = parts.select("n", "loss", F.posexplode("grad").alias("j", "g"))
-        grad = np.zeros(d)
-        for r in pairs.groupBy("j").agg(F.sum("g").alias("g")).collect():
-            grad[r.j] = r.g
-        row = parts.agg(F.sum("n"), F.sum("loss")).first()
-        return Partial(row[0] or 0, row[1] or 0.0, grad)
+    parts = units.select("label", "features").mapInArrow(sums, "sums array<double>")
+    if how == "tree" or _tasks(units) * d * 8 > PARTIAL_BYTES:
+        return _keyed(parts.select(F.posexplode("sums").alias("j", "x")).groupBy("j").agg(F.sum("x").alias("g")).collect(), d)
     rows = parts.collect()
-    return Partial(sum(r.n for r in rows), sum(r.loss for r in rows), np.sum([r.grad for r in rows], axis=0) if rows else np.zeros(d))
+    total = np.sum([r.sums for r in rows], axis=0) if rows else np.zeros(d + 2)
+    return Partial(int(total[d]), float(total[d + 1]), total[:d])
+
+
+def _keyed(rows: list, d: int) -> Partial:
+    """Sums by feature, with the count and the loss after the last one."""
+    total = np.zeros(d + 2)
+    for r in rows:
+        total[r.j] = r.g or 0.0
+    return Partial(int(total[d]), float(total[d + 1]), total[:d])
+
+
+def _tasks(units: DataFrame) -> int:
+    """How many tasks read ``units``; asked once a table, since the answer may run its shuffles."""
+    known = units.__dict__.get("_task_count")
+    if known is None:
+        known = units.__dict__["_task_count"] = units.rdd.getNumPartitions()
+    return known
 
 
 def compute_local(x: np.ndarray, y: np.ndarray, w: np.ndarray, gradient: Gradient) -> Partial:
@@ -274,55 +284,78 @@ def bgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, c
             units.unpersist()
 
 
-def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, batch: int = 1000, sampler: str = "bernoulli", transform=None, fraction: float | None = None, log: RunLog | None = None, **sampler_options) -> FitResult:
-    """Mini-batch descent. ``units`` hold part_id for the partition samplers.
+def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, batch: int = 1000, sampler: str = "bernoulli", transform=None, fraction: float | None = None, log: RunLog | None = None, layout: Layout | None = None, **sampler_options) -> FitResult:
+    """Mini-batch descent. ``units`` hold part_id for the partition samplers, unless they are laid out in files: then a
+    draw opens the files of its partitions alone.
 
     With ``transform`` the units are raw rows and are transformed after each draw (lazy); else they are transformed
-    already (eager). Both draw by the units' ids, so that weights agree to the bit.
+    already (eager). Both draw by the units' ids, so that weights agree to the bit. The result's ``touched`` counts
+    units, partitions and, with a layout, bytes that draws read.
     """
     cfg, g = cfg or Config(), GRADIENTS[gradient]
+    units = layout.rows if layout else units
     lazily = transform or (lambda df: df)
     sample = lazily(units.limit(1))
     d = dimension(sample)
-    touched = {"units": 0, "partitions": 0}
+    touched = {"units": 0, "partitions": 0, "bytes": 0}
     seek = cursor = None
+
+    def opened(parts) -> None:
+        touched["partitions"] += len(parts)
+        if layout:
+            touched["bytes"] += sum(layout.bytes[p] for p in parts)
+
     if sampler == "bernoulli":
-        n = units.count()
+        n = sum(layout.sizes.values()) if layout else units.count()
         chooser = Bernoulli(fraction if fraction is not None else min(1.0, batch / n), cfg.seed, **sampler_options)
 
         def one(i, w):
             for again in range(10):
                 p = compute(lazily(chooser.draw(units, i + again * 1_000_003)), w, g, cfg.aggregation)
                 touched["units"] += n
+                if layout:
+                    opened(layout.sizes)
                 if p.n or cfg.on_empty == "skip":
                     break
             return (update(p, w, cfg.alpha(i), cfg) if p.n else None), p.n, cfg.alpha(i)
 
     else:
-        sizes = {r.part_id: r.n_units for r in partition_catalog(units).collect()}
+        sizes = layout.sizes if layout else {r.part_id: r.n_units for r in partition_catalog(units).collect()}
+        read = {"read": layout.read} if layout else {}
         if sampler == "random":
-            chooser = RandomPartition(sizes, min(batch, sum(sizes.values())), cfg.seed, **sampler_options)
+            chooser = RandomPartition(sizes, min(batch, sum(sizes.values())), cfg.seed, **read, **sampler_options)
 
             def one(i, w):
-                touched["partitions"] += len({p for p, _ in chooser.picks(i)})
+                opened({p for p, _ in chooser.picks(i)})
                 x, y = local(lazily(chooser.draw(units, i)))
                 touched["units"] += len(y)
                 return update(compute_local(x, y, w, g), w, cfg.alpha(i), cfg), len(y), cfg.alpha(i)
 
+        elif sampler in CUSTOM:
+            chooser = CUSTOM[sampler][0](sizes, batch, cfg.seed, **sampler_options)
+
+            def one(i, w):
+                p = compute(lazily(chooser.draw(units, i)), w, g, cfg.aggregation)
+                touched["units"] += p.n
+                return (update(p, w, cfg.alpha(i), cfg) if p.n else None), p.n, cfg.alpha(i)
+
         else:
-            chooser = ShuffledPartition(sizes, batch, cfg.seed, **sampler_options)
+            chooser = ShuffledPartition(sizes, batch, cfg.seed, **({} if "read" in sampler_options else read), **sampler_options)
             made: dict = {}
             seek, cursor = (lambda at, draws: chooser.seek(units, at, draws)), chooser.cursor
 
             def one(i, w):
                 rows = [r for _, r in chooser.draw_rows(units)]
                 touched["partitions"] = chooser.reads
+                if layout:
+                    touched["bytes"] = sum(layout.bytes[p] * k for p, k in chooser.opened.items())
                 touched["units"] += len(rows)
                 if transform is None:
                     x, y = np.array([r.features for r in rows], dtype=float), np.array([r.label for r in rows], dtype=float)
                 else:
                     made["schema"] = made.get("schema") or units.schema
-                    x, y = local(lazily(units.sparkSession.createDataFrame(rows, made["schema"])))
+                    # the batch's order stays that of the draw, so that sums are those of the eager plan
+                    x, y = _in_order(lazily(units.sparkSession.createDataFrame(rows, made["schema"]).coalesce(1)))
                 return update(compute_local(x, y, w, g), w, cfg.alpha(i), cfg), len(y), cfg.alpha(i)
 
     try:
@@ -334,6 +367,70 @@ def mgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, b
     return out
 
 
+def _in_order(units: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels of one task's rows as they come."""
+    rows = units.select("label", "features").collect()
+    return np.array([r.features for r in rows], dtype=float), np.array([r.label for r in rows], dtype=float)
+
+
+def on_driver(ids: np.ndarray, x: np.ndarray, y: np.ndarray, gradient: str, cfg: Config, algorithm: str, batch: int = 1000, sampler: str = "shuffle", parts: int = 8, fraction: float | None = None) -> FitResult:
+    """An algorithm over units that one partition holds, without a job: draws are those of the samplers on the cluster,
+    by the same hashes of the same ids, so that the weights are those of the cluster's run."""
+    g, n = GRADIENTS[gradient], len(y)
+    if not n:
+        raise EmptyDataset("no unit to learn from")
+    order = np.lexsort((y, ids))
+    ids, x, y = ids[order], x[order], y[order]
+    part = ids % parts
+    of = {int(p): np.flatnonzero(part == p) for p in np.unique(part)}
+    sizes = {p: len(rows) for p, rows in of.items()}
+    touched = {"units": 0, "partitions": 0, "bytes": 0}
+    m = 1 if algorithm == "sgd" else batch
+
+    def source(chosen, epoch, low, high):
+        rows = [(py_rank(cfg.seed, epoch, int(ids[k])), int(ids[k]), int(p), int(k)) for p in chosen for k in of[p]]
+        return [(p, k) for r, _, p, k in sorted(rows) if low <= r < high]
+
+    if algorithm == "bgd":
+        draw = lambda i: slice(None)
+    elif sampler == "bernoulli":
+        limit = min(1.0, fraction if fraction is not None else m / n) * SPAN
+
+        def draw(i):
+            for again in range(10):
+                touched["units"] += n
+                rows = np.flatnonzero(np.array([py_rank(cfg.seed, i + again * 1_000_003, int(k)) for k in ids]) < limit)
+                if len(rows) or cfg.on_empty == "skip":
+                    break
+            return rows
+
+    elif sampler == "random":
+        chooser = RandomPartition(sizes, min(m, n), cfg.seed)
+
+        def draw(i):
+            picks = chooser.picks(i)
+            touched["partitions"] += len({p for p, _ in picks})
+            return np.sort([of[p][o] for p, o in picks])
+
+    else:
+        chooser = ShuffledPartition(sizes, m, cfg.seed, source=source)
+
+        def draw(i):
+            rows = np.array([k for _, k in chooser.draw_rows(None)])
+            touched["partitions"] = chooser.reads
+            return rows
+
+    def one(i, w):
+        rows = draw(i)
+        p = compute_local(x[rows], y[rows], w, g)
+        touched["units"] += p.n * (sampler != "bernoulli" or algorithm == "bgd")
+        return (update(p, w, cfg.alpha(i), cfg) if p.n else None), p.n, cfg.alpha(i)
+
+    out = _run(stage(x.shape[1], cfg), cfg, one)
+    out.touched = touched
+    return out
+
+
 def local(units: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """Features and labels of a bounded draw, in order of the ids."""
     rows = sorted((r.unit_id, r.label, r.features) for r in units.select("unit_id", "label", "features").collect())
@@ -361,11 +458,11 @@ def svrg(units: DataFrame, gradient: str, cfg: Config, every: int) -> FitResult:
         if (i - 1) % every == 0:
             p = compute(units, w, g, cfg.aggregation)
             at["w"], at["mu"] = w, p.grad / p.n
-            return w - cfg.alpha(i) * at["mu"], p.n, cfg.alpha(i)
+            return w - cfg.alpha(i) * (at["mu"] + regulariser(cfg.reg, cfg.lam, w)), p.n, cfg.alpha(i)
         r = chooser.draw_rows(units)[0][1]
         x, y = np.array([r.features], dtype=float), np.array([r.label])
         v = compute_local(x, y, w, g).grad - compute_local(x, y, at["w"], g).grad + at["mu"]
-        return w - cfg.alpha(i) * v, 1, cfg.alpha(i)
+        return w - cfg.alpha(i) * (v + regulariser(cfg.reg, cfg.lam, w)), 1, cfg.alpha(i)
 
     return _run(stage(d, cfg, units), cfg, one)
 
@@ -391,8 +488,9 @@ def bgd_line_search(units: DataFrame, gradient: str, cfg: Config, shrink: float
 
     def one(i, w):
         p = compute(units, w, g, cfg.aggregation)
-        grad, f0 = p.grad / p.n, p.loss / p.n
-        values = (lambda k: losses_along(units, w, grad, [grid[k]], g)[0]) if serial else losses_along(units, w, grad, grid, g).__getitem__
+        grad, f0 = p.grad / p.n + regulariser(cfg.reg, cfg.lam, w), p.loss / p.n + penalty(cfg.reg, cfg.lam, w)
+        losses = (lambda k: losses_along(units, w, grad, [grid[k]], g)[0]) if serial else losses_along(units, w, grad, grid, g).__getitem__
+        values = lambda k: losses(k) + penalty(cfg.reg, cfg.lam, w - grid[k] * grad)
         for k, a in enumerate(grid):
             drop = f0 - values(k)
             if rule == "armijo" and drop >= sigma * a * float(grad @ grad) or rule == "printed" and drop < a * i:
@@ -415,7 +513,7 @@ def bgd_bb(units: DataFrame, gradient: str, cfg: Config, kind: int = 1) -> FitRe
 
     def one(i, w):
         p = compute(units, w, g, cfg.aggregation)
-        grad = p.grad / p.n
+        grad = p.grad / p.n + regulariser(cfg.reg, cfg.lam, w)
         alpha = cfg.alpha(i)
         if last:
             s, y = w - last["w"], grad - last["g"]
@@ -440,39 +538,82 @@ def objective(units: DataFrame, w: np.ndarray, gradient: str, reg: str = "none",
 ALGORITHMS = {"bgd": bgd, "mgd": mgd, "sgd": sgd}
 
 
-def register_algorithm(name: str, run, samples: bool = False) -> None:
-    from ..plans.space import SAMPLED
+def register_algorithm(name: str, run, samples: bool = False, scans: float = 1.0) -> None:
+    """Adds ``run(units, gradient, cfg)`` to the space of plans. Its units hold part_id; it gives a FitResult.
+
+    Its iterations are estimated by running it over the speculation's sample. An iteration costs ``scans`` scans of all
+    units, or with ``samples`` what a sampled batch does; then it takes samplers and laziness as MGD does.
+    """
+    from ..plans.space import SAMPLED, SCANS
 
     ALGORITHMS[name] = run
     SAMPLED[name] = samples
+    SCANS[name] = scans
+
+
+def unregister_algorithm(name: str) -> None:
+    from ..plans.space import SAMPLED, SCANS
+
+    for known in (ALGORITHMS, SAMPLED, SCANS):
+        known.pop(name, None)
+
+
+#: Most bytes of weights that every task holds; beyond them weights are a table.
+WEIGHT_BYTES = 256 << 20
 
 
 def sparse_margins(sparse: DataFrame, weights: DataFrame) -> DataFrame:
-    """(unit_id, label, z) by joining features with a table of weights (j, w): for dimensions no literal can hold."""
+    """(unit_id, label, z, cells) by joining features with a table of weights (j, w): for dimensions that no task can
+    hold. A hot feature is one row of the weights' side, so a skewed join splits the features' side."""
     pairs = sparse.select("unit_id", "label", F.explode(F.arrays_zip("idx", "val")).alias("p")).select("unit_id", "label", F.col("p.idx").alias("j"), F.col("p.val").alias("x"))
-    return pairs.join(weights, "j", "left").groupBy("unit_id", "label").agg(F.sum(F.col("x") * F.coalesce("w", F.lit(0.0))).alias("z"))
+    met = pairs.join(weights, "j", "left")
+    return met.groupBy("unit_id", "label").agg(F.sum(F.col("x") * F.coalesce("w", F.lit(0.0))).alias("z"), F.collect_list(F.struct("j", "x")).alias("cells"))
+
+
+def sparse_gradient(margins: DataFrame, gradient: Gradient) -> DataFrame:
+    """(j, g): the sum of gradients keyed by feature; the margins hold the units' features, so none is read again."""
+    c = margins.select(gradient.coefficient(F.col("z"), F.col("label")).alias("c"), F.explode("cells").alias("p"))
+    return c.groupBy(F.col("p.j").alias("j")).agg(F.sum(F.col("c") * F.col("p.x")).alias("g"))
 
 
-def sparse_gradient(sparse: DataFrame, margins: DataFrame, gradient: Gradient) -> DataFrame:
-    """(j, g): the sum of gradients keyed by feature."""
-    c = margins.select("unit_id", gradient.coefficient(F.col("z"), F.col("label")).alias("c"))
-    pairs = sparse.select("unit_id", F.explode(F.arrays_zip("idx", "val")).alias("p")).select("unit_id", F.col("p.idx").alias("j"), F.col("p.val").alias("x"))
-    return pairs.join(c, "unit_id").groupBy("j").agg(F.sum(F.col("c") * F.col("x")).alias("g"))
+def sparse_partials(sparse: DataFrame, w: np.ndarray, gradient: Gradient) -> DataFrame:
+    """(j, g) with the weights in every task: each adds its units by Arrow batches, so that a task sends a row for each
+    feature that it met, and features meet in one shuffle. Weights beyond ``WEIGHT_BYTES`` raise."""
+    if w.nbytes > WEIGHT_BYTES:
+        raise ValueError(f"{w.nbytes} bytes of weights: use sparse_margins with a table of them")
+    known = sparse.sparkSession.sparkContext.broadcast(np.asarray(w, dtype=float))
+    coefficient = gradient.np_coefficient
+
+    def sums(batches):
+        weights = known.value
+        grad, met = np.zeros(len(weights)), np.zeros(len(weights), dtype=bool)
+        for b in batches:
+            if b.num_rows:
+                n = np.diff(b.column(1).offsets.to_numpy())
+                j, x = b.column(1).flatten().to_numpy(), b.column(2).flatten().to_numpy()
+                row = np.repeat(np.arange(b.num_rows), n)
+                inside = j < len(weights)
+                j, x, row = j[inside], x[inside], row[inside]
+                z = np.bincount(row, weights=weights[j] * x, minlength=b.num_rows)
+                np.add.at(grad, j, coefficient(z, b.column(0).to_numpy())[row] * x)
+                met[j] = True
+        at = np.flatnonzero(met)
+        for k in range(0, len(at), 10_000):
+            own = at[k : k + 10_000]
+            yield pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array(grad[own])], ["j", "g"])
+
+    return sparse.select("label", "idx", "val").mapInArrow(sums, "j int, g double").groupBy("j").agg(F.sum("g").alias("g"))
 
 
 def bgd_sparse(sparse: DataFrame, gradient: str, cfg: Config, dim: int) -> FitResult:
-    """Batch descent over sparse units; the margin reads a literal of weights by index, the gradient is keyed."""
+    """Batch descent over sparse units, with partial sums by task."""
     g = GRADIENTS[gradient]
     sparse = sparse.persist()
     n = sparse.count()
 
     def one(i, w):
-        lit = vector(w)
-        z = F.aggregate(F.zip_with("idx", "val", lambda j, x: F.when(j < dim, F.element_at(lit, j + 1) * x).otherwise(0.0)), F.lit(0.0), lambda s, x: s + x)
-        c = sparse.select("idx", "val", g.coefficient(z, F.col("label")).alias("c"))
-        rows = c.select("c", F.explode(F.arrays_zip("idx", "val")).alias("p")).groupBy(F.col("p.idx").alias("j")).agg(F.sum(F.col("c") * F.col("p.val")).alias("g")).collect()
         grad = np.zeros(dim)
-        for r in rows:
+        for r in sparse_partials(sparse, w, g).collect():
             grad[r.j] = r.g
         return update(Partial(n, 0.0, grad), w, cfg.alpha(i), cfg), n, cfg.alpha(i)
 

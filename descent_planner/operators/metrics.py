@@ -34,13 +34,22 @@ def classification_report(pred: DataFrame) -> DataFrame:
     return c.withColumns({"precision": p, "recall": r, "f1": F.try_divide(2.0 * F.col("tp"), 2 * F.col("tp") + F.col("fp") + F.col("fn"))})
 
 
-def auc(pred: DataFrame) -> DataFrame:
-    """Area under the curve of z by counts a distinct value: partial sums first, so that a hot value is one row."""
+def auc(pred: DataFrame, buckets: int = 256) -> DataFrame:
+    """Area under the curve of z by counts a distinct value: partial sums first, so that a hot value is one row.
+
+    Values are dealt into ``buckets`` ranges of z by approximate quantiles; a running sum within a range is added to the
+    sum of the ranges before, so that no task sorts all of them.
+    """
     from pyspark.sql.window import Window
 
     by = pred.groupBy("z").agg(F.sum(F.when(F.col("label") > 0, 1).otherwise(0)).alias("p"), F.sum(F.when(F.col("label") > 0, 0).otherwise(1)).alias("n"))
-    below = F.coalesce(F.sum("n").over(Window.orderBy("z").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    return by.withColumn("below", below).agg((F.sum(F.col("p") * (F.col("below") + F.col("n") / 2)) / (F.sum("p") * F.sum("n"))).alias("auc"))
+    edges = sorted(set(pred.select(F.percentile_approx("z", [k / buckets for k in range(1, buckets)], 10_000)).first()[0] or []))
+    by = by.withColumn("b", F.size(F.filter(F.array(*(F.lit(float(e)) for e in edges)), lambda e: e < F.col("z"))) if edges else F.lit(0))
+    before = Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+    totals = by.groupBy("b").agg(F.sum("n").alias("own")).select("b", F.coalesce(F.sum("own").over(before), F.lit(0)).alias("base"))
+    below = F.coalesce(F.sum("n").over(Window.partitionBy("b").orderBy("z").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = by.withColumn("within", below).join(F.broadcast(totals), "b").withColumn("below", F.col("within") + F.col("base"))
+    return ranked.agg((F.sum(F.col("p") * (F.col("below") + F.col("n") / 2)) / (F.sum("p") * F.sum("n"))).alias("auc"))
 
 
 def iteration_error(estimated: int, actual: int) -> dict:

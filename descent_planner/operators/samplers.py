@@ -1,7 +1,9 @@
 """Samples of an iteration: Bernoulli, random partition and shuffled partition, by a hash of (seed, draw, unit).
 
 The hash makes a draw the same wherever and however often a task runs, and lets a SQL oracle repeat it. Units are laid
-out by ``part_id``; partition-based samplers read the chosen partitions only (a pruned scan of a partitioned table).
+out by ``part_id``: ``lay_out`` writes a file a partition and their catalogue, from which the partition samplers open
+the files of the chosen partitions and nothing else. Without a layout ``part_id`` is a column of the units and every
+draw scans them all.
 """
 
 from __future__ import annotations
@@ -13,6 +15,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 SPAN = 1 << 32
+#: Units of a partition that the driver holds at most: a longer one is read slice by slice of its shuffled order.
+SLICE_UNITS = 200_000
 
 
 def rank_key(seed: int, draw, unit: Column) -> Column:
@@ -55,13 +59,17 @@ def partition_catalog(units: DataFrame) -> DataFrame:
 
 
 def layout_files(units: DataFrame, path: str, parts: int) -> DataFrame:
-    """Writes one file a partition and returns their catalogue (part_id, file, bytes, n_units).
+    """Writes one file a partition, in order of the units' ids and with their ``offset``, and returns the files'
+    catalogue (part_id, file, bytes, n_units).
 
     Folders of partitions cost a listing each; with a catalogue a draw opens the files it names and lists nothing.
     """
-    # ranges of part_id keep each partition whole; tasks that hold several partitions write a file for each
-    with_parts(units, parts).repartitionByRange(parts, "part_id").write.partitionBy("part_id").parquet(path)
-    rows = units.sparkSession.read.parquet(path)
+    from pyspark.sql.window import Window
+
+    # the window deals out and sorts by part_id, which is what the writer needs too: one shuffle
+    laid = with_parts(units, parts).withColumn("offset", F.row_number().over(Window.partitionBy("part_id").orderBy("unit_id")) - 1)
+    laid.write.partitionBy("part_id").parquet(path)
+    rows = units.sparkSession.read.schema(laid.schema).parquet(path)
     return rows.groupBy("part_id", F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_size").alias("bytes")).agg(F.count("*").alias("n_units"))
 
 
@@ -80,6 +88,25 @@ def catalog_reader(path: str, catalog: DataFrame):
     return read
 
 
+@dataclass
+class Layout:
+    """Units in files of their partitions. The driver holds two numbers a partition, of which there are bytes / 128 MB."""
+
+    rows: DataFrame
+    read: object
+    sizes: dict[int, int]
+    bytes: dict[int, int]
+
+
+def lay_out(units: DataFrame, folder: str, parts: int) -> Layout:
+    """Writes units and catalogue under ``folder``."""
+    spark, path = units.sparkSession, f"{folder}/units"
+    layout_files(units, path, parts).write.parquet(f"{folder}/catalog")
+    catalog = spark.read.parquet(f"{folder}/catalog").persist()
+    found = catalog.groupBy("part_id").agg(F.sum("n_units").alias("n"), F.sum("bytes").alias("b")).collect()
+    return Layout(spark.read.parquet(path), catalog_reader(path, catalog), {r.part_id: r.n for r in found}, {r.part_id: r.b for r in found})
+
+
 @dataclass
 class Bernoulli:
     """Scans all units and keeps each with probability ``fraction``; an empty draw is drawn again with another sub-seed."""
@@ -110,6 +137,7 @@ class RandomPartition:
     seed: int = 7
     weights: str = "size"
     name: str = "random"
+    read: object = None
 
     def picks(self, i: int) -> list[tuple[int, int]]:
         """(part, offset) of each draw."""
@@ -124,12 +152,16 @@ class RandomPartition:
         return out
 
     def draw(self, units: DataFrame, i: int) -> DataFrame:
-        """Reads the chosen partitions; a unit drawn twice comes twice. Offsets are in order of the unit's id."""
+        """Reads the chosen partitions; a unit drawn twice comes twice. Offsets are in order of the unit's id: a layout
+        holds them, and then the scan takes the row groups between the least and the greatest offset."""
         from pyspark.sql.window import Window
 
         picks = self.picks(i)
         chosen = sorted({p for p, _ in picks})
-        pruned = units.where(F.col("part_id").isin(chosen)).withColumn("offset", F.row_number().over(Window.partitionBy("part_id").orderBy("unit_id")) - 1)
+        if self.read:
+            pruned = self.read(chosen).where(F.col("offset").isin(sorted({o for _, o in picks})))
+        else:
+            pruned = units.where(F.col("part_id").isin(chosen)).withColumn("offset", F.row_number().over(Window.partitionBy("part_id").orderBy("unit_id")) - 1)
         wanted = units.sparkSession.createDataFrame(picks, "part_id int, offset int")
         return pruned.join(F.broadcast(wanted), ["part_id", "offset"])
 
@@ -142,8 +174,10 @@ class ShuffledPartition:
     partition. After all partitions a new epoch begins with a new shuffle.
 
     ``mix`` partitions are read and used up together, each in proportion to its size, where partitions are skewed (a
-    layout that follows the label). ``prefetch`` reads the next ones in the background; then two loads are held.
-    ``read`` gives the rows of partitions by other means than a filter on part_id.
+    layout that follows the label). A single partition of more than ``slice_units`` is read in slices of its hashes'
+    range, one after the other, which gives the same order. ``prefetch`` reads the next load in the background; then
+    two are held. ``read`` gives the rows of partitions by other means than a filter on part_id; ``source`` gives
+    (part, row) in order for (parts, epoch, least hash, hash after the last), where units are on the driver.
     """
 
     sizes: dict[int, int]
@@ -159,6 +193,10 @@ class ShuffledPartition:
     mix: int = 1
     prefetch: bool = False
     read: object = None
+    source: object = None
+    slice_units: int = SLICE_UNITS
+    #: How often each partition was read.
+    opened: dict = field(default_factory=dict)
 
     def order(self, epoch: int) -> list[int]:
         return sorted(self.sizes, key=lambda p: (py_rank(self.seed, epoch, f"part{p}"), p))
@@ -169,18 +207,36 @@ class ShuffledPartition:
         if all(n < self.size for n in self.sizes.values()):
             self.carry = True
         self._short = min(self.size, sum(self.sizes.values()))
-        self._pool, self._next, self._drawn = None, None, 0
-
-    def _after(self, epoch: int, at: int) -> tuple[int, int]:
-        return (epoch + 1, 0) if at >= len(self.sizes) else (epoch, at)
-
-    def _fetch(self, units: DataFrame, epoch: int, at: int) -> list:
-        """``mix`` partitions from place ``at`` of an epoch's order, each shuffled, dealt by their shares."""
+        self._pool, self._next, self._gone = None, None, 0
+        self._start(0, 0)
+
+    def _start(self, epoch: int, at: int) -> None:
+        self._loads = self._all_loads(epoch, at)
+        self._ahead = next(self._loads)
+
+    def _all_loads(self, epoch: int, at: int):
+        """What is read from a place on, for ever: (epoch, place, partitions, least hash, hash after the last)."""
+        while True:
+            order = self.order(epoch)
+            while at < len(order):
+                parts = order[at : at + self.mix]
+                slices = max(1, -(-self.sizes[parts[0]] // self.slice_units)) if self.mix == 1 else 1
+                for j in range(slices):
+                    yield epoch, at, parts, j * SPAN // slices, (j + 1) * SPAN // slices
+                at += self.mix
+            epoch, at = epoch + 1, 0
+
+    def _fetch(self, units: DataFrame, load: tuple) -> list:
+        """A load's rows, shuffled; several partitions are dealt by their shares."""
         from pyspark.sql.window import Window
 
-        parts = self.order(epoch)[at : at + self.mix]
+        epoch, _, parts, low, high = load
+        if self.source:
+            return self.source(parts, epoch, low, high)
         rows = self.read(parts) if self.read else units.where(F.col("part_id").isin(parts))
         rows = rows.withColumn("_r", rank_key(self.seed, epoch, F.col("unit_id")))
+        if high - low < SPAN:
+            rows = rows.where((F.col("_r") >= low) & (F.col("_r") < high))
         if len(parts) > 1:
             size = F.element_at(F.create_map(*(F.lit(v) for p in parts for v in (p, self.sizes[p]))), F.col("part_id"))
             rows = rows.withColumn("_p", (F.row_number().over(Window.partitionBy("part_id").orderBy("_r", "unit_id")) - 0.5) / size).orderBy("_p", "part_id").drop("_p")
@@ -190,7 +246,7 @@ class ShuffledPartition:
 
     def cursor(self) -> tuple[int, int, int]:
         """(epoch, place after the partitions held, offset in them): where a later run goes on."""
-        return self.epoch, self.at, self.offset
+        return self.epoch, self.at, self._gone + self.offset
 
     def seek(self, units: DataFrame, cursor: tuple[int, int, int], draws: int) -> None:
         """Goes on at a cursor. What is carried over came from partitions before, so with ``carry`` draws are repeated."""
@@ -198,23 +254,29 @@ class ShuffledPartition:
             for _ in range(draws):
                 self.draw_rows(units)
             return
-        self.epoch, self.at, self.offset = cursor
+        self.epoch, self.at, left = cursor
         if self.at:
             start = (self.at - 1) // self.mix * self.mix
-            self.held = self._fetch(units, self.epoch, start)
+            self._start(self.epoch, start)
+            self.held, self._gone = self._load(units), 0
+            while left > len(self.held) and self._ahead[3] > 0:
+                left, self._gone = left - len(self.held), self._gone + len(self.held)
+                self.held = self._load(units)
+            self.offset = left
 
     def _load(self, units: DataFrame) -> list:
-        """The next partitions, shuffled; the scan reads those alone."""
-        self.epoch, self.at = self._after(self.epoch, self.at)
-        rows = self._next.result() if self._next else self._fetch(units, self.epoch, self.at)
-        taken = min(self.mix, len(self.sizes) - self.at)
-        self.at += taken
-        self.reads += taken
+        """The next load; the scan reads its partitions alone."""
+        load, self._ahead = self._ahead, next(self._loads)
+        rows = self._next.result() if self._next else self._fetch(units, load)
+        self.epoch, self.at = load[0], load[1] + len(load[2])
+        self.reads += len(load[2]) * (load[3] == 0)
+        for p in load[2]:
+            self.opened[p] = self.opened.get(p, 0) + 1
         if self.prefetch:
             from concurrent.futures import ThreadPoolExecutor
 
             self._pool = self._pool or ThreadPoolExecutor(1)
-            self._next = self._pool.submit(self._fetch, units, *self._after(self.epoch, self.at))
+            self._next = self._pool.submit(self._fetch, units, self._ahead)
         return rows
 
     def close(self) -> None:
@@ -224,15 +286,39 @@ class ShuffledPartition:
             self._pool = self._next = None
 
     def draw_rows(self, units: DataFrame) -> list:
-        """The next batch as (part, row); a partition is the most that is held."""
+        """The next batch as (part, row); a load and a batch are the most that is held."""
         while len(self.held) - self.offset < self._short:
-            rest = self.held[self.offset :] if self.carry else []
+            same = self._ahead[3] > 0  # a later slice of the same partition
+            rest = self.held[self.offset :] if self.carry or same else []
+            self._gone = self._gone + self.offset if same else 0
             self.held, self.offset = rest + self._load(units), 0
         batch = self.held[self.offset : self.offset + self._short]
         self.offset += self._short
         return batch
 
 
+#: Users' samplers by name: (factory, cost). ``factory(sizes, batch, seed)`` gives an object whose ``draw(units, i)`` is a
+#: DataFrame of about a batch; ``cost(data, m, env)`` gives a draw's seconds, or is None.
+CUSTOM: dict[str, tuple] = {}
+
+
+def register_sampler(name: str, factory, cost=None) -> None:
+    """Adds a user's sampler to the space of plans, eager and lazy."""
+    from ..plans.space import SAMPLERS
+
+    CUSTOM[name] = (factory, cost)
+    if name not in SAMPLERS:
+        SAMPLERS.append(name)
+
+
+def unregister_sampler(name: str) -> None:
+    from ..plans.space import SAMPLERS
+
+    CUSTOM.pop(name, None)
+    if name in SAMPLERS:
+        SAMPLERS.remove(name)
+
+
 def draw_once(units: DataFrame, n: int, seed: int = 7) -> DataFrame:
     """The n units of lowest hash."""
     return units.orderBy(rank_key(seed, 0, F.col("unit_id")), "unit_id").limit(n)

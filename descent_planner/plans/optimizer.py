@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import time
 from dataclasses import dataclass, field
 
@@ -9,11 +10,12 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.descent import ALGORITHMS, Config, FitResult, bgd, dimension, local, mgd
-from ..operators.samplers import with_parts
+from ..operators.descent import ALGORITHMS, Config, FitResult, bgd, dimension, local, mgd, on_driver
+from ..operators.samplers import Layout, lay_out, with_parts
+from ..sources.folders import new_folder
 from .cost import Data, Env, place_operators, plan_cost
-from .estimate import PRESETS, estimate_iterations, run_local, speculate, speculate_samplers
-from .space import PlanSpec, enumerate_plans
+from .estimate import PRESETS, estimate_iterations, run_local, speculate, speculate_registered, speculate_samplers
+from .space import SAMPLED, PlanSpec, enumerate_plans
 
 
 @dataclass
@@ -36,6 +38,8 @@ class Request:
     preset: str = "experiment"
     epsilon_given: bool = False
     per_sampler: bool = False
+    #: Whether Transform may move below Sample (see ``space.commutes``); without, no lazy plan is made.
+    commute: bool = True
 
 
 @dataclass
@@ -53,9 +57,11 @@ class Report:
 
 
 def collect_stats(units: DataFrame) -> Data:
+    """Size by one aggregate; ``nnz`` is the mean number of features that aren't zero, by which the model scales a unit's
+    work where units are sparse."""
     d = dimension(units)
-    n = units.count()
-    return Data(n, n * (8.0 * d + 16), d)
+    row = units.agg(F.count("*"), F.avg(F.size(F.filter("features", lambda x: x != 0)))).first()
+    return Data(row[0], row[0] * (8.0 * d + 16), d, float(row[1]) if row[1] is not None and row[1] < 0.5 * d else None)
 
 
 def check_constraints(row: dict, req: Request, iters_needed: int) -> list[str]:
@@ -70,12 +76,13 @@ def check_constraints(row: dict, req: Request, iters_needed: int) -> list[str]:
 
 def choose(req: Request, data: Data, env: Env, iterations: dict[str, int]) -> tuple[PlanSpec, list[dict]]:
     """Costs every plan the hints allow; feasible plans first, then least total, then the fixed order."""
-    plans = [p for p in enumerate_plans() if (req.algorithm in (None, p.algorithm)) and (req.sampler in (None, p.sampler)) and (req.transform in (None, p.transform))]
+    plans = [p for p in enumerate_plans(commute=req.commute) if (req.algorithm in (None, p.algorithm)) and (req.sampler in (None, p.sampler)) and (req.transform in (None, p.transform))]
     if not plans:
         raise ValueError(f"no plan has algorithm={req.algorithm}, sampler={req.sampler}, transform={req.transform}")
     rows = []
     for p in plans:
-        need = iterations.get(f"{p.algorithm}-{p.sampler}") or iterations[p.algorithm]
+        # an algorithm without an estimate is taken to need what its like does
+        need = iterations.get(f"{p.algorithm}-{p.sampler}") or iterations.get(p.algorithm) or iterations.get("mgd" if SAMPLED[p.algorithm] else "bgd") or req.max_iter or 1000
         t = min(need, req.max_iter) if req.max_iter else need
         row = plan_cost(p, data, req.batch, t, env, req.mode)
         row["violated"] = check_constraints(row, req, need)
@@ -91,11 +98,12 @@ def optimise(units: DataFrame, req: Request, env: Env | None = None, data: Data
     data = data or collect_stats(units)
     sampled, found = 0.0, {}
     if req.fixed_iterations and req.max_iter:
-        iterations = dict.fromkeys(("bgd", "mgd", "sgd"), req.max_iter)
+        iterations = dict.fromkeys(ALGORITHMS, req.max_iter)
     else:
         t = time.monotonic()
         cfg = Config(step=req.step_rule, beta=req.step, norm=req.norm)
         found = (speculate_samplers if req.per_sampler else speculate)(units, req.gradient, cfg, batch=req.batch, **PRESETS[req.preset])
+        found |= {a: speculate_registered(units, a, req.gradient, cfg, **PRESETS[req.preset]) for a in ALGORITHMS if a not in ("bgd", "mgd", "sgd") and req.algorithm in (None, a)}
         sampled = time.monotonic() - t
         iterations = {a: estimate_iterations(s.pairs, req.epsilon, None)[0] for a, s in found.items()}
     chosen, rows = choose(req, data, env, iterations)
@@ -113,20 +121,50 @@ def rule_based_choice(n_partitions: int, algorithm: str, t: int, n: int) -> Plan
     return PlanSpec(algorithm, "eager", "shuffle")
 
 
-def execute(plan: PlanSpec, raw: DataFrame, transform, req: Request, parts: int = 8, cfg: Config | None = None) -> FitResult:
-    """Runs a plan over raw rows (with unit_id) and their Transform."""
+def fixed_choice(algorithm: str, rows: list[dict]) -> dict:
+    """Always one algorithm, by its cheapest plan: what a belief in it would run."""
+    return min((r for r in rows if r["algorithm"] == algorithm), key=lambda r: r["total_cost"])
+
+
+def prepare(plan: PlanSpec, raw: DataFrame, transform, parts: int, folder: str | None = None) -> Layout:
+    """The layout of a plan with a partition sampler: of units (eager) or of raw rows (lazy), written once."""
+    return lay_out(raw if plan.transform == "lazy" else transform(raw), folder or new_folder(raw.sparkSession, "layout"), parts)
+
+
+def execute(plan: PlanSpec, raw: DataFrame, transform, req: Request, parts: int | None = None, cfg: Config | None = None, data: Data | None = None, env: Env | None = None, layout: Layout | None = None) -> FitResult:
+    """Runs a plan over raw rows (with unit_id) and their Transform.
+
+    With ``data`` known, operators are placed: units that fit one partition are collected once, and the plan runs on the
+    driver with the draws of the cluster's samplers. Else, partition samplers read a layout in files: ``layout``, or one
+    that is written first, of ``parts`` partitions (by bytes where that is None and data are known).
+    """
     cfg = cfg or Config(step=req.step_rule, beta=req.step, tolerance=req.epsilon, max_iter=req.max_iter or 1000, norm=req.norm, time_budget=req.time_s)
+    env = env or Env()
+    built_in = plan.algorithm in ("bgd", "mgd", "sgd")
+    batch = 1 if plan.algorithm == "sgd" else req.batch
+    if parts is None:
+        parts = max(1, math.ceil(data.bytes / env.partition_bytes)) if data else 8
+    if built_in and data and plan.sampler in ("none", "bernoulli", "random", "shuffle") and place_operators(data, batch, env, SAMPLED[plan.algorithm])["transform"] == "driver":
+        began = time.monotonic()
+        rows = transform(raw).select("unit_id", "label", "features").collect()
+        fit = on_driver(np.array([r.unit_id for r in rows], dtype=np.int64), np.array([r.features for r in rows], dtype=float), np.array([r.label for r in rows], dtype=float), req.gradient, cfg, plan.algorithm, batch, plan.sampler, parts)
+        fit.seconds = time.monotonic() - began
+        fit.touched |= {"bytes": int(data.bytes), "place": "driver"}
+        return fit
     if plan.algorithm == "bgd":
         return bgd(transform(raw), req.gradient, cfg)
-    if plan.algorithm not in ("mgd", "sgd"):
-        return ALGORITHMS[plan.algorithm](transform(raw), req.gradient, cfg)
-    batch = 1 if plan.algorithm == "sgd" else req.batch
-    laid = with_parts(raw, parts)
-    if plan.transform == "lazy":
-        return mgd(laid, req.gradient, cfg, batch, plan.sampler, transform=lambda df: transform(df))
+    if not SAMPLED[plan.algorithm]:
+        return ALGORITHMS[plan.algorithm](with_parts(transform(raw), parts), req.gradient, cfg)
+    run = mgd if built_in else ALGORITHMS[plan.algorithm]
+    lazily = {"transform": transform} if plan.transform == "lazy" else {}
+    if plan.sampler in ("random", "shuffle"):
+        layout = layout or prepare(plan, raw, transform, parts)
+        return run(layout.rows, req.gradient, cfg, batch, plan.sampler, layout=layout, **lazily)
+    if lazily:
+        return run(with_parts(raw, parts), req.gradient, cfg, batch, plan.sampler, **lazily)
     units = with_parts(transform(raw), parts).persist()
     try:
-        return mgd(units, req.gradient, cfg, batch, plan.sampler)
+        return run(units, req.gradient, cfg, batch, plan.sampler)
     finally:
         units.unpersist()
 
@@ -144,13 +182,21 @@ def run_placed(units: DataFrame, algorithm: str, gradient: str, cfg: Config, bat
     return {"pairs": [(t["delta"], t["iter"]) for t in r.trace if t["delta"]], "iterations": r.iterations, "status": r.status, "seconds": time.monotonic() - began, "place": "cluster"}
 
 
-def run_all_plans(raw: DataFrame, transform, req: Request, parts: int = 8, cfg: Config | None = None) -> list[dict]:
-    """Every plan run, for the best and the worst of them."""
-    out = []
-    for p in enumerate_plans():
+def run_all_plans(raw: DataFrame, transform, req: Request, parts: int | None = 8, cfg: Config | None = None, data: Data | None = None, algorithms=None) -> list[dict]:
+    """Every plan run, for the best and the worst of them. Plans of one transformation share a layout, whose seconds are
+    given apart: it is written once, whatever runs over it."""
+    out, layouts, wrote = [], {}, {}
+    for p in enumerate_plans(algorithms, commute=req.commute):
+        layout = None
+        if p.sampler in ("random", "shuffle") and data is None:
+            if p.transform not in layouts:
+                t = time.monotonic()
+                layouts[p.transform] = prepare(p, raw, transform, parts or 8)
+                wrote[p.transform] = time.monotonic() - t
+            layout = layouts[p.transform]
         t = time.monotonic()
-        r = execute(p, raw, transform, req, parts, cfg)
-        out.append({"plan": p.key, "seconds": time.monotonic() - t, "iterations": r.iterations, "status": r.status, "units": r.touched.get("units", 0), "partitions": r.touched.get("partitions", 0)})
+        r = execute(p, raw, transform, req, parts, cfg, data, layout=layout)
+        out.append({"plan": p.key, "algorithm": p.algorithm, "transform": p.transform, "sampler": p.sampler, "seconds": time.monotonic() - t, "layout_s": wrote.get(p.transform, 0.0) if layout else 0.0, "iterations": r.iterations, "status": r.status, "place": r.touched.get("place", "cluster"), "units": r.touched.get("units", 0), "partitions": r.touched.get("partitions", 0), "bytes": r.touched.get("bytes", 0)})
     return out
 
 

@@ -7,10 +7,13 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SAMPLERS = ("bernoulli", "random", "shuffle")
+#: Users' samplers come after these.
+SAMPLERS = ["bernoulli", "random", "shuffle"]
 TRANSFORMS = ("eager", "lazy")
-#: Whether an algorithm samples.
+#: Whether an algorithm samples; users' algorithms come after these.
 SAMPLED = {"bgd": False, "mgd": True, "sgd": True}
+#: How often an iteration of a user's algorithm scans all units; one that samples by itself has a share of one.
+SCANS: dict[str, float] = {}
 
 
 @dataclass(frozen=True)
@@ -31,9 +34,9 @@ def legal(plan: PlanSpec) -> bool:
     return plan.sampler != "none" and not (plan.transform == "lazy" and plan.sampler == "bernoulli")
 
 
-def enumerate_plans(algorithms=None, samplers=SAMPLERS, transforms=TRANSFORMS) -> list[PlanSpec]:
-    """All legal plans in a fixed order, which also breaks ties."""
-    every = [PlanSpec(a, t, s) for a in (algorithms or SAMPLED) for t in transforms for s in ("none", *samplers)]
+def enumerate_plans(algorithms=None, samplers=None, transforms=TRANSFORMS, commute: bool = True) -> list[PlanSpec]:
+    """All legal plans in a fixed order, which also breaks ties. Without ``commute`` Transform stays before Sample: no lazy plan."""
+    every = [PlanSpec(a, t, s) for a in (algorithms or SAMPLED) for t in transforms if commute or t == "eager" for s in ("none", *(samplers or SAMPLERS))]
     return [p for p in every if legal(p)]
 
 
@@ -41,12 +44,12 @@ def plan_space(spark: SparkSession) -> DataFrame:
     """The same as a table, by a cross join of three short lists and a filter."""
     a = spark.createDataFrame([(k, v) for k, v in (("bgd", False), ("mgd", True), ("sgd", True))], "algorithm string, sampled boolean")
     t = spark.createDataFrame([(x,) for x in TRANSFORMS], "transform string")
-    s = spark.createDataFrame([(x,) for x in ("none", *SAMPLERS)], "sampler string")
+    s = spark.createDataFrame([(x,) for x in ("none", "bernoulli", "random", "shuffle")], "sampler string")
     keep = (~F.col("sampled") & (F.col("transform") == "eager") & (F.col("sampler") == "none")) | (F.col("sampled") & (F.col("sampler") != "none") & ~((F.col("transform") == "lazy") & (F.col("sampler") == "bernoulli")))
     name = F.when(F.col("sampled"), F.concat_ws("-", "algorithm", "transform", "sampler")).otherwise(F.col("algorithm"))
     return a.crossJoin(t).crossJoin(s).where(keep).select(name.alias("plan"), "algorithm", "transform", "sampler")
 
 
 def commutes(transform_is_one_to_one: bool, deterministic: bool, needs_only_unit_and_stats: bool) -> bool:
-    """Whether Transform may move below Sample, into the loop."""
+    """Whether Transform may move below Sample, into the loop; where it may not, ``optimise`` plans eagerly."""
     return transform_is_one_to_one and deterministic and needs_only_unit_and_stats

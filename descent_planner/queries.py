@@ -7,7 +7,6 @@ all units, or over the units that the sampler's hash picks.
 from __future__ import annotations
 
 import math
-import tempfile
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -19,6 +18,7 @@ from .operators import baselines, descent, metrics, samplers
 from .operators.descent import Config
 from .plans import cost, estimate, language, optimizer, space
 from .sources import tasks
+from .sources.folders import new_folder as _folder
 from .sources.models import model_frame
 from .sources.tasks import W1, W2, W2_SVM, W6, W7, W8
 
@@ -36,14 +36,6 @@ def query(name: str, oracle: str | None = None):
     return add
 
 
-def _folder(spark: SparkSession, name: str) -> str:
-    """A new folder in the place all executors share, or a temporary one where none is set."""
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp()
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
 def _rounded(names: list[str]) -> str:
     return ", ".join(f"round({n}, 6) + 0.0 AS {n}" for n in names)
 

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .queries import _folder
+from .sources.folders import new_folder as _folder
 from .sources import tasks
 from .streaming import fit as streams
 

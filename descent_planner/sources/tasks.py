@@ -25,8 +25,10 @@ def views(spark: SparkSession, sf_dir: str, names=TABLES) -> SparkSession:
 class Task:
     """Expressions that both engines read: a label and features, over a table with a unique id."""
 
-    def __init__(self, name: str, table: str, unit_id: str, label: str, features: list[str], gradient: str):
+    def __init__(self, name: str, table: str, unit_id: str, label: str, features: list[str], gradient: str, unit_id_sql: str | None = None):
         self.name, self.table, self.unit_id, self.label, self.features, self.gradient = name, table, unit_id, label, features, gradient
+        #: The id as DuckDB writes it, where that differs.
+        self.unit_id_sql = unit_id_sql or unit_id
 
     @property
     def dim(self) -> int:
@@ -37,7 +39,7 @@ class Task:
 
     def sql(self) -> str:
         """Units with columns unit_id, label, x0, x1, ..."""
-        return f"SELECT {self.unit_id} AS unit_id, CAST({self.label} AS DOUBLE) AS label, " + ", ".join(f"CAST({f} AS DOUBLE) AS x{j}" for j, f in enumerate(self.features)) + f" FROM {self.table}"
+        return f"SELECT {self.unit_id_sql} AS unit_id, CAST({self.label} AS DOUBLE) AS label, " + ", ".join(f"CAST({f} AS DOUBLE) AS x{j}" for j, f in enumerate(self.features)) + f" FROM {self.table}"
 
 
 def transform_columns(raw: DataFrame, unit_id: str | Column, label: str | Column, features: list) -> DataFrame:
@@ -48,14 +50,16 @@ def transform_columns(raw: DataFrame, unit_id: str | Column, label: str | Column
 
 _CHARGE = "(l_extendedprice*(1-l_discount)*(1+l_tax))"
 _CHARGE_X = ["1.0", "l_extendedprice/105000", "l_discount*10", "l_tax*12.5"]
-#: Rows of lineitem have no key; a hash of the row would name them at scale, the order key does where no sampler needs it.
-W1 = Task("charge_regression", "lineitem", "l_orderkey", f"{_CHARGE}/105000", _CHARGE_X, "linear")
-W2 = Task("big_charge", "lineitem", "l_orderkey", f"CASE WHEN {_CHARGE} > 52500 THEN 1.0 ELSE -1.0 END", _CHARGE_X, "logistic")
-W2_SVM = Task("big_charge_svm", "lineitem", "l_orderkey", W2.label, _CHARGE_X, "hinge")
+#: Rows of lineitem have no key (order key and line number repeat): 60 bits of a hash of the columns that tell them apart.
+_LINE = "md5(concat_ws(':', l_orderkey, l_linenumber, l_partkey, l_suppkey, CAST(round(l_extendedprice*100) AS BIGINT)))"
+_LINE_ID, _LINE_SQL = f"CAST(conv(substr({_LINE}, 1, 15), 16, 10) AS BIGINT)", f"('0x'||substr({_LINE}, 1, 15))::BIGINT"
+W1 = Task("charge_regression", "lineitem", _LINE_ID, f"{_CHARGE}/105000", _CHARGE_X, "linear", _LINE_SQL)
+W2 = Task("big_charge", "lineitem", _LINE_ID, f"CASE WHEN {_CHARGE} > 52500 THEN 1.0 ELSE -1.0 END", _CHARGE_X, "logistic", _LINE_SQL)
+W2_SVM = Task("big_charge_svm", "lineitem", _LINE_ID, W2.label, _CHARGE_X, "hinge", _LINE_SQL)
 _K = "CAST(regexp_extract(props, '([0-9]+)', 1) AS DOUBLE)"
 W6 = Task("event_heavy", "events", "event_id", f"CASE WHEN value + {_K} > 100 THEN 1.0 ELSE -1.0 END", ["1.0", "value/100", f"{_K}/100"], "hinge")
 W7 = Task("part_price", "part", "p_partkey", "p_retailprice/1000", ["1.0", "(p_partkey % 1000)/1000e0"], "linear")
-W8 = Task("return_flag", "lineitem", "l_orderkey", "CASE WHEN l_returnflag = 'R' THEN 1.0 ELSE -1.0 END", ["1.0", "(l_quantity-25.5)/14.4", "(l_discount-0.05)/0.03", "(l_tax-0.04)/0.026"], "logistic")
+W8 = Task("return_flag", "lineitem", _LINE_ID, "CASE WHEN l_returnflag = 'R' THEN 1.0 ELSE -1.0 END", ["1.0", "(l_quantity-25.5)/14.4", "(l_discount-0.05)/0.03", "(l_tax-0.04)/0.026"], "logistic", _LINE_SQL)
 TASKS = {t.name: t for t in (W1, W2, W2_SVM, W6, W7, W8)}
 
 
@@ -105,16 +109,22 @@ def doc_quality(spark: SparkSession, sf_dir: str, dim: int = 1024) -> DataFrame:
 UNIT = T.StructType([T.StructField("unit_id", T.LongType()), T.StructField("label", T.DoubleType()), T.StructField("features", T.ArrayType(T.DoubleType()))])
 
 
+def numbered_lines(spark: SparkSession, path: str) -> DataFrame:
+    """(unit_id, value): lines named by the split they are read in and their place there, so that equal lines are units of
+    their own. Ids are the same in every scan of the same files with the same split size."""
+    return spark.read.text(path).select(F.monotonically_increasing_id().alias("unit_id"), "value")
+
+
 def read_csv_units(spark: SparkSession, path: str, label: int = 0) -> DataFrame:
     """Comma-separated lines; the first column is the label by default. Lazy: lines become units by expressions."""
     cells = F.transform(F.split(F.trim("value"), ","), lambda x: x.cast("double"))
-    return spark.read.text(path).select(F.xxhash64("value").alias("unit_id"), F.element_at(cells, label + 1).alias("label"), F.concat(F.slice(cells, 1, label), F.slice(cells, label + 2, 1 << 20)).alias("features"))
+    return numbered_lines(spark, path).select("unit_id", F.element_at(cells, label + 1).alias("label"), F.concat(F.slice(cells, 1, label), F.slice(cells, label + 2, 1 << 20)).alias("features"))
 
 
 def read_libsvm_units(spark: SparkSession, path: str, dim: int | None = None) -> DataFrame:
     """Lines ``label i:v i:v``, indices from 1, as sparse units."""
     parts = F.split(F.trim("value"), "\\s+")
-    rows = spark.read.text(path).where("trim(value) <> ''").select(F.xxhash64("value").alias("unit_id"), F.element_at(parts, 1).cast("double").alias("label"), F.slice(parts, 2, 1 << 24).alias("cells"))
+    rows = numbered_lines(spark, path).where("trim(value) <> ''").select("unit_id", F.element_at(parts, 1).cast("double").alias("label"), F.slice(parts, 2, 1 << 24).alias("cells"))
     rows = rows.select("unit_id", "label", F.transform("cells", lambda c: F.split(c, ":")[0].cast("int") - 1).alias("idx"), F.transform("cells", lambda c: F.split(c, ":")[1].cast("double")).alias("val"))
     if dim is None:
         dim = (rows.agg(F.max(F.array_max("idx"))).first()[0] or 0) + 1

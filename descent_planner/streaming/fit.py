@@ -44,10 +44,14 @@ def replay(spark: SparkSession, sf_dir: str, make, folder: str, watermark: str =
     schema = spark.read.parquet(path).schema
     src = spark.readStream.schema(schema).option("pathGlobFilter", "*.parquet").parquet(path if _is_folder(spark, path) else sf_dir + "/event*.parquet")
     src = src.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
-    name = "replay_" + "".join(c for c in folder if c.isalnum())[-24:]
-    q = make(src).writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    out, rows = f"{folder}/rows", make(src)
+
+    def keep(batch: DataFrame, number: int) -> None:
+        # a batch that runs again writes its folder again; a complete result replaces the one before
+        batch.write.mode("overwrite").parquet(f"{out}/{0 if mode == 'complete' else number}")
+
+    rows.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(rows.schema).parquet(f"{out}/*")
 
 
 def late_counts(spark: SparkSession, on_time: DataFrame, late: DataFrame, folder: str, watermark: str = "1 hour") -> DataFrame:
