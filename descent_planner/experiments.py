@@ -1,7 +1,11 @@
 """The experiments, each a query of measured rows over the given tables.
 
-Seconds differ from run to run, so these have no oracle; tests hold what must not differ. Caps on iterations are the
-experiments' own (the source's is 1,000); a run that meets one says MAX_ITER.
+Seconds differ from run to run, so these have no oracle; tests hold what must not differ. Runs go to the survey's
+tolerances or 1,000 iterations, with batches of 1,000. Plans are placed as ``execute`` places them: over a set that
+one partition holds they run on the driver, over a larger one on the cluster. A job an iteration of a system that has
+no placement (library, stand-ins) costs a fixed time whatever the set, so those run ``SYSTEM_ITERATIONS`` iterations
+and their seconds are compared by iteration; README names this and every other reduction. A run over ``BUDGET_S``
+seconds ends with status TIME, and then no error is computed from it.
 """
 
 from __future__ import annotations
@@ -17,6 +21,7 @@ from .operators.descent import Config
 from .plans import cost, estimate, optimizer
 from .plans.optimizer import Request
 from .sources import tasks
+from .sources.folders import new_folder
 from .sources.tasks import W1, W2, W2_SVM, W6
 
 QUERIES: dict = {}
@@ -32,13 +37,27 @@ def language(spark: SparkSession, sf: str, dim: int = TEXT_DIM) -> DataFrame:
     return tasks.densify(tasks.doc_language(spark, sf, dim))
 
 
+#: Iterations of systems that run a job each, and seconds after which a run ends.
+SYSTEM_ITERATIONS, BUDGET_S = 10, 6.0
+
 #: name: (units, gradient, step's beta, tolerance of the total-time experiment)
 SETS = {
-    "big_charge": (W2.units, "logistic", 1.0, 5e-2),
-    "halfspace": (tasks.halfspace, "hinge", 1.0, 1e-1),
-    "doc_language": (language, "logistic", 1.0, 1e-1),
+    "big_charge": (W2.units, "logistic", 1.0, 1e-3),
+    "halfspace": (tasks.halfspace, "hinge", 1.0, 1e-3),
+    "doc_language": (language, "logistic", 1.0, 1e-2),
     "charge_regression": (W1.units, "linear", 0.3, 1e-1),
 }
+
+
+def raw_set(spark: SparkSession, sf: str, name: str):
+    """(raw rows with unit_id, Transform) of a set, so that lazy plans have something to put off."""
+    if name in ("big_charge", "charge_regression"):
+        task = tasks.TASKS[name]
+        return tasks.table(spark, sf, task.table).selectExpr("*", f"{task.unit_id} AS unit_id"), lambda df: tasks.transform_columns(df, "unit_id", task.label, task.features)
+    if name == "halfspace":
+        return tasks.table(spark, sf, "embeddings").withColumn("unit_id", F.col("vec_id")), tasks.side_of_plane
+    # hashing needs the words of a whole text, and the label: sparse rows are raw, spreading them out is Transform
+    return tasks.doc_language(spark, sf, TEXT_DIM), tasks.densify
 ALGORITHMS = ("bgd", "mgd", "sgd")
 
 
@@ -64,10 +83,10 @@ def first_at(pairs: list[tuple[float, int]], tolerance: float) -> int | None:
 @experiment("x1_no_algorithm_always_wins", "task string, tolerance double, algorithm string, seconds double, iterations int, status string, fastest boolean")
 def x1(spark, sf):
     """Seconds of the three algorithms to one tolerance, over three tasks."""
-    for name, make, gradient, tolerance in (("big_charge_svm", W2_SVM.units, "hinge", 0.01), ("halfspace", tasks.halfspace, "hinge", 0.01), ("doc_language", language, "logistic", 1e-3)):
+    for name, make, gradient, tolerance in (("big_charge_svm", W2_SVM.units, "hinge", 0.01), ("halfspace", tasks.halfspace, "hinge", 0.01), ("doc_language", language, "logistic", 1e-4)):
         units = make(spark, sf).persist()
         data = optimizer.collect_stats(units)
-        runs = {a: optimizer.run_placed(units, a, gradient, Config(tolerance=tolerance, max_iter=CAP, time_budget=10), data=data) for a in ALGORITHMS}
+        runs = {a: optimizer.run_placed(units, a, gradient, Config(tolerance=tolerance, max_iter=CAP, time_budget=BUDGET_S), data=data) for a in ALGORITHMS}
         best = min(runs, key=lambda a: (runs[a]["status"] != "CONVERGED", runs[a]["seconds"]))
         yield from ((name, tolerance, a, r["seconds"], r["iterations"], r["status"], a == best) for a, r in runs.items())
         units.unpersist()
@@ -99,25 +118,33 @@ def x3(spark, sf):
     """A fixed number of BGD iterations on the cluster against the calibrated cost model."""
     for name, (make, gradient, beta, _) in SETS.items():
         units = make(spark, sf).persist()
-        data, env = optimizer.collect_stats(units), cost.calibrate(units, gradient)
-        r, seconds = timed(lambda: descent.bgd(units, gradient, Config(beta=beta, tolerance=0.0, max_iter=10), cache=False))  # noqa: B023
+        raw, transform = raw_set(spark, sf, name)
+        data, env = optimizer.collect_stats(units), cost.calibrate(units, gradient, raw=raw, transform=transform)
+        # on the cluster whatever its size: one partition holds what a slot reads
+        env.partition_bytes = max(1.0, data.bytes / max(1, units.rdd.getNumPartitions()))
+        r, seconds = timed(lambda: descent.bgd(units, gradient, Config(beta=beta, tolerance=0.0, max_iter=X3_ITERATIONS), cache=False))  # noqa: B023
         done = r.iterations
         guess = cost.plan_cost(cost.PlanSpec("bgd"), data, 1000, done, env)["iter_cost"]
         yield name, done, guess, seconds / done, metrics.relative_error(guess, seconds / done)
         units.unpersist()
 
 
-@experiment("x4_total_time", "task string, tolerance double, plan string, estimated_s double, actual_s double, iterations int, error double")
+X3_ITERATIONS = 50
+
+
+@experiment("x4_total_time", "task string, tolerance double, plan string, estimated_s double, actual_s double, iterations_est long, iterations int, status string, error double")
 def x4(spark, sf):
-    """The chosen plan's total cost, estimated, and its run to the tolerance on the cluster."""
+    """The chosen plan's total cost, estimated, and its run to the tolerance. Null error: the run didn't come to it."""
     for name, (make, gradient, beta, tolerance) in SETS.items():
+        raw, transform = raw_set(spark, sf, name)
         units = make(spark, sf).persist()
-        env = cost.calibrate(units, gradient)
+        env = cost.calibrate(units, gradient, raw=raw, transform=transform)
         report = optimizer.optimise(units, Request(gradient, tolerance, step=beta), env)
         row = next(r for r in report.rows if r["plan"] == report.chosen.key)
-        cfg = Config(beta=beta, tolerance=tolerance, max_iter=CAP, time_budget=10)
-        run, seconds = timed(lambda: optimizer.execute(report.chosen, units, lambda df: df, Request(gradient), 8, cfg))  # noqa: B023
-        yield name, tolerance, report.chosen.key, row["total_cost"], seconds, run.iterations, metrics.relative_error(row["total_cost"], seconds)
+        cfg = Config(beta=beta, tolerance=tolerance, max_iter=10 * CAP, time_budget=BUDGET_S)
+        run, seconds = timed(lambda: optimizer.execute(report.chosen, raw, transform, Request(gradient), None, cfg, report.data, env))  # noqa: B023
+        error = metrics.relative_error(row["total_cost"], seconds) if run.status == "CONVERGED" else None
+        yield name, tolerance, report.chosen.key, row["total_cost"], seconds, row["iters"], run.iterations, run.status, error
         units.unpersist()
 
 
@@ -125,128 +152,176 @@ def event_rows(spark, sf):
     return tasks.table(spark, sf, "events").withColumn("unit_id", F.col("event_id")), lambda df: tasks.transform_columns(df, "unit_id", W6.label, W6.features)
 
 
-def plan_runs(spark, sf, iterations: int, algorithms=None, batch: int = 100) -> list[dict]:
-    """Each plan for a fixed number of iterations over events."""
+def plan_runs(spark, sf, name: str, algorithms=None, data=None) -> list[dict]:
+    """Each plan over a set to tolerance 0.001 or 1,000 iterations with batches of 1,000, placed by its size."""
+    raw, transform = raw_set(spark, sf, name)
+    _, gradient, beta, _ = SETS[name]
+    data = data or optimizer.collect_stats(transform(raw))
+    cfg = Config(beta=beta, tolerance=1e-3, max_iter=CAP, time_budget=BUDGET_S)
+    return optimizer.run_all_plans(raw, transform, Request(gradient, step=beta), 8, cfg, data, algorithms)
+
+
+def cluster_runs(spark, sf, algorithms, iterations: int = 20) -> list[dict]:
+    """Each plan over the events on the cluster, laid out in files, long enough to use up a shuffled partition."""
     raw, transform = event_rows(spark, sf)
-    cfg, out = Config(tolerance=0.0, max_iter=iterations), []
-    for p in optimizer.enumerate_plans(algorithms):
-        r, seconds = timed(lambda: optimizer.execute(p, raw, transform, Request("hinge", batch=batch), 8, cfg))  # noqa: B023
-        out.append({"plan": p.key, "algorithm": p.algorithm, "transform": p.transform, "sampler": p.sampler, "seconds": seconds, "iterations": r.iterations, "units": r.touched.get("units", 0), "partitions": r.touched.get("partitions", 0)})
-    return out
+    return optimizer.run_all_plans(raw, transform, Request("hinge", batch=max(1, raw.count() // 80)), 8, Config(tolerance=0.0, max_iter=iterations), None, algorithms)
 
 
-@experiment("x5_choice_against_all_plans", "plan string, seconds double, chosen boolean, optimise_s double, sample_s double, regret double, rank int, spread double")
+@experiment("x5_choice_against_all_plans", "task string, plan string, seconds double, status string, iterations int, chosen boolean, optimise_s double, sample_s double, regret double, rank int, spread double, always_sgd double, always_bgd double, rule_based double")
 def x5(spark, sf):
-    """All eleven plans run, the optimiser's choice among them, and what choosing cost."""
-    raw, transform = event_rows(spark, sf)
-    units, n = transform(raw), 3
-    report = optimizer.optimise(units, Request("hinge", max_iter=n, fixed_iterations=True, batch=100), cost.calibrate(units, "hinge"))
-    runs = plan_runs(spark, sf, n)
-    found = optimizer.plan_regret(runs, report.chosen.key, report.seconds)
-    for r in runs:
-        yield r["plan"], r["seconds"], r["plan"] == report.chosen.key, report.seconds, report.sample_seconds, found["regret"], found["rank"], found["spread"]
+    """All eleven plans run, the optimiser's choice among them, what choosing cost, and the seconds over the best of
+    fixed beliefs and of the rules."""
+    for name, (make, gradient, beta, _) in SETS.items():
+        raw, transform = raw_set(spark, sf, name)
+        units = make(spark, sf).persist()
+        report = optimizer.optimise(units, Request(gradient, 1e-3, max_iter=CAP, step=beta), cost.calibrate(units, gradient, raw=raw, transform=transform))
+        runs = plan_runs(spark, sf, name, data=report.data)
+        # a plan that doesn't converge isn't better for having been ended: they rank after those that do
+        late = max(r["seconds"] for r in runs)
+        judged = [r | {"seconds": r["seconds"] + late * (r["status"] != "CONVERGED")} for r in runs]
+        found = optimizer.plan_regret(judged, report.chosen.key, report.seconds)
+        rules = optimizer.rule_based_choice(max(1, int(report.data.bytes // cost.Env().partition_bytes)), report.chosen.algorithm, max(r["iters"] for r in report.rows), int(report.data.n))
+        others = [optimizer.plan_regret(judged, p)["regret"] for p in (optimizer.fixed_choice("sgd", report.rows)["plan"], optimizer.fixed_choice("bgd", report.rows)["plan"], rules.key)]
+        for r in runs:
+            yield name, r["plan"], r["seconds"], r["status"], r["iterations"], r["plan"] == report.chosen.key, report.seconds, report.sample_seconds, found["regret"], found["rank"], found["spread"], *others
+        units.unpersist()
 
 
-@experiment("x6_systems", "system string, algorithm string, seconds double, conversion_s double, slower_than_ours double, status string")
+@experiment("x6_systems", "task string, system string, algorithm string, iterations int, seconds_per_iteration double, conversion_s double, slower_than_ours double, status string")
 def x6(spark, sf):
-    """Ours against the library, its re-creation on DataFrames and the stand-ins, for the same number of iterations."""
-    units, n, batch = samplers.with_parts(W2.units(spark, sf), 8).persist(), 5, 1000
-    rows = max(units.count(), 1)
-    cfg = Config(tolerance=0.0, max_iter=n)
-    for algorithm, m in (("bgd", rows), ("mgd", batch), ("sgd", 1)):
-        share = m / rows
-        # one unit wanted: a fraction at which draws are seldom empty
-        share = samplers.boosted_fraction(rows) if algorithm == "sgd" else share
-        ours = (lambda: descent.bgd(units, "logistic", cfg, cache=False)) if algorithm == "bgd" else (lambda: descent.mgd(units, "logistic", cfg, m, "shuffle"))  # noqa: B023
-        r, base = timed(ours)
-        yield "ours", algorithm, base, 0.0, 1.0, r.status
-        r, s = timed(lambda: baselines.library_sgd(units, "logistic", cfg, min(1.0, share)))  # noqa: B023
-        yield "library", algorithm, s, 0.0, s / base, r.status
-        r, s = timed(lambda: baselines.bernoulli_tree(units, "logistic", cfg, min(1.0, share)))  # noqa: B023
-        yield "bernoulli_tree", algorithm, s, 0.0, s / base, r.status
-        if algorithm == "bgd":
-            (r, conversion), s = timed(lambda: baselines.matrix_blocks_standin(units, "logistic", cfg))
-            yield "matrix_blocks_standin", algorithm, s - conversion, conversion, s / base, r.status
-            r, s = timed(lambda: baselines.fused_standin(units, "logistic", cfg))
-            yield "fused_standin", algorithm, s, 0.0, s / base, r.status
-    units.unpersist()
+    """Ours against the library, its re-creation on DataFrames and the stand-ins, all on the cluster, for the same number
+    of iterations: BGD, MGD of 1,000 and SGD over three sets."""
+    for name in ("big_charge", "halfspace", "doc_language"):
+        make, gradient, beta, _ = SETS[name]
+        units = samplers.with_parts(make(spark, sf), 8).persist()
+        rows, n = max(units.count(), 1), SYSTEM_ITERATIONS
+        cfg = Config(beta=beta, tolerance=0.0, max_iter=n)
+        layout = samplers.lay_out(make(spark, sf), new_folder(spark, "layout"), 8)
+        for algorithm, m in (("bgd", rows), ("mgd", 1000), ("sgd", 1)):
+            # one unit wanted: a fraction at which draws are seldom empty
+            share = min(1.0, samplers.boosted_fraction(rows) if algorithm == "sgd" else m / rows)
+            ours = (lambda: descent.bgd(units, gradient, cfg, cache=False)) if algorithm == "bgd" else (lambda: descent.mgd(None, gradient, cfg, m, "shuffle", layout=layout))  # noqa: B023
+            r, base = timed(ours)
+            yield name, "ours", algorithm, n, base / n, 0.0, 1.0, r.status
+            for system, run in (
+                ("library", lambda: (baselines.library_sgd(units, gradient, cfg, share), 0.0)),  # noqa: B023
+                ("bernoulli_tree", lambda: (baselines.bernoulli_tree(units, gradient, cfg, share), 0.0)),  # noqa: B023
+                ("matrix_blocks_standin", lambda: baselines.matrix_blocks_standin(units, gradient, cfg, fraction=share)),  # noqa: B023
+                ("fused_standin", lambda: (baselines.fused_standin(units, gradient, cfg, fraction=share), 0.0)),  # noqa: B023
+            ):
+                (r, conversion), s = timed(run)
+                yield name, system, algorithm, n, (s - conversion) / n, conversion, (s - conversion) / base, r.status
+        units.unpersist()
 
 
-@experiment("x7_scale_points", "system string, copies int, units long, seconds double, slope double")
+@experiment("x7_scale_points", "system string, copies int, units long, seconds_per_iteration double, layout_s double, slope double")
 def x7(spark, sf):
-    """SGD over 1, 4 and 16 copies of the events: two of our plans and the library; slope of log seconds over log units."""
+    """SGD over 1, 4, 16 and 64 copies of the events: two of our plans over laid-out files and the library."""
     raw, transform = event_rows(spark, sf)
-    n, iterations = raw.count(), 4
-    cfg, found = Config(tolerance=0.0, max_iter=iterations), {}
-    for k in (1, 4, 16):
+    n, iterations, found, wrote = raw.count(), 10, {}, {}
+    cfg = Config(tolerance=0.0, max_iter=iterations)
+    for k in (1, 4, 16, 64):
         # each row k times by a generator, so that no join is needed
         many = raw.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(k - 1)))).withColumn("unit_id", F.col("unit_id") * k + F.col("copy"))
         for plan in (optimizer.PlanSpec("sgd", "eager", "random"), optimizer.PlanSpec("sgd", "lazy", "shuffle")):
-            found[plan.key, k] = timed(lambda: optimizer.execute(plan, many, transform, Request("hinge"), 8 * k, cfg))[1]  # noqa: B023
-        found["library", k] = timed(lambda: baselines.library_sgd(transform(many), "hinge", cfg, samplers.boosted_fraction(n * k)))[1]  # noqa: B023
+            layout, wrote[plan.key, k] = timed(lambda: optimizer.prepare(plan, many, transform, 8))  # noqa: B023
+            found[plan.key, k] = timed(lambda: optimizer.execute(plan, many, transform, Request("hinge"), 8, cfg, layout=layout))[1]  # noqa: B023
+        units = transform(many).persist()
+        units.count()
+        found["library", k] = timed(lambda: baselines.library_sgd(units, "hinge", cfg, samplers.boosted_fraction(n * k)))[1]  # noqa: B023
+        units.unpersist()
     for (system, k), seconds in found.items():
-        yield system, k, n * k, seconds, metrics.scaling_slope([(n * c, s) for (x, c), s in found.items() if x == system])
+        yield system, k, n * k, seconds / iterations, wrote.get((system, k), 0.0), metrics.scaling_slope([(n * c, s) for (x, c), s in found.items() if x == system])
 
 
-@experiment("x8_scale_features", "dim int, seconds_per_iteration double, slope double")
+@experiment("x8_scale_features", "system string, dim int, seconds_per_iteration double, slope double")
 def x8(spark, sf):
-    """Batch descent over sparse texts as their dimension grows."""
+    """Sparse texts as their dimension grows: batch descent with partial sums, the library (BGD and SGD) over sparse
+    vectors, and SGD over the sparse units of a shuffled partition."""
     found = {}
-    for dim in (1024, 4096, 16384, 65536):
-        r, _ = timed(lambda: descent.bgd_sparse(tasks.doc_language(spark, sf, dim), "logistic", Config(tolerance=0.0, max_iter=3), dim))  # noqa: B023
-        # the first iteration fills the cache
-        found[dim] = float(np.mean([t["millis"] for t in r.trace[1:]])) / 1e3
-    slope = metrics.scaling_slope(list(found.items()))
-    yield from ((dim, s, slope) for dim, s in found.items())
+    for dim in (1024, 4096, 16384, 65536, 262144):
+        sparse = tasks.doc_language(spark, sf, dim).persist()
+        n = sparse.count()
+        cfg = Config(tolerance=0.0, max_iter=3)
+        r, _ = timed(lambda: descent.bgd_sparse(sparse, "logistic", cfg, dim))  # noqa: B023
+        # the first iteration compiles
+        found["ours_bgd", dim] = float(np.mean([t["millis"] for t in r.trace[1:]])) / 1e3
+        found["ours_sgd_shuffle", dim] = timed(lambda: descent.sgd_sparse(sparse, "logistic", descent.with_tolerance(cfg, max_iter=10), dim))[1] / 10  # noqa: B023
+        found["library_bgd", dim] = timed(lambda: baselines.library_sparse(sparse, cfg, dim))[1] / 3  # noqa: B023
+        found["library_sgd", dim] = timed(lambda: baselines.library_sparse(sparse, cfg, dim, samplers.boosted_fraction(n)))[1] / 3  # noqa: B023
+        sparse.unpersist()
+    for (system, dim), s in found.items():
+        yield system, dim, s, metrics.scaling_slope([(d, t) for (x, d), t in found.items() if x == system])
 
 
 @experiment("x9_abstraction", "task string, algorithm string, ours_s double, handcoded_s double, overhead double, fused_s double, fused_status string")
 def x9(spark, sf):
-    """Our operators against a straight loop of the same plan and against the fused stand-in."""
-    for name, make, gradient in (("big_charge", W2.units, "logistic"), ("event_heavy", W6.units, "hinge")):
-        units, n = make(spark, sf).persist(), 6
-        units.count()
-        # each once before it is timed
-        descent.bgd(units, gradient, Config(tolerance=0.0, max_iter=1), cache=False)
-        ours = timed(lambda: descent.bgd(units, gradient, Config(tolerance=0.0, max_iter=n), cache=False))[1]  # noqa: B023
-        straight = timed(lambda: baselines.handcoded_bgd(units, gradient, n))[1]  # noqa: B023
+    """Our operators against a straight loop of the same plan and against the fused stand-in: SGD, MGD of 1,000 and of
+    10,000 and BGD over three sets. The stand-in's capacity is a fixed 64 MB for what one task gets."""
+    n = 10
+    cfg = Config(tolerance=0.0, max_iter=n)
+    for name in ("big_charge", "halfspace", "doc_language"):
+        make, gradient, _, _ = SETS[name]
         units = make(spark, sf).persist()
-        fused, s = timed(lambda: baselines.fused_standin(units, gradient, Config(tolerance=0.0, max_iter=n)))  # noqa: B023
-        yield name, "bgd", ours, straight, ours / straight, s, fused.status
+        rows = units.count()
+        for algorithm, m in (("sgd", 1), ("mgd_1000", 1000), ("mgd_10000", 10_000), ("bgd", rows)):
+            share = min(1.0, samplers.boosted_fraction(rows) if m == 1 else m / rows)
+            ours = (lambda k: descent.bgd(units, gradient, descent.with_tolerance(cfg, max_iter=k), cache=False)) if share >= 1 else (lambda k: descent.mgd(units, gradient, descent.with_tolerance(cfg, max_iter=k), fraction=share))  # noqa: B023
+            straight = lambda k: baselines.handcoded_bgd(make(spark, sf).persist() if k < 0 else units, gradient, k, fraction=share)  # noqa: B023, E731
+            # each once before it is timed; a straight loop unpersists, so the cache is filled again
+            ours(1)
+            s = timed(lambda: ours(n))[1]  # noqa: B023
+            straight(1)
+            units = make(spark, sf).persist()
+            units.count()
+            h = timed(lambda: straight(n))[1]  # noqa: B023
+            units = make(spark, sf).persist()
+            units.count()
+            fused, f = timed(lambda: baselines.fused_standin(units, gradient, cfg, 64 << 20, share))  # noqa: B023
+            yield name, algorithm, s, h, s / h, f, fused.status
         units.unpersist()
-    fused = baselines.fused_standin(tasks.halfspace(spark, sf), "hinge", Config(max_iter=1), max_bytes=1024)
-    yield "halfspace_small_capacity", "bgd", None, None, None, None, fused.status
 
 
-@experiment("x10_testing_error", "system string, algorithm string, mse_pm1 double, error_rate double, distance_to_ours double")
+@experiment("x10_testing_error", "task string, system string, algorithm string, mse_pm1 double, error_rate double, distance_to_ours double")
 def x10(spark, sf):
-    """Errors on the held-out fifth by system; batch descent gives one model everywhere."""
-    train, test = metrics.split_80_20(W6.units(spark, sf))
-    train, test = samplers.with_parts(train, 8).persist(), test.persist()
-    cfg = Config(tolerance=0.0, max_iter=20)
-    ours = None
-    for system, algorithm, run in (
-        ("ours", "bgd", lambda: descent.bgd(train, "hinge", cfg, cache=False)),
-        ("library", "bgd", lambda: baselines.library_sgd(train, "hinge", cfg)),
-        ("matrix_blocks_standin", "bgd", lambda: baselines.matrix_blocks_standin(train, "hinge", cfg)[0]),
-        ("ours", "mgd", lambda: descent.mgd(train, "hinge", cfg, 100, "shuffle")),
-        ("library", "mgd", lambda: baselines.library_sgd(train, "hinge", cfg, 0.05)),
-        ("ours", "sgd", lambda: descent.sgd(train, "hinge", cfg, "shuffle")),
-    ):
-        w = run().weights
-        ours = w if system == "ours" else ours
-        e = metrics.testing_error(optimizer.predictions(test, w, "hinge")).first()
-        yield system, algorithm, e.mse_pm1, e.error_rate, float(np.abs(w - ours).max())
-    train.unpersist()
-    test.unpersist()
+    """Errors on the held-out fifth by system over an even and a skewed layout (partitions that follow the label), where
+    shuffled partitions see one class at a time; batch descent gives one model everywhere."""
+    for name, by_label in (("event_heavy", False), ("event_heavy_by_label", True)):
+        train, test = metrics.split_80_20(W6.units(spark, sf))
+        parts = F.pmod("unit_id", F.lit(4)).cast("int") + F.when(F.col("label") > 0, 4).otherwise(0)
+        train = (train.withColumn("part_id", parts) if by_label else samplers.with_parts(train, 8)).persist()
+        test = test.persist()
+        share = min(1.0, 100 / train.count())
+        cfg = Config(tolerance=0.0, max_iter=20)
+        ours = None
+        for system, algorithm, run in (
+            ("ours", "bgd", lambda: descent.bgd(train, "hinge", cfg, cache=False)),  # noqa: B023
+            ("library", "bgd", lambda: baselines.library_sgd(train, "hinge", cfg)),  # noqa: B023
+            ("matrix_blocks_standin", "bgd", lambda: baselines.matrix_blocks_standin(train, "hinge", cfg)[0]),  # noqa: B023
+            ("ours", "mgd", lambda: descent.mgd(train, "hinge", cfg, 100, "shuffle")),  # noqa: B023
+            ("ours_mixed", "mgd", lambda: descent.mgd(train, "hinge", cfg, 100, "shuffle", mix=8)),  # noqa: B023
+            ("library", "mgd", lambda: baselines.library_sgd(train, "hinge", cfg, share)),  # noqa: B023
+            ("matrix_blocks_standin", "mgd", lambda: baselines.matrix_blocks_standin(train, "hinge", cfg, fraction=share)[0]),  # noqa: B023
+            ("ours", "sgd", lambda: descent.sgd(train, "hinge", cfg, "shuffle")),  # noqa: B023
+            ("ours_mixed", "sgd", lambda: descent.sgd(train, "hinge", cfg, "shuffle", mix=8)),  # noqa: B023
+            ("library", "sgd", lambda: baselines.library_sgd(train, "hinge", cfg, share / 10)),  # noqa: B023
+        ):
+            w = run().weights
+            ours = w if system == "ours" else ours
+            e = metrics.testing_error(optimizer.predictions(test, w, "hinge")).first()
+            yield name, system, algorithm, e.mse_pm1, e.error_rate, float(np.abs(w - ours).max())
+        train.unpersist()
+        test.unpersist()
 
 
 def _effects(name: str, algorithms: tuple, keep) -> None:
-    @experiment(name, "plan string, algorithm string, transform string, sampler string, seconds double, iterations int, units long, partitions long")
+    @experiment(name, "task string, plan string, algorithm string, transform string, sampler string, place string, seconds double, layout_s double, iterations int, status string, units long, partitions long, bytes long")
     def _(spark, sf):
-        for r in plan_runs(spark, sf, 3, algorithms):
-            if keep(r):
-                yield r["plan"], r["algorithm"], r["transform"], r["sampler"], r["seconds"], r["iterations"], r["units"], r["partitions"]
+        """W1 to W4 to tolerance 0.001 or 1,000 iterations, placed by size; and the events on the cluster, from files."""
+        for task, runs in [*((t, lambda t=t: plan_runs(spark, sf, t, algorithms)) for t in SETS), ("events_in_files", lambda: cluster_runs(spark, sf, algorithms))]:
+            for r in runs():
+                if keep(r):
+                    yield task, r["plan"], r["algorithm"], r["transform"], r["sampler"], r["place"], r["seconds"], r["layout_s"], r["iterations"], r["status"], r["units"], r["partitions"], r["bytes"]
 
 
 _effects("x11_samplers_mgd", ("mgd",), lambda r: True)
@@ -255,14 +330,16 @@ _effects("x13_samplers_sgd", ("sgd",), lambda r: True)
 _effects("x14_transform_random", ("mgd", "sgd"), lambda r: r["sampler"] == "random")
 
 
-@experiment("x15_curve_fits", "task string, step string, actual int, pairs int, inverse long, step_aware long, power long, status string")
+@experiment("x15_curve_fits", "task string, step string, actual int, pairs int, inverse long, step_aware long, power long, rmse double, error double, status string")
 def x15(spark, sf):
-    """Predicted and needed iterations by step rule. The whole of a set is run, on the driver where it fits a partition, else on the cluster."""
+    """Predicted and needed iterations by step rule, and the fitted curve's residual over speculation's pairs. The whole of
+    a set is run to 0.001, on the driver where it fits a partition, else on the cluster. Null error: it didn't come to it."""
     for name, (make, gradient, _, _) in SETS.items():
         units = make(spark, sf)
         large = optimizer.collect_stats(units).bytes > cost.Env().partition_bytes
-        for r in estimate.curve_study(units, gradient, 1e-2, budget_s=6, cluster=large):
-            yield name, r["step"], r["actual"], r["pairs"], r["inverse"], r["step_aware"], r["power"], r["status"]
+        for r in estimate.curve_study(units, gradient, 1e-3, budget_s=BUDGET_S, cluster=large):
+            error = metrics.relative_error(r["inverse"], r["actual"]) if r["status"] == "CONVERGED" else None
+            yield name, r["step"], r["actual"], r["pairs"], r["inverse"], r["step_aware"], r["power"], r["rmse"], error, r["status"]
 
 
 @experiment("x16_chosen_plans", "task string, algorithm string, plan string, iterations_est long, total_cost double, chosen boolean")

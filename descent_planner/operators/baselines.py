@@ -35,6 +35,19 @@ def library_sgd(units: DataFrame, gradient: str, cfg: Config, fraction: float =
     return FitResult(np.array(model.weights.toArray()), [], "DONE", cfg, time.monotonic() - began)
 
 
+def library_sparse(sparse: DataFrame, cfg: Config, dim: int, fraction: float = 1.0) -> FitResult:
+    """The library's logistic regression over sparse vectors."""
+    from pyspark.mllib.classification import LogisticRegressionWithSGD
+    from pyspark.mllib.linalg import SparseVector
+    from pyspark.mllib.regression import LabeledPoint
+
+    began = time.monotonic()
+    points = sparse.select("label", "idx", "val").rdd.map(lambda r: LabeledPoint((r[0] + 1) / 2, SparseVector(dim, r[1], r[2]))).cache()
+    model = LogisticRegressionWithSGD.train(points, iterations=cfg.max_iter, step=cfg.beta, miniBatchFraction=fraction, initialWeights=[0.0] * dim, regParam=0.0, regType=None, intercept=False, convergenceTol=0.0)
+    points.unpersist()
+    return FitResult(np.array(model.weights.toArray()), [], "DONE", cfg, time.monotonic() - began)
+
+
 def bernoulli_tree(units: DataFrame, gradient: str, cfg: Config, fraction: float = 1.0) -> FitResult:
     """The library's way on DataFrames: a Bernoulli sample of the whole table each iteration, partial sums added by tree."""
     g, units = GRADIENTS[gradient], units.persist()

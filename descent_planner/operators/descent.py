@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from ..functions.gradients import GRADIENTS, Gradient, penalty, regulariser
 from ..functions.steps import NORMS, STEPS, LoopRule
-from .samplers import CUSTOM, SPAN, Bernoulli, Layout, RandomPartition, ShuffledPartition, partition_catalog, py_rank
+from .samplers import CUSTOM, SPAN, Bernoulli, Layout, RandomPartition, ShuffledPartition, partition_catalog, py_rank, with_parts
 
 #: Up to this many features gradients are SQL sums; beyond it NumPy sums of Arrow batches.
 SQL_FEATURES = 16
@@ -623,5 +623,21 @@ def bgd_sparse(sparse: DataFrame, gradient: str, cfg: Config, dim: int) -> FitRe
         sparse.unpersist()
 
 
+def sgd_sparse(sparse: DataFrame, gradient: str, cfg: Config, dim: int, parts: int = 8) -> FitResult:
+    """SGD over sparse units of shuffled partitions: an iteration changes the weights of one unit's features."""
+    g = GRADIENTS[gradient]
+    units = with_parts(sparse, parts)
+    chooser = ShuffledPartition({r.part_id: r.n_units for r in partition_catalog(units).collect()}, 1, cfg.seed)
+
+    def one(i, w):
+        r = chooser.draw_rows(units)[0][1]
+        j, x = np.array(r.idx, dtype=np.int64), np.array(r.val, dtype=float)
+        new = w.copy()
+        new[j] -= cfg.alpha(i) * float(g.np_coefficient(np.array([w[j] @ x]), np.array([r.label]))[0]) * x
+        return new, 1, cfg.alpha(i)
+
+    return _run(stage(dim, cfg), cfg, one)
+
+
 def with_tolerance(cfg: Config, **changes) -> Config:
     return replace(cfg, **changes)

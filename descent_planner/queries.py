@@ -36,11 +36,11 @@ def query(name: str, oracle: str | None = None):
     return add
 
 
-def _rounded(names: list[str]) -> str:
-    return ", ".join(f"round({n}, 6) + 0.0 AS {n}" for n in names)
+def _rounded(names: list[str], digits: int = 6) -> str:
+    return ", ".join(f"round({n}, {digits}) + 0.0 AS {n}" for n in names)
 
 
-def descent_sql(units: str, d: int, gradient: str, iters: int, step: str = "inv_sqrt", beta: float = 1.0, norm: str = "l1", where: str = "true", extra: str = "", source: str = "u", reg: str = "", cols: str | None = None, tolerance: float | None = None) -> str:
+def descent_sql(units: str, d: int, gradient: str, iters: int, step: str = "inv_sqrt", beta: float = 1.0, norm: str = "l1", where: str = "true", extra: str = "", source: str = "u", reg: str = "", cols: str | None = None, tolerance: float | None = None, digits: int = 6) -> str:
     """A recursive query for ``iters`` iterations; ``where`` restricts the units of iteration t.i + 1."""
     w = [f"w{j}" for j in range(d)]
     z = "(" + "+".join(f"t.w{j}*u.x{j}" for j in range(d)) + ")"
@@ -59,12 +59,13 @@ t AS (
     SELECT t.i + 1 AS i, {new}, count(*) AS n
     FROM t, {source} WHERE t.i < {iters}{go_on} AND {where}
     GROUP BY t.i, {", ".join(f"t.{x}" for x in w)}))
-SELECT i AS iter, {_rounded(w)}, {cols or "round(delta, 6) + 0.0 AS delta"} FROM t WHERE i > 0"""
+SELECT i AS iter, {_rounded(w, digits)}, {cols or f"round(delta, {digits}) + 0.0 AS delta"} FROM t WHERE i > 0"""
 
 
-def trace(spark: SparkSession, fit: descent.FitResult, delta: bool = True, used: bool = False, last: bool = False) -> DataFrame:
+def trace(spark: SparkSession, fit: descent.FitResult, delta: bool = True, used: bool = False, last: bool = False, digits: int = 6) -> DataFrame:
     d = len(fit.weights)
-    rows = [(r["iter"], *(round(float(x), 6) + 0.0 for x in r["w"]), *([None if r["delta"] is None else round(r["delta"], 6) + 0.0] * delta), *([r["n_used"]] * used)) for r in fit.trace]
+    r6 = lambda x: round(float(x), digits) + 0.0
+    rows = [(r["iter"], *(r6(x) for x in r["w"]), *([None if r["delta"] is None else r6(r["delta"])] * delta), *([r["n_used"]] * used)) for r in fit.trace]
     return spark.createDataFrame(rows[-1:] if last else rows, "iter int, " + ", ".join(f"w{j} double" for j in range(d)) + ", delta double" * delta + ", n_used long" * used)
 
 
@@ -129,15 +130,23 @@ for _g, (_task, _w) in _FIXED.items():
     ORACLES[f"loss_{_g}_fixed_w"] = f"SELECT round(avg({GRADIENTS[_g].sql_loss.format(z=_z(_w), y='label')}), 6) AS objective FROM ({_task.sql()})"
 
 
-@query("gradient_sparse_keyed", f"WITH b AS ({_WORDS_SQL}), s AS (SELECT unit_id, 1/sqrt(count(*)) AS v FROM b GROUP BY unit_id) SELECT bucket AS j, round(sum(-(CASE WHEN lang='en' THEN 1.0 ELSE -1.0 END)*0.5*v), 5) + 0.0 AS g FROM b JOIN s USING (unit_id) JOIN documents d ON d.doc_id = b.unit_id GROUP BY bucket")
+_SPARSE_GRADIENT_SQL = f"WITH b AS ({_WORDS_SQL}), s AS (SELECT unit_id, 1/sqrt(count(*)) AS v FROM b GROUP BY unit_id) SELECT bucket AS j, round(sum(-(CASE WHEN lang='en' THEN 1.0 ELSE -1.0 END)*0.5*v), 5) + 0.0 AS g FROM b JOIN s USING (unit_id) JOIN documents d ON d.doc_id = b.unit_id GROUP BY bucket"
+
+
+@query("gradient_sparse_keyed", _SPARSE_GRADIENT_SQL)
 def _(spark, sf):
     """The logistic gradient of hashed texts at zero weights, margins by a join with the table of weights."""
-    sparse = tasks.doc_language(spark, sf)
     weights = spark.range(1024).select(F.col("id").cast("int").alias("j"), F.lit(0.0).alias("w"))
-    out = descent.sparse_gradient(sparse, descent.sparse_margins(sparse, weights), GRADIENTS["logistic"])
+    out = descent.sparse_gradient(descent.sparse_margins(tasks.doc_language(spark, sf), weights), GRADIENTS["logistic"])
     return out.select("j", (F.round("g", 5) + 0.0).alias("g"))
 
 
+@query("gradient_sparse_partials", _SPARSE_GRADIENT_SQL)
+def _(spark, sf):
+    """The same with the weights in every task and partial sums."""
+    return descent.sparse_partials(tasks.doc_language(spark, sf), np.zeros(1024), GRADIENTS["logistic"]).select("j", (F.round("g", 5) + 0.0).alias("g"))
+
+
 # --- batch descent ---------------------------------------------------------------------------------------------------
 
 _FIX = Config(tolerance=0.0, max_iter=10)
@@ -182,7 +191,21 @@ def _(spark, sf):
     return spark.createDataFrame([(j, round(float(x), 6) + 0.0) for j, x in enumerate(fit.weights)], "dim int, weight double")
 
 
-@query("bgd_sparse_language")
+_SPARSE_SQL = f"""WITH RECURSIVE b AS MATERIALIZED ({_WORDS_SQL.replace('1024', '256')}),
+c AS MATERIALIZED (SELECT b.unit_id, bucket, 1/sqrt(count(*) OVER (PARTITION BY b.unit_id)) AS v, CASE WHEN lang = 'en' THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM b JOIN documents d ON d.doc_id = b.unit_id),
+t AS (
+  SELECT 0 AS i, range::INT AS j, 0.0::DOUBLE AS w FROM range(256)
+  UNION ALL
+  SELECT t.i + 1, t.j, t.w - coalesce(g.g, 0.0) / (SELECT count(DISTINCT unit_id) FROM c) / sqrt(t.i + 1)
+  FROM t LEFT JOIN (
+    SELECT c.bucket AS j, sum(-z.y/(1+exp(greatest(-700.0, least(700.0, z.y*z.z))))*c.v) AS g
+    FROM (SELECT c.unit_id, c.y, sum(t.w*c.v) AS z FROM t JOIN c ON c.bucket = t.j GROUP BY c.unit_id, c.y) z JOIN c USING (unit_id)
+    GROUP BY c.bucket) g USING (j)
+  WHERE t.i < 3)
+SELECT j, round(w, 6) + 0.0 AS weight FROM t WHERE i = 3"""
+
+
+@query("bgd_sparse_language", _SPARSE_SQL)
 def _(spark, sf):
     fit = descent.bgd_sparse(tasks.doc_language(spark, sf, 256), "logistic", _fixed(3), 256)
     return spark.createDataFrame([(j, round(float(x), 6) + 0.0) for j, x in enumerate(fit.weights)], "j int, weight double")
@@ -213,19 +236,21 @@ s AS (SELECT u.*, (row_number() OVER (PARTITION BY part_id ORDER BY {_rank(0, "u
 b AS (SELECT (before + rn // {m} + 1)::BIGINT AS i, s.* FROM s JOIN q USING (part_id) WHERE rn // {m} < k)"""
 
 
-def _picks_sql(m: int, iters: int) -> str:
-    """b(i, ...): units drawn by random partitions, with replacement."""
+def _picks_sql(m: int, iters: int, weight: str = "count(*)") -> str:
+    """b(i, ...): units drawn by random partitions, in proportion to their ``weight``, with replacement."""
     return f""",
-p AS (SELECT part_id, count(*) AS n FROM u GROUP BY part_id),
-c AS (SELECT part_id, n, sum(n) OVER (ORDER BY part_id) / (SELECT sum(n) FROM p)::DOUBLE AS high, coalesce(sum(n) OVER (ORDER BY part_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / (SELECT sum(n) FROM p)::DOUBLE AS low FROM p),
+p AS (SELECT part_id, count(*) AS n, {weight} AS g FROM u GROUP BY part_id),
+c AS (SELECT part_id, n, sum(g) OVER (ORDER BY part_id) / (SELECT sum(g) FROM p)::DOUBLE AS high, coalesce(sum(g) OVER (ORDER BY part_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / (SELECT sum(g) FROM p)::DOUBLE AS low FROM p),
 d AS (SELECT i, k, {_rank("i", "'p'||k")} / 4294967296.0::DOUBLE AS a, {_rank("i", "'u'||k")} AS v FROM range(1, {iters + 1}) x(i), range({m}) y(k)),
 s AS (SELECT u.*, row_number() OVER (PARTITION BY part_id ORDER BY unit_id) - 1 AS rn FROM u),
 b AS (SELECT d.i, s.* FROM d JOIN c ON d.a >= c.low AND d.a < c.high JOIN s ON s.part_id = c.part_id AND s.rn = (d.v::HUGEINT * c.n) // 4294967296)"""
 
 
 def _joined(name: str, algorithm: str, extra: str, iters: int, run) -> None:
-    QUERIES[name] = lambda spark, sf: trace(spark, run(_laid(spark, sf)), used=True)
-    ORACLES[name] = descent_sql(_U6, 3, "hinge", iters, extra=extra, source="b u", where="u.i = t.i + 1", cols="round(delta, 6) + 0.0 AS delta, n_used")
+    # a hinge batch is summed in another order there, which may cross the edge of a sixth digit; a single unit isn't
+    digits = 4 if algorithm == "mgd" else 6
+    QUERIES[name] = lambda spark, sf: trace(spark, run(_laid(spark, sf)), used=True, digits=digits)
+    ORACLES[name] = descent_sql(_U6, 3, "hinge", iters, extra=extra, source="b u", where="u.i = t.i + 1", cols=f"round(delta, {digits}) + 0.0 AS delta, n_used", digits=digits)
 
 
 QUERIES["mgd_bernoulli_hash"] = lambda spark, sf: trace(spark, descent.mgd(W6.units(spark, sf), "hinge", _fixed(6), fraction=0.1), used=True)
@@ -254,11 +279,87 @@ def _(spark, sf):
     return trace(spark, descent.svrg(_laid(spark, sf), "logistic", _fixed(5), 1))
 
 
-query("svrg_trace")(lambda spark, sf: trace(spark, descent.svrg(_laid(spark, sf), "logistic", _fixed(12, beta=0.3), 5), used=True))
-query("line_search_armijo")(lambda spark, sf: descent.bgd_line_search(W1.units(spark, sf), "linear", _fixed(6)).trace_frame(spark).select("iter", "step", "delta"))
-query("line_search_printed")(lambda spark, sf: descent.bgd_line_search(W1.units(spark, sf), "linear", _fixed(4), rule="printed").trace_frame(spark).select("iter", "step", "delta"))
-query("bb_step_trace")(lambda spark, sf: descent.bgd_bb(W1.units(spark, sf), "linear", _fixed(8, beta=0.3)).trace_frame(spark).select("iter", "step", "delta"))
-query("mgd_random_uniform_weights")(lambda spark, sf: trace(spark, descent.mgd(_laid(spark, sf), "hinge", _fixed(4), 20, "random", weights="uniform"), used=True))
+def svrg_sql(units: str, d: int, gradient: str, iters: int, beta: float, every: int) -> str:
+    """Variance reduction: the state holds weights w, the anchor v and its mean gradient m."""
+    g = GRADIENTS[gradient].sql
+    at = lambda k: g.format(z="(" + "+".join(f"t.{k}{j}*u.x{j}" for j in range(d)) + ")", y="u.label")
+    over = range(d)
+    a = f"({beta}::DOUBLE/sqrt(i))"
+    step = [f"CASE WHEN anchor THEN f{j} ELSE f{j} - h{j} + m{j} END" for j in over]
+    new = [f"w{j} - {a}*({step[j]})" for j in over]
+    return f"""
+WITH RECURSIVE u0 AS MATERIALIZED ({units}), u AS (SELECT * FROM u0){_batches_sql(1)},
+r AS MATERIALIZED (SELECT u0.*, b.i AS k FROM u0 LEFT JOIN b USING (unit_id)),
+t AS (
+  SELECT 0 AS i, {", ".join(f"0.0::DOUBLE AS {k}{j}" for k in "wvm" for j in over)}, 0.0::DOUBLE AS delta, 0::BIGINT AS n_used
+  UNION ALL
+  SELECT i, {", ".join(new)}, {", ".join(f"CASE WHEN anchor THEN w{j} ELSE v{j} END" for j in over)}, {", ".join(f"CASE WHEN anchor THEN f{j} ELSE m{j} END" for j in over)}, {"+".join(f"abs(({new[j]}) - w{j})" for j in over)}, n FROM (
+    SELECT t.i + 1 AS i, t.i % {every} = 0 AS anchor, {", ".join(f"t.{k}{j}" for k in "wvm" for j in over)}, {", ".join(f"avg(({at('w')})*u.x{j}) AS f{j}, avg(({at('v')})*u.x{j}) AS h{j}" for j in over)}, count(*) AS n
+    FROM t, r u WHERE t.i < {iters} AND (t.i % {every} = 0 OR u.k = t.i - t.i // {every})
+    GROUP BY t.i, {", ".join(f"t.{k}{j}" for k in "wvm" for j in over)}))
+SELECT i AS iter, {_rounded([f"w{j}" for j in over], 5)}, round(delta, 5) + 0.0 AS delta, n_used FROM t WHERE i > 0"""
+
+
+def line_search_sql(task, gradient: str, iters: int, rule: str, beta: float = 1.0, shrink: float = 0.5, trials: int = 12, sigma: float = 1e-4) -> str:
+    """Mean losses of all trial steps of an iteration at once; the first step that passes is taken."""
+    d, g = task.dim, GRADIENTS[gradient]
+    over = range(d)
+    z = "(" + "+".join(f"t.w{j}*u.x{j}" for j in over) + ")"
+    ahead = "(" + "+".join(f"(s.w{j}-k.a*s.g{j})*u.x{j}" for j in over) + ")"
+    square = "+".join(f"g{j}*g{j}" for j in over)
+    ok = f"f0 - f >= {sigma}*a*({square})" if rule == "armijo" else "f0 - f < a*i"
+    alpha = f"{beta}::DOUBLE*pow({shrink}, coalesce(first_ok, {trials - 1}))"
+    if rule == "armijo":
+        alpha = f"CASE WHEN first_ok IS NULL AND last_drop < 0 THEN 0.0 ELSE {alpha} END"
+    keep = ", ".join(f"{k}{j}" for k in "wg" for j in over)
+    return f"""
+WITH RECURSIVE u AS MATERIALIZED ({task.sql()}),
+k AS (SELECT x AS k, {beta}::DOUBLE*pow({shrink}, x) AS a FROM range({trials}) r(x)),
+t AS (
+  SELECT 0 AS i, {", ".join(f"0.0::DOUBLE AS w{j}" for j in over)}, 0.0::DOUBLE AS step, 0.0::DOUBLE AS delta
+  UNION ALL
+  SELECT i, {", ".join(f"w{j} - step*g{j}" for j in over)}, step, {"+".join(f"abs(step*g{j})" for j in over)} FROM (
+    SELECT i, {keep}, {alpha} AS step FROM (
+      SELECT i, {keep}, min(k) FILTER ({ok}) AS first_ok, max(f0 - f) FILTER (k = {trials - 1}) AS last_drop FROM (
+        SELECT s.i, {", ".join(f"s.{k}{j}" for k in "wg" for j in over)}, s.f0, k.k, k.a, avg({g.sql_loss.format(z=ahead, y="u.label")}) AS f
+        FROM (SELECT t.i + 1 AS i, {", ".join(f"t.w{j}" for j in over)}, {", ".join(f"avg(({g.sql.format(z=z, y='u.label')})*u.x{j}) AS g{j}" for j in over)}, avg({g.sql_loss.format(z=z, y="u.label")}) AS f0
+              FROM t, u WHERE t.i < {iters} GROUP BY t.i, {", ".join(f"t.w{j}" for j in over)}) s, k, u
+        GROUP BY s.i, {", ".join(f"s.{k}{j}" for k in "wg" for j in over)}, s.f0, k.k, k.a)
+      GROUP BY i, {keep})))
+SELECT i AS iter, round(step, 9) AS step, round(delta, 5) + 0.0 AS delta FROM t WHERE i > 0"""
+
+
+def secant_sql(task, gradient: str, iters: int, beta: float, kind: int) -> str:
+    """Steps from the last two weights and gradients: the state holds weights w and the last ones v with their gradient m."""
+    d, g = task.dim, GRADIENTS[gradient]
+    over = range(d)
+    z = "(" + "+".join(f"t.w{j}*u.x{j}" for j in over) + ")"
+    dot = lambda x, y: "(" + "+".join(f"({x.format(j=j)})*({y.format(j=j)})" for j in over) + ")"
+    s_, y_ = "w{j}-v{j}", "g{j}-m{j}"
+    top, low = (dot(s_, s_), dot(s_, y_)) if kind == 1 else (dot(s_, y_), dot(y_, y_))
+    keep = ", ".join(f"t.{k}{j}" for k in "wvm" for j in over)
+    return f"""
+WITH RECURSIVE u AS MATERIALIZED ({task.sql()}),
+t AS (
+  SELECT 0 AS i, {", ".join(f"0.0::DOUBLE AS {k}{j}" for k in "wvm" for j in over)}, 0.0::DOUBLE AS step, 0.0::DOUBLE AS delta
+  UNION ALL
+  SELECT i, {", ".join(f"w{j} - step*g{j}" for j in over)}, {", ".join(f"w{j}" for j in over)}, {", ".join(f"g{j}" for j in over)}, step, {"+".join(f"abs(step*g{j})" for j in over)} FROM (
+    SELECT *, CASE WHEN i > 1 AND {low} > 0 AND {top} > 0 THEN {top} / {low} ELSE {beta}::DOUBLE/sqrt(i) END AS step FROM (
+      SELECT t.i + 1 AS i, {keep}, {", ".join(f"avg(({g.sql.format(z=z, y='u.label')})*u.x{j}) AS g{j}" for j in over)}
+      FROM t, u WHERE t.i < {iters} GROUP BY t.i, {keep})))
+SELECT i AS iter, round(step, 5) AS step, round(delta, 5) + 0.0 AS delta FROM t WHERE i > 0"""
+
+
+def _steps(spark: SparkSession, fit: descent.FitResult, step_digits: int) -> DataFrame:
+    return spark.createDataFrame([(r["iter"], round(r["step"], step_digits), round(r["delta"], 5) + 0.0) for r in fit.trace], "iter int, step double, delta double")
+
+
+query("svrg_trace", svrg_sql(_U6, 3, "logistic", 12, 0.3, 5))(lambda spark, sf: trace(spark, descent.svrg(_laid(spark, sf), "logistic", _fixed(12, beta=0.3), 5), used=True, digits=5))
+query("line_search_armijo", line_search_sql(W1, "linear", 6, "armijo"))(lambda spark, sf: _steps(spark, descent.bgd_line_search(W1.units(spark, sf), "linear", _fixed(6)), 9))
+query("line_search_printed", line_search_sql(W1, "linear", 4, "printed"))(lambda spark, sf: _steps(spark, descent.bgd_line_search(W1.units(spark, sf), "linear", _fixed(4), rule="printed"), 9))
+for _kind in (1, 2):
+    query("bb_step_trace" if _kind == 1 else "bb2_step_trace", secant_sql(W1, "linear", 8, 0.3, _kind))(lambda spark, sf, k=_kind: _steps(spark, descent.bgd_bb(W1.units(spark, sf), "linear", _fixed(8, beta=0.3), k), 5))
+_joined("mgd_random_uniform_weights", "mgd", _picks_sql(20, 4, "1"), 4, lambda u: descent.mgd(u, "hinge", _fixed(4), 20, "random", weights="uniform"))
 
 
 @query("sample_bernoulli_hash", " UNION ALL ".join(f"SELECT {i} AS iter, count(*) AS n FROM events WHERE {_rank(i, 'event_id')} < 0.1::DOUBLE * 4294967296" for i in (1, 2, 3)))
@@ -294,11 +395,12 @@ def _(spark, sf):
 
 
 _MIXED = f"""WITH u AS ({_U6}),
-p AS (SELECT part_id, count(*) AS n, (row_number() OVER (ORDER BY {_rank(0, "'part'||part_id")}, part_id) - 1) // 2 AS g FROM u GROUP BY part_id),
-h AS (SELECT g, sum(n) // {BATCH} AS k, coalesce(sum(sum(n) // {BATCH}) OVER (ORDER BY g ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM p GROUP BY g),
-s AS (SELECT unit_id, part_id, g, (row_number() OVER (PARTITION BY part_id ORDER BY {_rank(0, "unit_id")}, unit_id) - 0.5::DOUBLE) / n AS place FROM u JOIN p USING (part_id)),
-r AS (SELECT *, row_number() OVER (PARTITION BY g ORDER BY place, part_id) - 1 AS rn FROM s)
-SELECT (before + rn // {BATCH} + 1)::INT AS iter, unit_id, part_id FROM r JOIN h USING (g) WHERE rn // {BATCH} < k AND before + rn // {BATCH} < 24"""
+e AS (SELECT x AS epoch FROM range(3) r(x)),
+p AS (SELECT epoch, part_id, count(*) AS n, (row_number() OVER (PARTITION BY epoch ORDER BY {_rank("epoch", "'part'||part_id")}, part_id) - 1) // 2 AS g FROM u, e GROUP BY epoch, part_id),
+h AS (SELECT epoch, g, sum(n) // {BATCH} AS k, coalesce(sum(sum(n) // {BATCH}) OVER (ORDER BY epoch, g ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM p GROUP BY epoch, g),
+s AS (SELECT unit_id, part_id, epoch, g, (row_number() OVER (PARTITION BY epoch, part_id ORDER BY {_rank("epoch", "unit_id")}, unit_id) - 0.5::DOUBLE) / n AS place FROM u JOIN p USING (part_id)),
+r AS (SELECT *, row_number() OVER (PARTITION BY epoch, g ORDER BY place, part_id) - 1 AS rn FROM s)
+SELECT (before + rn // {BATCH} + 1)::INT AS iter, unit_id, part_id FROM r JOIN h USING (epoch, g) WHERE rn // {BATCH} < k AND before + rn // {BATCH} < 24"""
 
 
 @query("sample_mixed_partition_slices", _MIXED)
@@ -322,6 +424,23 @@ def _(spark, sf):
     return samplers.layout_partitions(W6.units(spark, sf), path, PARTS).where("part_id = 3").select("unit_id", "label")
 
 
+@query("layout_catalog_sizes", f"SELECT (event_id % {PARTS})::INT AS part_id, count(*) AS n_units FROM events GROUP BY 1")
+def _(spark, sf):
+    sizes = samplers.lay_out(W6.units(spark, sf), _folder(spark, "layout"), PARTS).sizes
+    return spark.createDataFrame(list(sizes.items()), "part_id int, n_units long")
+
+
+def _over_layout(sampler: str, batch: int, iters: int):
+    """As the hash oracles, with the partitions in files; slices of a partition give the same batches."""
+    options = {"slice_units": 500} if sampler == "shuffle" else {}
+    return lambda spark, sf: trace(spark, descent.mgd(None, "hinge", _fixed(iters), batch, sampler, layout=samplers.lay_out(W6.units(spark, sf), _folder(spark, "layout"), PARTS), **options), used=True, digits=4)
+
+
+for _key, _sampler, _m, _n, _like in (("shuffled", "shuffle", BATCH, 20, "mgd_shuffled_partition_hash"), ("random", "random", 20, 6, "mgd_random_partition_hash")):
+    QUERIES[f"mgd_layout_{_key}"] = _over_layout(_sampler, _m, _n)
+    ORACLES[f"mgd_layout_{_key}"] = ORACLES[_like]
+
+
 # --- speculation, curves, cost and choice ----------------------------------------------------------------------------
 
 _SAMPLE_SQL = f"SELECT * FROM ({W7.sql()}) ORDER BY {_rank(0, 'unit_id')}, unit_id LIMIT 1000"
@@ -441,23 +560,105 @@ def _(spark, sf):
     return space.plan_space(spark)
 
 
-@query("plan_cost_all")
+def _plan_sql() -> str:
+    """Costs of the eleven plans over the grid, corrected mode, 100 features."""
+    e, d = cost.Env(), 100
+
+    def io(n, b):
+        full, k, tail, page = parts(n, b)
+        return f"({full}*({e.seek} + {_S / e.page_bytes}*{page}) + CASE WHEN {tail} > 0 THEN {e.seek} + least({tail}, 1)*{k}*({b}/{n})/{e.page_bytes}*{page} ELSE 0 END)"
+
+    def parts(n, b):
+        share = f"least(1.0, {e.cache_bytes}/({b}))"
+        full = f"floor(ceil(({b})/{_S})/slots)"
+        return full, f"ceil(({n})*{_S}/({b}))", f"greatest(0.0, ({b})/{_S} - slots*{full})", f"({share}*{e.page_memory} + (1-{share})*{e.page})"
+
+    def cpu(n, b, op):
+        full, k, tail, _ = parts(n, b)
+        return f"(({full}*{k} + ceil(least({tail}, 1)*{k}))*{e.cpu[op]})"
+
+    def operator(op, n, b, on_driver):
+        reads, _, sends = cost.MASK[op]
+        here = f"(({n})*{e.cpu[op]} + {reads}*(({b})/{e.page_bytes})*{e.page_memory})"
+        there = f"({reads}*{io(n, b)} + {cpu(n, b, op)} + {sends}*(({b})/{e.packet_bytes}*{e.net}*{e.packet_bytes}))"
+        return f"(CASE WHEN {on_driver} THEN {here} ELSE {there} END)"
+
+    one = ("1.0", f"{8.0 * d}")
+    fits, batch = f"b <= {_S}", ("least(q, n)", "(least(q, n)*b/n)")
+    small = f"q*b/greatest(n, 1) <= {_S}"
+    closing = f"({operator('converge', *one, 'true')} + {operator('loop', *one, 'true')})"
+    page = parts("n", "b")[3]
+    k = f"least({parts('n', 'b')[1]}, n)"
+    sample = f"""CASE sampler WHEN 'bernoulli' THEN {io("n", "b")} + {cpu("n", "b", "sample")}
+      WHEN 'random' THEN q*({e.seek} + {page}) + q*{e.cpu["sample"]}
+      ELSE ({e.seek} + least({_S}, b)/{e.page_bytes}*{page} + {k}*{e.cpu["shuffle"]})/greatest(1, floor({k}/q)) + q/{k}*least({_S}, b)/{e.page_bytes}*{e.page_memory} + q*{e.cpu["sample"]} END"""
+    each = f"""CASE WHEN algorithm = 'bgd' THEN {operator("compute", "n", "b", fits)} + {operator("update", "n", "b", fits)} + {closing}
+      ELSE {sample} + {operator("compute", *batch, small)} + {operator("update", *batch, small)} + {closing} + CASE WHEN transform = 'lazy' THEN {operator("transform", *batch, "true")} ELSE 0 END END"""
+    prep = f"{cpu(*one, 'stage')} + CASE WHEN transform = 'eager' THEN {operator('transform', 'n', 'b', fits)} ELSE 0 END"
+    return f"""SELECT n, b, slots, m, t, plan, k, round(prep, 6) + 0.0 AS prep_cost, round(each, 6) + 0.0 AS iter_cost, round(prep + t*each, 6) + 0.0 AS total_cost
+FROM (SELECT *, {prep} AS prep, {each} AS each FROM (
+  SELECT *, CASE WHEN algorithm = 'sgd' THEN 1.0::DOUBLE ELSE m END AS q FROM {_GRID_SQL},
+  (VALUES {", ".join(f"({i}, '{p.key}', '{p.algorithm}', '{p.transform}', '{p.sampler}')" for i, p in enumerate(space.enumerate_plans()))}) p(k, plan, algorithm, transform, sampler)))"""
+
+
+@query("plan_cost_all", f"SELECT n::BIGINT AS n, b::BIGINT AS b, slots::INT AS slots, m::INT AS m, t::INT AS t, plan, prep_cost, iter_cost, total_cost FROM ({_plan_sql()})")
 def _(spark, sf):
     rows = []
     for n, b, c, m, t in _GRID:
         for p in space.enumerate_plans():
             r = cost.plan_cost(p, cost.Data(n, b, 100), m, t, cost.Env(slots=c))
-            rows.append((n, b, c, m, t, r["plan"], r["prep_cost"], r["iter_cost"], r["total_cost"]))
+            rows.append((n, b, c, m, t, r["plan"], *(round(r[x], 6) + 0.0 for x in ("prep_cost", "iter_cost", "total_cost"))))
     return spark.createDataFrame(rows, "n long, b long, slots int, m int, t int, plan string, prep_cost double, iter_cost double, total_cost double")
 
 
-@query("plan_choice_grid")
+@query("plan_choice_grid", f"SELECT n::BIGINT AS n, b::BIGINT AS b, slots::INT AS slots, m::INT AS m, t::INT AS t, arg_min(plan, (total_cost, k)) AS plan FROM ({_plan_sql()}) GROUP BY n, b, slots, m, t")
 def _(spark, sf):
     """The argmin of the table of costs, by an aggregate."""
     order = F.create_map(*(F.lit(x) for k, p in enumerate(_PLANS) for x in (p, k)))
     return QUERIES["plan_cost_all"](spark, sf).groupBy("n", "b", "slots", "m", "t").agg(F.min_by("plan", F.struct("total_cost", order[F.col("plan")])).alias("plan"))
 
 
+@query("always_one_algorithm", f"SELECT n::BIGINT AS n, b::BIGINT AS b, slots::INT AS slots, m::INT AS m, t::INT AS t, split_part(plan, '-', 1) AS always, arg_min(plan, (total_cost, k)) AS plan, min(total_cost) AS total_cost FROM ({_plan_sql()}) GROUP BY n, b, slots, m, t, split_part(plan, '-', 1)")
+def _(spark, sf):
+    """What a belief in one algorithm runs: the cheapest plan of batch descent, of MGD and of SGD, beside the choice over all."""
+    order = F.create_map(*(F.lit(x) for k, p in enumerate(_PLANS) for x in (p, k)))
+    rows = QUERIES["plan_cost_all"](spark, sf).withColumn("always", F.substring_index("plan", "-", 1))
+    return rows.groupBy("n", "b", "slots", "m", "t", "always").agg(F.min_by("plan", F.struct("total_cost", order[F.col("plan")])).alias("plan"), F.min("total_cost").alias("total_cost"))
+
+
+_VARIANTS = {"svrg": (lambda units, gradient, cfg: descent.svrg(units, gradient, cfg, 20), 0.05), "line_search": (descent.bgd_line_search, 2.0)}
+
+
+def _with_variants(f):
+    """Runs ``f`` with variance reduction and line search among the algorithms."""
+    for name, (run, scans) in _VARIANTS.items():
+        descent.register_algorithm(name, run, scans=scans)
+    try:
+        return f()
+    finally:
+        for name in _VARIANTS:
+            descent.unregister_algorithm(name)
+
+
+@query("plan_space_registered", "SELECT plan FROM (VALUES " + ", ".join(f"('{p}')" for p in [*_PLANS, "svrg", "line_search"]) + ") v(plan)")
+def _(spark, sf):
+    return spark.createDataFrame([(p,) for p in _with_variants(lambda: [p.key for p in space.enumerate_plans()])], "plan string")
+
+
+@query("choice_with_variants")
+def _(spark, sf):
+    """Thirteen plans over W2, the registered algorithms speculated by their own runs; the chosen one is run."""
+
+    def run():
+        units = samplers.with_parts(W2.units(spark, sf), 8)
+        req = optimizer.Request("logistic", 0.01, max_iter=200)
+        report = optimizer.optimise(units, req)
+        fit = optimizer.execute(report.chosen, W2.units(spark, sf), lambda df: df, req, data=report.data)
+        return [(r["plan"], r["iters"], r["total_cost"], r["plan"] == report.chosen.key, fit.iterations if r["plan"] == report.chosen.key else None, fit.status if r["plan"] == report.chosen.key else None) for r in report.rows]
+
+    return spark.createDataFrame(_with_variants(run), "plan string, iters_est long, total_cost double, chosen boolean, iterations int, status string")
+
+
 @query("constraint_violations", "SELECT * FROM (VALUES ('none', ''), ('time', 'TIME'), ('epsilon', 'EPSILON,MAX_ITER')) v(asked, violated)")
 def _(spark, sf):
     data, its = cost.Data(1e6, 1e9, 10), {"bgd": 500, "mgd": 500, "sgd": 500}
@@ -478,7 +679,7 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "data string, op string, place string")
 
 
-query("rule_based_choice")(lambda spark, sf: spark.createDataFrame([(p, a, t, optimizer.rule_based_choice(p, a, t, 10**6).key) for p in (1, 80) for a in ("bgd", "mgd", "sgd") for t in (10, 10**6)], "partitions int, algorithm string, t long, plan string"))
+query("rule_based_choice", "SELECT p::INT AS partitions, a AS algorithm, t::BIGINT AS t, CASE WHEN a = 'bgd' THEN 'bgd' WHEN p <= 1 THEN a||'-eager-bernoulli' WHEN a = 'sgd' AND t < 100000 THEN 'sgd-lazy-shuffle' ELSE a||'-eager-shuffle' END AS plan FROM (VALUES (1), (80)) x(p), (VALUES ('bgd'), ('mgd'), ('sgd')) y(a), (VALUES (10), (1000000)) z(t)")(lambda spark, sf: spark.createDataFrame([(p, a, t, optimizer.rule_based_choice(p, a, t, 10**6).key) for p in (1, 80) for a in ("bgd", "mgd", "sgd") for t in (10, 10**6)], "partitions int, algorithm string, t long, plan string"))
 
 
 @query("explain_plans")
@@ -529,6 +730,41 @@ query("baseline_bernoulli_tree", _B)(lambda spark, sf: _last(spark, baselines.be
 query("baseline_matrix_blocks_bgd", _B)(lambda spark, sf: _last(spark, baselines.matrix_blocks_standin(W2.units(spark, sf), "logistic", _fixed(5))[0].weights))
 query("baseline_fused_bgd", _B)(lambda spark, sf: _last(spark, baselines.fused_standin(W2.units(spark, sf), "logistic", _fixed(5)).weights))
 query("baseline_handcoded_bgd", _B)(lambda spark, sf: _last(spark, baselines.handcoded_bgd(W2.units(spark, sf), "logistic", 5)))
+# a sample of a tenth (MGD), and one of a few units that is empty once in a million draws (SGD)
+_TENTH, _FEW = "0.1::DOUBLE", "(1 - pow(1e-6, 1.0::DOUBLE/(SELECT count(*) FROM u)))"
+
+
+def _sampled_sql(fraction: str) -> str:
+    return descent_sql(W6.sql(), 3, "hinge", 6, where=f"{_rank('t.i + 1', 'u.unit_id')} < {fraction} * 4294967296", cols="n_used", digits=5).replace(", n_used FROM t WHERE i > 0", " FROM t WHERE i = 6")
+
+
+def _sampled(system: str, few: bool):
+    def run(spark, sf):
+        units = W6.units(spark, sf)
+        share = samplers.boosted_fraction(units.count(), 1e-6) if few else 0.1
+        if system == "fused":
+            w = baselines.fused_standin(units, "hinge", _fixed(6), fraction=share).weights
+        elif system == "matrix_blocks":
+            w = baselines.matrix_blocks_standin(units, "hinge", _fixed(6), fraction=share)[0].weights
+        else:
+            w = baselines.handcoded_bgd(units, "hinge", 6, fraction=share)
+        return spark.createDataFrame([(6, *(round(float(x), 5) + 0.0 for x in w))], "iter int, w0 double, w1 double, w2 double")
+
+    return run
+
+
+for _system in ("fused", "matrix_blocks", "handcoded"):
+    for _kind, _fraction in (("mgd", _TENTH), ("sgd", _FEW)):
+        QUERIES[f"baseline_{_system}_{_kind}"] = _sampled(_system, _kind == "sgd")
+        ORACLES[f"baseline_{_system}_{_kind}"] = _sampled_sql(_fraction)
+
+
+@query("baseline_handcoded_shuffled", ORACLES["sgd_shuffled_partition_hash"].replace("SELECT i AS iter", "SELECT * EXCLUDE (delta, n_used) FROM (SELECT i AS iter") + ") WHERE iter = 30")
+def _(spark, sf):
+    w = baselines.handcoded_shuffled(_laid(spark, sf), "hinge", 30, 1, 0.7)
+    return spark.createDataFrame([(30, *(round(float(x), 6) + 0.0 for x in w))], "iter int, w0 double, w1 double, w2 double")
+
+
 for _how in ("sql", "partials", "tree", "keyed"):
     QUERIES[f"aggregation_{_how}"] = lambda spark, sf, how=_how: _last(spark, descent.bgd(W2.units(spark, sf), "logistic", _fixed(5, aggregation=how)).weights)
     ORACLES[f"aggregation_{_how}"] = _B
@@ -539,7 +775,7 @@ def _(spark, sf):
     raw = tasks.table(spark, sf, "events").withColumn("unit_id", F.col("event_id"))
     req = optimizer.Request("hinge", batch=200)
     rows = optimizer.run_all_plans(raw, lambda df: tasks.transform_columns(df, "unit_id", W6.label, W6.features), req, 4, _fixed(3))
-    return spark.createDataFrame([(r["plan"], r["seconds"], r["iterations"], r["status"], r["units"], r["partitions"]) for r in rows], "plan string, seconds double, iterations int, status string, units long, partitions long")
+    return spark.createDataFrame([(r["plan"], r["seconds"], r["layout_s"], r["iterations"], r["status"], r["units"], r["partitions"], r["bytes"]) for r in rows], "plan string, seconds double, layout_s double, iterations int, status string, units long, partitions long, bytes long")
 
 
 @query("language_run_q")

@@ -65,7 +65,12 @@ TASKS = {t.name: t for t in (W1, W2, W2_SVM, W6, W7, W8)}
 
 def halfspace(spark: SparkSession, sf_dir: str) -> DataFrame:
     """W3: 64 components, labelled by the side of a fixed plane."""
-    rows = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("unit_id"), F.col("embedding").cast("array<double>").alias("features"))
+    return side_of_plane(table(spark, sf_dir, "embeddings").withColumn("unit_id", F.col("vec_id")))
+
+
+def side_of_plane(raw: DataFrame) -> DataFrame:
+    """W3's Transform."""
+    rows = raw.select("unit_id", F.col("embedding").cast("array<double>").alias("features"))
     plane = F.array(*(F.lit(math.cos(j)) for j in range(64)))
     side = F.aggregate(F.zip_with("features", plane, lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
     return rows.select("unit_id", F.when(side > 0, 1.0).otherwise(-1.0).alias("label"), "features")

@@ -84,3 +84,92 @@ def test_curve_study_runs_the_whole_set_on_the_cluster(spark, sf):
     units = W2.units(spark, sf)
     here, there = (estimate.curve_study(units, "logistic", 0.1, steps=("inv",), budget_s=20, cluster=c) for c in (False, True))
     assert here == there and here[0]["status"] == "CONVERGED" and here[0]["actual"] > 0
+
+
+@pytest.mark.parametrize("plan", [p.key for p in optimizer.enumerate_plans()])
+def test_a_plan_on_the_driver_is_the_plan_on_the_cluster(spark, sf, plan):
+    """Placement changes where a plan runs, not what it draws."""
+    raw = tasks.table(spark, sf, "events").selectExpr("*", "event_id AS unit_id")
+    transform = lambda df: tasks.transform_columns(df, "unit_id", W6.label, W6.features)
+    spec = next(p for p in optimizer.enumerate_plans() if p.key == plan)
+    req, cfg = optimizer.Request("hinge", batch=60), Config(tolerance=0.0, max_iter=4)
+    here = optimizer.execute(spec, raw, transform, req, 4, cfg, data=optimizer.collect_stats(transform(raw)))
+    there = optimizer.execute(spec, raw, transform, req, 4, cfg)
+    assert here.touched["place"] == "driver" and "place" not in there.touched
+    assert np.allclose(here.weights, there.weights, atol=1e-12)
+
+
+def test_partition_samplers_open_the_files_of_their_partitions(spark, sf, tmp_path):
+    units = W6.units(spark, sf)
+    layout = samplers.lay_out(units, f"file://{tmp_path}/l", 8)
+    one = layout.read([3])
+    assert {r.part_id for r in one.select("part_id").distinct().collect()} == {3} and len(one.inputFiles()) == 1
+    r = descent.mgd(None, "hinge", Config(tolerance=0.0, max_iter=3), 30, "shuffle", layout=layout)
+    assert r.touched["partitions"] == 1 and r.touched["bytes"] in layout.bytes.values()
+    r = descent.mgd(None, "hinge", Config(tolerance=0.0, max_iter=5), 1, "random", layout=layout)
+    assert r.touched["partitions"] == 5 and r.touched["bytes"] < sum(layout.bytes.values())
+    r = descent.mgd(None, "hinge", Config(tolerance=0.0, max_iter=2), 30, "bernoulli", layout=layout)
+    assert r.touched["bytes"] == 2 * sum(layout.bytes.values())
+
+
+def test_slices_of_a_partition_give_the_same_batches(spark, sf):
+    units = samplers.with_parts(W6.units(spark, sf), 4).persist()
+    sizes = {r.part_id: r.n_units for r in samplers.partition_catalog(units).collect()}
+    whole, sliced = samplers.ShuffledPartition(sizes, 60), samplers.ShuffledPartition(sizes, 60, slice_units=80, prefetch=True)
+    for _ in range(11):
+        assert [r.unit_id for _, r in whole.draw_rows(units)] == [r.unit_id for _, r in sliced.draw_rows(units)]
+        assert len(sliced.held) < 80 + 60 + 60
+    again = samplers.ShuffledPartition(sizes, 60, slice_units=80)
+    again.seek(units, sliced.cursor(), 11)
+    sliced.close()
+    assert [r.unit_id for _, r in again.draw_rows(units)] == [r.unit_id for _, r in whole.draw_rows(units)]
+    units.unpersist()
+
+
+def test_users_samplers_and_algorithms_are_planned(spark, sf):
+    class FirstOnes:
+        def __init__(self, sizes, batch, seed):
+            self.batch = batch
+
+        def draw(self, units, i):
+            return units.orderBy("unit_id").limit(self.batch)
+
+    samplers.register_sampler("first_ones", FirstOnes, cost=lambda data, m, env: 1e-9)
+    descent.register_algorithm("svrg", lambda units, gradient, cfg: descent.svrg(units, gradient, cfg, 5), scans=0.2)
+    try:
+        plans = [p.key for p in optimizer.enumerate_plans()]
+        assert len(plans) == 16 and "svrg" in plans and "mgd-lazy-first_ones" in plans
+        units = samplers.with_parts(W6.units(spark, sf), 4)
+        report = optimizer.optimise(units, optimizer.Request("logistic", 0.05, sampler="none"))
+        assert {r["plan"] for r in report.rows} == {"bgd", "svrg"} and report.speculation["svrg"].pairs
+        req = optimizer.Request("hinge", batch=50, sampler="first_ones", max_iter=3, fixed_iterations=True)
+        report = optimizer.optimise(units, req)
+        assert len(report.rows) == 4 and "first_ones" in report.chosen.key
+        fit = optimizer.execute(report.chosen, units, lambda df: df, req, cfg=Config(tolerance=0.0, max_iter=3))
+        assert all(t["n_used"] in (1, 50) for t in fit.trace) and fit.iterations == 3
+        w = optimizer.execute(next(p for p in optimizer.enumerate_plans() if p.key == "svrg"), W6.units(spark, sf), lambda df: df, optimizer.Request("logistic"), 4, Config(tolerance=0.0, max_iter=3)).weights
+        assert np.isfinite(w).all()
+    finally:
+        samplers.unregister_sampler("first_ones")
+        descent.unregister_algorithm("svrg")
+    assert len(optimizer.enumerate_plans()) == 11
+    assert len(optimizer.enumerate_plans(commute=False)) == 7
+
+
+def test_equal_lines_are_units_of_their_own(spark, tmp_path):
+    (tmp_path / "a.csv").write_text("1,2\n1,2\n3,4\n")
+    (tmp_path / "b.libsvm").write_text("1 1:2\n1 1:2\n")
+    for units, n in ((tasks.read_csv_units(spark, str(tmp_path / "a.csv")), 3), (tasks.read_libsvm_units(spark, str(tmp_path / "b.libsvm")), 2)):
+        assert units.select("unit_id").distinct().count() == n
+    for task in ("big_charge", "return_flag"):
+        ids = tasks.TASKS[task].units(spark, "/root/testdata/sf0.01").select("unit_id")
+        assert ids.distinct().count() == ids.count()
+
+
+def test_the_variants_keep_the_regulariser(spark, sf):
+    units = samplers.with_parts(W6.units(spark, sf), 4).persist()
+    for run in (lambda c: descent.svrg(units, "logistic", c, 1), lambda c: descent.bgd_line_search(units, "logistic", c), lambda c: descent.bgd_bb(units, "logistic", c)):
+        plain, bound = run(Config(tolerance=0.0, max_iter=4)), run(Config(tolerance=0.0, max_iter=4, reg="l2", lam=1.0))
+        assert np.abs(bound.weights).sum() < np.abs(plain.weights).sum()
+    want = descent.bgd(units, "logistic", Config(tolerance=0.0, max_iter=4, reg="l1", lam=0.1)).weights
+    assert np.allclose(descent.svrg(units, "logistic", Config(tolerance=0.0, max_iter=4, reg="l1", lam=0.1), 1).weights, want)
