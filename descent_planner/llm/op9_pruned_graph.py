@@ -1,6 +1,6 @@
 """Nearest neighbours by inner product over robust-pruned directed graphs, one a shard.
 
-Equal vectors are one node with its smallest ids. Nodes are dealt into shards of about ``SHARD_NODES`` by a hash.
+Equal vectors are one node with its smallest ids. Nodes are dealt into shards by a hash.
 Largest inner product becomes least distance by one more coordinate that gives all nodes of a shard the same
 length; graphs are built in double precision. A shard's graph grows in batches that double: a beam search over the graph so far proposes neighbours of
 each new node; robust pruning keeps the nearest candidate and drops those that are nearer to it, by the factor
@@ -28,13 +28,15 @@ from pyspark.sql.window import Window
 
 from .shared import over_batches, saved
 
-SHARD_NODES = 10_000
+#: Nodes of a shard at least, while there are ``SHARDS`` at most; then shards grow until one's vectors hold
+#: ``SHARD_BYTES``, and only then there are more: a search costs little more in a larger shard, but once for each shard.
+SHARD_NODES, SHARDS, SHARD_BYTES = 4_000, 64, 32 << 20
 DEGREE = 32
 BEAM = 64
 QUERY_BEAM = 160
 RELAX = 1.2
 #: Queries that travel together, and that one search handles side by side.
-BLOCK, SIDE_BY_SIDE = 2_048, 256
+BLOCK, SIDE_BY_SIDE = 1_024, 256
 #: Neighbour lists that one step of a search opens.
 OPEN = 4
 
@@ -164,7 +166,8 @@ def build_index(rows: DataFrame, k: int, id_col: str = "vec_id", vector_col: str
     first = Window.partitionBy("v").orderBy("vec_id")
     nodes = mine.withColumn("n", F.row_number().over(first)).where(F.col("n") <= k + 1).groupBy("v").agg(F.sort_array(F.collect_list("vec_id")).alias("ids"))
     nodes = saved(nodes, "graph-nodes")
-    shards = max(1, round(nodes.count() / SHARD_NODES))
+    count, width = nodes.agg(F.count("*"), F.coalesce(F.max(F.size("v")), F.lit(1))).first()
+    shards = max(1, min(round(count / SHARD_NODES), SHARDS), -(-count // max(1, SHARD_BYTES // (8 * width))))
     dealt = nodes.select(F.size("v").alias("dim"), F.pmod(F.xxhash64("v"), F.lit(shards)).cast("int").alias("shard"), "v", "ids").repartition("dim", "shard").sortWithinPartitions("dim", "shard", F.element_at("ids", 1))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
