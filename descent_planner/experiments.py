@@ -120,8 +120,8 @@ def x3(spark, sf):
         units = make(spark, sf).persist()
         raw, transform = raw_set(spark, sf, name)
         data, env = optimizer.collect_stats(units), cost.calibrate(units, gradient, raw=raw, transform=transform)
-        # on the cluster whatever its size: one partition holds what a slot reads
-        env.partition_bytes = max(1.0, data.bytes / max(1, units.rdd.getNumPartitions()))
+        # on the cluster whatever its size: a partition is a little less than what a task reads
+        env.partition_bytes = max(1.0, 0.999 * data.bytes / max(1, units.rdd.getNumPartitions()))
         r, seconds = timed(lambda: descent.bgd(units, gradient, Config(beta=beta, tolerance=0.0, max_iter=X3_ITERATIONS), cache=False))  # noqa: B023
         done = r.iterations
         guess = cost.plan_cost(cost.PlanSpec("bgd"), data, 1000, done, env)["iter_cost"]

@@ -266,9 +266,15 @@ def _run(w: np.ndarray, cfg: Config, one, log: RunLog | None = None, seek=None,
     return FitResult(w, trace, rule.status, cfg, time.monotonic() - began)
 
 
+def _computed(units: DataFrame, cfg: Config) -> DataFrame:
+    """What batch descent reads of units: without ids, which may cost a hash a row and take room in the cache."""
+    return units if isinstance(cfg.weights, str) and cfg.weights == "sample" else units.select("label", "features")
+
+
 def bgd(units: DataFrame, gradient: str = "linear", cfg: Config | None = None, cache: bool = True, log: RunLog | None = None) -> FitResult:
     """Batch descent: one aggregate of all units an iteration."""
     cfg, g = cfg or Config(), GRADIENTS[gradient]
+    units = _computed(units, cfg)
     if cache:
         units = units.persist()
     try:
@@ -482,7 +488,7 @@ def bgd_line_search(units: DataFrame, gradient: str, cfg: Config, shrink: float
     in one scan, or one by one with ``serial``; both give the same step.
     """
     g = GRADIENTS[gradient]
-    units = units.persist()
+    units = _computed(units, cfg).persist()
     d = dimension(units)
     grid = [cfg.beta * shrink**k for k in range(trials)]
 
@@ -508,7 +514,7 @@ def bgd_line_search(units: DataFrame, gradient: str, cfg: Config, shrink: float
 def bgd_bb(units: DataFrame, gradient: str, cfg: Config, kind: int = 1) -> FitResult:
     """Batch descent with the step from the last two weights and gradients; the first step is the configured one."""
     g = GRADIENTS[gradient]
-    units = units.persist()
+    units = _computed(units, cfg).persist()
     last: dict = {}
 
     def one(i, w):
