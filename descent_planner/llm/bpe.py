@@ -128,6 +128,8 @@ class TreeMerger:
     """Merges words with segment trees over the ranks of adjacent pairs."""
 
     NONE = np.iinfo(np.int64).max
+    #: Leaves of the trees that are merged side by side.
+    LEAVES = 320_000
 
     def __init__(self, vocabulary: Vocabulary):
         self.v = vocabulary
@@ -142,8 +144,9 @@ class TreeMerger:
             elif w:
                 by_size.setdefault(max(2, 1 << (len(w) - 1).bit_length()), []).append(i)
         for size, which in by_size.items():
-            for at in range(0, len(which), 20_000):
-                part = which[at : at + 20_000]
+            step = max(1, self.LEAVES // size)
+            for at in range(0, len(which), step):
+                part = which[at : at + step]
                 for i, ids in zip(part, self._together([raw[i] for i in part], size), strict=True):
                     out[i] = ids
         return out
@@ -321,7 +324,7 @@ class BatchEncoder:
     def _clear(self) -> None:
         n = 1 << self.SLOTS
         self.first, self.second = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.uint64)
-        self.at, self.size = np.zeros(n, dtype=np.int64), np.full(n, -1, dtype=np.int32)
+        self.at, self.size = np.zeros(n, dtype=np.int32), np.full(n, -1, dtype=np.int32)
         self.pool, self.used = np.zeros(self.POOL, dtype=np.uint32), 0
 
     def __call__(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
@@ -371,7 +374,7 @@ class BatchEncoder:
             self._clear()
         slot = (h1 >> np.uint64(64 - self.SLOTS)).astype(np.int64)
         hit = (self.first[slot] == h1) & (self.second[slot] == h2) & (self.size[slot] >= 0)
-        at, size = self.at[slot], self.size[slot].astype(np.int64)
+        at, size = self.at[slot].astype(np.int64), self.size[slot].astype(np.int64)
         miss = np.flatnonzero(~hit)
         if len(miss):
             _, one, inverse = np.unique(h1[miss], return_index=True, return_inverse=True)

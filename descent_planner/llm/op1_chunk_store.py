@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from .bpe import library_encoder
 from .hashing import mix
 from .op6_bpe_codec import PIECE_BYTES, _tokenizer_path
-from .shared import discard, new_path, over_batches, pieces
+from .shared import discard, give_back, new_path, over_batches, pieces
 
 #: Mean, least and most ids of a chunk.
 MEAN, LEAST, MOST = 1024, 128, 8192
@@ -126,6 +126,8 @@ def _stage(docs: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
                     ],
                     schema=fields,
                 )
+        sent.clear()
+        give_back()
 
     return docs.mapInArrow(run, _STAGED)
 

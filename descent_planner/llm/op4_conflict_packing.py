@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .bpe import tree_encoder, vocabulary
 from .op6_bpe_codec import PIECE_BYTES, _tokenizer_path
 from .op7_near_duplicates import CORPUS, SKETCHED, Params, components_of, sketch_columns
-from .shared import over_batches, pieces, saved
+from .shared import give_back, over_batches, pieces, saved
 
 CAPACITY = 2048
 GROUP_ROWS = 2_000
@@ -140,6 +140,8 @@ def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROW
                 held.append(tuple(row))
         if held:
             yield flush()
+        held.clear()
+        give_back()
 
     return dealt.mapInArrow(run, PACKED)
 

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from .bpe import tree_encoder, vocabulary
 from .shared import over_batches, pieces
 
-PIECE_BYTES = 1 << 20
+PIECE_BYTES = 1 << 19
 
 
 def _tokenizer_path() -> str:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -66,16 +67,35 @@ def over_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         each = make()
+        batch = out = made = None
         for batch in batches:
             if batch.num_rows:
                 out = each(batch)
                 for made in [out] if isinstance(out, pa.RecordBatch) else out:
                     if made.num_rows:
                         yield made
+            if batch.nbytes > LARGE_BATCH:
+                batch = out = made = None
+                give_back()
+        del batch, out, made
+        give_back()
 
     return df.mapInArrow(run, schema)
 
 
+#: Freed memory is given back after batches beyond so many bytes, and at the end of each task.
+LARGE_BATCH = 4 << 20
+
+
+def give_back() -> None:
+    """Hands freed memory of this Python worker to the system. A worker outlives its task, and would else stay as large
+    as its largest batch made it, beside the next task's memory."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # other C libraries have none
+    if trim is not None:
+        trim(0)
+
+
 def pieces(batch: pa.RecordBatch, column: str, limit: int) -> Iterator[pa.RecordBatch]:
     """Cut a batch so that no piece holds more than ``limit`` bytes of a text column, but for single longer rows."""
     import numpy as np
