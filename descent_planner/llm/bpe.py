@@ -133,23 +133,41 @@ class TreeMerger:
 
     def __init__(self, vocabulary: Vocabulary):
         self.v = vocabulary
+        # leaves hold rank * width + place
+        self.kind = np.int32 if (len(vocabulary.merged) + 1) * WIDE < np.iinfo(np.int32).max else np.int64
+        byte = vocabulary.of_byte
+        #: The rank of each pair of bytes.
+        self.first_ranks = self._ranks(np.repeat(byte, 256), np.tile(byte, 256))
 
     def __call__(self, words: list[str]) -> list[np.ndarray]:
         raw = [w.encode() for w in words]
-        out: list[np.ndarray] = [np.empty(0, dtype=np.int64)] * len(raw)
-        by_size: dict[int, list[int]] = {}
-        for i, w in enumerate(raw):
-            if len(w) > WIDE:
-                out[i] = self._alone(w)
-            elif w:
-                by_size.setdefault(max(2, 1 << (len(w) - 1).bit_length()), []).append(i)
-        for size, which in by_size.items():
-            step = max(1, self.LEAVES // size)
+        ids, sizes = self.merge(b"".join(raw), np.array([len(w) for w in raw], dtype=np.int64))
+        return np.split(ids, np.cumsum(sizes)[:-1]) if raw else []
+
+    def merge(self, data: bytes, length: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Words of these lengths in bytes, one after the other: all ids in a row, and how many each word has."""
+        flat = np.frombuffer(data, dtype=np.uint8)
+        first = np.cumsum(length) - length
+        sizes = np.zeros(len(length), dtype=np.int64)
+        made: list[tuple[np.ndarray, np.ndarray]] = []
+        for i in np.flatnonzero(length > WIDE).tolist():
+            ids = self._alone(data[first[i] : first[i] + length[i]])
+            sizes[i] = len(ids)
+            made.append((np.array([i]), ids))
+        low, width = 0, 2
+        while low < WIDE:
+            which = np.flatnonzero((length > low) & (length <= width))
+            step = self.LEAVES // width
             for at in range(0, len(which), step):
                 part = which[at : at + step]
-                for i, ids in zip(part, self._together([raw[i] for i in part], size), strict=True):
-                    out[i] = ids
-        return out
+                ids, sizes[part] = self._together(flat, first[part], length[part], width)
+                made.append((part, ids))
+            low, width = width, 2 * width
+        starts = np.cumsum(sizes) - sizes
+        out = np.empty(int(sizes.sum()), dtype=np.int64)
+        for part, ids in made:
+            out[ragged(starts[part], sizes[part])] = ids
+        return out, sizes
 
     def _ranks(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """Rank of each pair, NONE where it can't merge."""
@@ -157,60 +175,61 @@ class TreeMerger:
         at = np.minimum(np.searchsorted(self.v.pair_keys, key), len(self.v.pair_keys) - 1)
         return np.where(self.v.pair_keys[at] == key, self.v.pair_ranks[at], self.NONE)
 
-    def _together(self, raw: list[bytes], n: int) -> list[np.ndarray]:
-        count = len(raw)
-        length = np.array([len(w) for w in raw])
-        grid = np.zeros((count, n), dtype=np.uint8)
-        inside = np.arange(n) < length[:, None]
-        grid[inside] = np.frombuffer(b"".join(raw), dtype=np.uint8)
-        symbol = np.where(inside, self.v.of_byte[grid], -1)
-        after = np.where(np.arange(1, n + 1) < length[:, None], np.arange(1, n + 1), -1)
-        before = np.broadcast_to(np.arange(-1, n - 1), (count, n)).copy()
-        tree = np.full((count, 2 * n), self.NONE, dtype=np.int64)
-        has = after >= 0
-        rows, cols = np.nonzero(has)
-        rank = self._ranks(symbol[rows, cols], symbol[rows, cols + 1])
+    def _together(self, flat: np.ndarray, first: np.ndarray, length: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids, and how many each word has, of words of at most n bytes; places and nodes are numbered through all words."""
+        count = len(first)
+        none = np.iinfo(self.kind).max
+        place = np.arange(n)
+        inside = place < length[:, None]
+        byte = np.zeros(count * n, dtype=np.int64)
+        byte[inside.ravel()] = flat[ragged(first, length)]
+        symbol = np.where(inside.ravel(), self.v.of_byte[byte], -1)
+        linked = place + 1 < length[:, None]
+        after = np.where(linked, place + 1, -1).ravel()
+        before = np.tile(np.arange(-1, n - 1), count)
+        pair = np.flatnonzero(linked.ravel())
+        rank = self.first_ranks[(byte[pair] << 8) | byte[pair + 1]]
         ok = rank != self.NONE
-        tree[rows[ok], n + cols[ok]] = rank[ok] * n + cols[ok]
+        grid = np.full((count, 2 * n), none, dtype=self.kind)
+        tree = grid.reshape(-1)
+        tree[(pair[ok] // n) * (2 * n) + n + pair[ok] % n] = rank[ok] * n + pair[ok] % n
         low = n
         while low > 1:
             half = low // 2
-            tree[:, half:low] = np.minimum(tree[:, low : 2 * low : 2], tree[:, low + 1 : 2 * low : 2])
+            np.minimum(grid[:, low : 2 * low : 2], grid[:, low + 1 : 2 * low : 2], out=grid[:, half:low])
             low = half
-        live = np.flatnonzero(tree[:, 1] != self.NONE)
+
+        def value(a: np.ndarray, b: np.ndarray, left: np.ndarray) -> np.ndarray:
+            r = self._ranks(symbol[a], symbol[b])
+            return np.where(r == self.NONE, none, np.where(r == self.NONE, 0, r) * n + left)
+
+        live = np.flatnonzero(grid[:, 1] != none)
         while len(live):
-            root = tree[live, 1]
+            root = tree[live * (2 * n) + 1].astype(np.int64)
             left, rank = root % n, root // n
-            right = after[live, left]
-            symbol[live, left] = self.v.merged[rank]
-            symbol[live, right] = -1
-            beyond = after[live, right]
-            after[live, left] = beyond
-            more = beyond >= 0
-            before[live[more], beyond[more]] = left[more]
-            self._put(tree, live, n + right, np.full(len(live), self.NONE))
-            value = np.full(len(live), self.NONE)
-            r = self._ranks(symbol[live[more], left[more]], symbol[live[more], beyond[more]])
-            value[more] = np.where(r == self.NONE, r, r * n + left[more])  # NONE times n would wrap, and isn't kept
-            self._put(tree, live, n + left, value)
-            prior = before[live, left]
+            word = live * n
+            right = after[word + left]
+            beyond = after[word + right]
+            symbol[word + left] = self.v.merged[rank]
+            symbol[word + right] = -1
+            after[word + left] = beyond
+            more, prior = beyond >= 0, before[word + left]
+            before[(word + beyond)[more]] = left[more]
+            own = np.full(len(live), none, dtype=np.int64)
+            own[more] = value((word + left)[more], (word + beyond)[more], left[more])
             some = prior >= 0
-            if some.any():
-                rows, p = live[some], prior[some]
-                r = self._ranks(symbol[rows, p], symbol[rows, left[some]])
-                self._put(tree, rows, n + p, np.where(r == self.NONE, r, r * n + p))
-            live = live[tree[live, 1] != self.NONE]
+            w, p = word[some], prior[some]
+            # three leaves change, and the minima above them
+            base = np.concatenate([live, live, live[some]]) * (2 * n)
+            node = np.concatenate([n + right, n + left, n + p])
+            tree[base + node] = np.concatenate([np.full(len(live), none, dtype=np.int64), own, value(w + p, w + left[some], p)])
+            for _ in range(n.bit_length() - 1):
+                node >>= 1
+                two = base + 2 * node
+                tree[base + node] = np.minimum(tree[two], tree[two + 1])
+            live = live[tree[live * (2 * n) + 1] != none]
         kept = symbol >= 0
-        return np.split(symbol[kept], np.cumsum(kept.sum(axis=1))[:-1])
-
-    @staticmethod
-    def _put(tree: np.ndarray, rows: np.ndarray, node: np.ndarray, value: np.ndarray) -> None:
-        """Set a leaf of each row's tree, and the minima above it."""
-        tree[rows, node] = value
-        node = node >> 1
-        while node[0] >= 1:  # all leaves stand equally deep
-            tree[rows, node] = np.minimum(tree[rows, 2 * node], tree[rows, 2 * node + 1])
-            node = node >> 1
+        return symbol[kept], kept.reshape(count, n).sum(axis=1)
 
     def _alone(self, word: bytes) -> np.ndarray:
         """One long word, with lists."""
@@ -312,8 +331,8 @@ class WholeTexts:
 class BatchEncoder:
     """Ids of many texts, through a cache of fixed size whose entries are told apart by 128 bits of hash."""
 
-    SLOTS = 21
-    POOL = 16_000_000
+    SLOTS = 20
+    POOL = 8_000_000
 
     def __init__(self, words, added: dict[str, int], size: int):
         self.words, self.added = words, added
@@ -351,6 +370,10 @@ class BatchEncoder:
         counts = np.bincount(np.array(owner, dtype=np.int64), weights=sizes, minlength=len(texts)).astype(np.int64)
         return ids, counts
 
+    def _encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        raw = [w.encode() for w in words]
+        return self.words.merge(b"".join(raw), np.array([len(w) for w in raw], dtype=np.int64))
+
     @staticmethod
     def _cut(part: str, end: int | None, token: str, number: int) -> list[tuple[str, int | None]]:
         cut = part.split(token)
@@ -382,13 +405,12 @@ class BatchEncoder:
             # two words of one first hash: the second hash tells, and such words are encoded one by one
             if (h2[new][inverse] != h2[miss]).any():
                 new, inverse = miss, np.arange(len(miss))
-            ids = self.words([joined[a:b] for a, b in zip(starts[new].tolist(), ends[new].tolist(), strict=True)])
-            sizes = np.array([len(x) for x in ids], dtype=np.int64)
+            ids, sizes = self._encoded([joined[a:b] for a, b in zip(starts[new].tolist(), ends[new].tolist(), strict=True)])
             total = int(sizes.sum())
             if self.used + total > len(self.pool):
                 self.pool = np.concatenate([self.pool, np.zeros(self.used + total - len(self.pool) + self.POOL, dtype=np.uint32)])
             where = self.used + np.cumsum(sizes) - sizes
-            self.pool[self.used : self.used + total] = np.concatenate(ids)
+            self.pool[self.used : self.used + total] = ids
             self.used += total
             at[miss], size[miss] = where[inverse], sizes[inverse]
             s = slot[new]
