@@ -146,10 +146,10 @@ def pack(items: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROW
     return dealt.mapInArrow(run, PACKED)
 
 
-def words_of_pieces(text: str, lengths: np.ndarray, capacity: int) -> list[int]:
-    """How many words start in each piece of ``capacity`` ids, of which ``lengths`` has the bytes."""
+def words_of_pieces(text: str, lengths: np.ndarray, capacity: int, count: int | None = None) -> list[int]:
+    """How many words start in each piece of ``capacity`` ids, of which ``lengths`` has the bytes; ``count`` is the number of words, where that is known."""
     if len(lengths) <= capacity:
-        return [len(text.split())]
+        return [len(text.split()) if count is None else count]
     points = np.frombuffer(text.encode("utf-32-le"), dtype=np.uint32)
     size = 1 + (points > 0x7F) + (points > 0x7FF) + (points > 0xFFFF)
     at = (np.cumsum(size) - size)[[m.start() for m in _WORD.finditer(text)]]
@@ -178,8 +178,12 @@ def measured(docs: DataFrame, capacity: int = CAPACITY) -> DataFrame:
                 texts = part.column(1).to_pylist()
                 ids, n = encoder(texts)
                 ends = np.cumsum(n)
-                words = [words_of_pieces(text or "", vocab.lengths[ids[a:b]] if b - a > capacity else ids[a:b], capacity) for text, a, b in zip(texts, (ends - n).tolist(), ends.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n.astype(np.int64)), part.column(2), pa.array(words, pa.list_(pa.int64())), *sketch_columns(texts, CLUSTERS)], ["doc_id", "n_ids", "source", "words", "n_shingles", "set_key", "bands"])
+                plain = [folded(text or "") for text in texts]
+                # folded words have one space between
+                counts = [text.count(" ") + 1 if text else 0 for text in plain]
+                words = [words_of_pieces(text or "", vocab.lengths[ids[a:b]] if b - a > capacity else ids[a:b], capacity, count) for text, a, b, count in zip(texts, (ends - n).tolist(), ends.tolist(), counts, strict=True)]
+                # the texts are folded here, and so as CLUSTERS would have them
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n.astype(np.int64)), part.column(2), pa.array(words, pa.list_(pa.int64())), *sketch_columns(plain, CORPUS)], ["doc_id", "n_ids", "source", "words", "n_shingles", "set_key", "bands"])
 
         return each
 
