@@ -58,3 +58,18 @@ def test_held_out_accuracy(spark):
     assert all(r.held_out == op5.python_held_out(r.doc_id) for r in rows)
     own = [r for r in rows if r.held_out and truth[r.doc_id]]
     assert sum(r.lang_pred == truth[r.doc_id] for r in own) >= 0.98 * len(own)
+
+
+def test_batches_of_long_texts_are_bounded(spark):
+    """Batches of 10,000 long texts took an executor of the pipeline over its memory."""
+    import pyarrow as pa
+
+    from descent_planner.llm.shared import BATCH_BYTES, over_batches
+
+    docs = spark.range(0, 400, 1, 1).selectExpr("id AS doc_id", "repeat('lorem ', 20000) AS text")
+
+    def make():
+        return lambda b: pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([b.nbytes])], ["n", "size"])
+
+    found = over_batches(docs, make, "n long, size long").collect()
+    assert sum(r.n for r in found) == 400 and max(r.size for r in found) < 1.1 * BATCH_BYTES
