@@ -18,6 +18,7 @@ import unicodedata
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -139,6 +140,26 @@ def _letters() -> dict[int, str]:
 _HIDDEN = "​‌‍⁠﻿­"
 
 
+@lru_cache(maxsize=1)
+def _is_odd() -> np.ndarray:
+    """Of each code point, whether the first transducer changes it."""
+    table = np.zeros(0x110000, dtype=bool)
+    table[[*_letters(), *map(ord, _HIDDEN)]] = True
+    return table
+
+
+def _holds_odd(text: str) -> bool:
+    """Whether a text has a character that the first transducer changes. A search by pattern tries most of a thousand
+    characters at each place, as those beyond the basic plane are no part of a class's bit map."""
+    return bool(_is_odd()[np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype=np.uint32)].any())
+
+
+def _odd_class() -> str:
+    """A class of those characters, made of ranges, which are tried faster than as many single ones."""
+    edge = np.flatnonzero(np.diff(_is_odd().astype(np.int8), prepend=0, append=0)).tolist()
+    return "[" + "".join(f"{re.escape(chr(a))}-{re.escape(chr(b - 1))}" for a, b in zip(edge[::2], edge[1::2], strict=True)) + "]"
+
+
 class Rewritten:
     """A text with the source range of each of its characters, and which characters a transducer made."""
 
@@ -174,7 +195,7 @@ class Rewritten:
 @lru_cache(maxsize=1)
 def _rules() -> tuple:
     letters = _letters()
-    odd = re.compile("[" + "".join(map(re.escape, [*map(chr, letters), *_HIDDEN])) + "]")
+    odd = re.compile(_odd_class())
     names = "|".join(sorted(DIGIT_OF, key=len, reverse=True))
     between = r"(?:[ ,.-]{1,3})"
     point = r"(?:dot|point|punkt|punto)"
@@ -250,7 +271,7 @@ def _adjoins(text: str) -> bool:
 def added_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Spans of disguised identifiers, in source offsets."""
     odd, letter, runs, box_at, box_dot, bare, mixed = _rules()
-    has_odd = not text.isascii() and odd.search(text) is not None
+    has_odd = not text.isascii() and _holds_odd(text)
     low = text.lower()
     has_sign = ("dot" in low or any(c in text for c in "([{<")) and _SIGN.search(text) is not None
     # names of look-alike letters show only after the first transducer

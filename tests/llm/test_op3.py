@@ -106,3 +106,15 @@ def test_hostile_texts_take_linear_time():
         op3.added_spans(text, op3.base_spans(text))
         assert time.monotonic() - began < 6, text[:20]
     assert found("x at " + "bb-dot-" * 12 + "com now")[0][0] == "email"
+
+
+def test_looks_for_odd_characters_in_few_steps():
+    odd = op3._rules()[0]
+    characters = "".join(map(chr, [*range(0xD800), *range(0xE000, 0x110000)]))
+    expected = [c for c in characters if ord(c) in op3._letters() or c in op3._HIDDEN]
+    assert odd.findall(characters) == expected == [c for c in characters if op3._is_odd()[ord(c)]]
+    assert op3._holds_odd("é 𝐚") and not op3._holds_odd("é日a")
+    text = "straße müde " * 100_000
+    began = time.process_time()
+    assert op3.added_spans(text, []) == []
+    assert time.process_time() - began < 1  # before: above 2 s
