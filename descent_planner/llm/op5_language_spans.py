@@ -35,7 +35,7 @@ BITS = 18
 GROUPS = (2, 3, 4, 5)
 SWITCH = 6.0
 #: Most letters a batch holds, but for single longer texts.
-PIECE_BYTES = 400_000
+PIECE_BYTES = 100_000
 #: Most bytes of text that are decoded side by side, but for single longer texts: steps cost by the longest text of those.
 DECODE_BYTES = 8_000_000
 
@@ -145,7 +145,7 @@ def viterbi(scores: np.ndarray, counts: np.ndarray, penalty: float) -> np.ndarra
     With one penalty for all switches, a label's best past is its own or the best one's less the penalty.
     """
     n, k = scores.shape
-    labels = np.zeros(n, dtype=np.int64)
+    labels = np.zeros(n, dtype=np.int8)
     order = np.argsort(-counts, kind="stable")
     size = counts[order]
     first = (np.cumsum(counts) - counts)[order]
@@ -181,9 +181,14 @@ def _decoded(batch: pa.RecordBatch, column: int, model: Model) -> Iterator[tuple
             found = Letters([t or "" for t in small.column(column).to_pylist()])
             scores.append(model.words(found))
             counts.append(found.word_count)
-            sizes.append(found.sizes)
+            sizes.append(found.sizes.astype(np.int32))
+        del found
         count, size = np.concatenate(counts), np.concatenate(sizes)
-        label = viterbi(np.concatenate(scores), count, SWITCH) if model.languages else np.zeros(len(size), dtype=np.int64)
+        # all words' scores are the most that is held here: the lists they came in go before they are decoded
+        score = np.concatenate(scores)
+        scores.clear(), sizes.clear()
+        label = viterbi(score, count, SWITCH) if model.languages else np.zeros(len(size), dtype=np.int8)
+        del score
         text = np.repeat(np.arange(part.num_rows), count)
         yield part, text, label, np.bincount(text * k + label, weights=size, minlength=part.num_rows * k).reshape(-1, k)
 

@@ -73,3 +73,34 @@ def test_batches_of_long_texts_are_bounded(spark):
 
     found = over_batches(docs, make, "n long, size long").collect()
     assert sum(r.n for r in found) == 400 and max(r.size for r in found) < 1.1 * BATCH_BYTES
+
+
+def test_decodes_in_little_memory():
+    import tracemalloc
+
+    import pyarrow as pa
+
+    text = " ".join(t for t, _ in ROWS) * 10
+    batch = pa.RecordBatch.from_pydict({"text": [text] * (4_000_000 // len(text.encode()))})
+    model = op5.Model.fit(ROWS)
+    tracemalloc.start()
+    for _ in op5._decoded(batch, 0, model):
+        pass
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 64e6, most  # before: 75 MB
+
+
+def test_a_worker_forgets_what_other_work_kept(monkeypatch):
+    from descent_planner.llm import bpe, hashing, shared
+    from descent_planner.llm.op6_bpe_codec import _tokenizer_path
+
+    monkeypatch.setattr(shared, "_entered", None)
+    shared.enter("packing")
+    encoder = bpe.tree_encoder(_tokenizer_path())
+    ids = encoder(["one two"])[0]
+    shared.enter("packing")
+    assert bpe.tree_encoder(_tokenizer_path()) is encoder and hashing._made
+    shared.enter("language")
+    assert bpe.tree_encoder.cache_info().currsize == 0 and not hashing._made
+    assert (bpe.tree_encoder(_tokenizer_path())(["one two"])[0] == ids).all()
