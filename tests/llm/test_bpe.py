@@ -44,3 +44,22 @@ def test_decode_of_cut_characters():
 @pytest.mark.parametrize("word", ["aaaaaaaaaaaaaaaaaaaa", "abcabcabc" * 30])
 def test_ties_go_left(word):
     assert bpe.TreeMerger(bpe.vocabulary(PATH))([word])[0].tolist() == LIB.encode(word, add_special_tokens=False).ids
+
+
+def test_columns_equal_trees():
+    rng = np.random.default_rng(5)
+    words = ["".join(rng.choice(list("aeinrsth o'é漢€\n"), size=n)) for n in [*range(1, 80), *rng.integers(1, 40, 4000)]]
+    raw = [w.encode() for w in words]
+    flat, length = b"".join(raw), np.array([len(x) for x in raw])
+    v = bpe.vocabulary(PATH)
+    columns = bpe.ColumnMerger(v)
+    for got, want in zip(columns.merge(flat, length), bpe.TreeMerger(v).merge(flat, length), strict=True):
+        assert got.tolist() == want.tolist()
+    # every pair is found in the table, and no other
+    a, b = v.pair_keys >> 20, v.pair_keys & 0xFFFFF
+    assert (columns._found(a, b) == v.pair_ranks).all()
+    assert (columns._found(b, a + 1) == np.where(columns._ranks(b, a + 1) == columns.NONE, -1, columns._ranks(b, a + 1))).all()
+    want = [e.ids for e in LIB.encode_batch(CASES, add_special_tokens=False)]
+    for _ in range(2):
+        ids, n = bpe.column_encoder(PATH)(CASES)
+        assert [x.tolist() for x in np.split(ids, np.cumsum(n)[:-1])] == want

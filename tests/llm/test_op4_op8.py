@@ -1,8 +1,10 @@
 import random
+import re
 import time
 from collections import defaultdict
 
 import duckdb
+import numpy as np
 import pytest
 
 from descent_planner.llm import op4_conflict_packing as op4
@@ -176,3 +178,21 @@ def test_op8_edges(spark, tmp_path):
     spark.createDataFrame([(1, None, None, "x"), (2, "nonsense", "", "x"), (3, "http://a.b/c", "<p>t</p>", "x")], "page_id long, url string, html string, host string").write.parquet(f"{tmp_path}/pages.parquet")
     got = {r.page_id: (r.host, r.n_lines, r.n_dropped) for r in op8.op8_site_lines(spark, str(tmp_path)).collect()}
     assert got == {1: ("", 0, 0), 2: ("", 0, 0), 3: ("a.b", 1, 0)}
+
+
+def test_words_of_pieces_by_any_white_space():
+    rng = random.Random(4)
+    blank = "".join(chr(c) for c in range(0x110000) if chr(c).isspace())
+    assert all(op4._BLANK[ord(c)] for c in blank) and op4._BLANK.sum() == len(blank)
+    for alphabet in ("ab \t\n\x1c\x85", "aé漢😀 　 \x1f"):
+        for _ in range(20):
+            text = "".join(rng.choices(alphabet, k=rng.randint(40, 300)))
+            ends, left = [], len(text.encode())
+            while left:
+                ends.append(min(left, rng.randint(1, 5)))
+                left -= ends[-1]
+            got = op4.words_of_pieces(text, np.array(ends), 8)
+            at = [len(text[: m.start()].encode()) for m in re.finditer(r"\S+", text)]
+            bounds = np.cumsum(ends)
+            want = [sum(1 for x in at if (bounds[k * 8 - 1] if k else 0) <= x < bounds[min(len(ends), k * 8 + 8) - 1]) for k in range(-(-len(ends) // 8))]
+            assert got == want

@@ -121,3 +121,23 @@ def test_sketches_estimate_similarity(size):
         s = op7.sketches(np.concatenate([np.sort(a), np.sort(b)]), np.array([len(a), len(b)]), t)
         assert (s != np.uint64(0xFFFFFFFFFFFFFFFF)).all()
         assert abs((s[0] == s[1]).mean() - true) < 0.16
+
+
+def test_counts_travel_in_blocks():
+    total = np.zeros(1 << 16, dtype=np.int32)
+    total[[0, 4095, 4096, 65535]] = 3, 2**31 - 1, 1, 7
+    back = np.zeros_like(total)
+    rows = [r for b in op7._block_rows((at, total[at << op7.BLOCK_BITS : (at + 1) << op7.BLOCK_BITS]) for at in range(16)) for r in b.to_pylist()]
+    for r in rows:
+        back[(r["block"] << op7.BLOCK_BITS) + np.frombuffer(r["slots"], dtype="<u2")] = np.frombuffer(r["n"], dtype="<i4")
+    assert len(rows) == 3 and (back == total).all()
+
+
+def test_the_shingle_table_comes_in_one_job(spark, monkeypatch):
+    """A row a block, not a row a slot and a job a partition."""
+    docs = spark.createDataFrame([(i, f"common words open this text then {i} and {i + 1} follow") for i in range(40)], "doc_id long, text string")
+    members = docs.select(F.col("doc_id").alias("id"), F.col("doc_id").alias("comp"), F.lit(9).alias("n_shingles"))
+    monkeypatch.setattr(type(docs), "toLocalIterator", None)
+    heads = op7._prefixes(docs, members, op7.CONTRACT).where("place = 0").collect()
+    # the rarest shingle stands first, and that none shares
+    assert len(heads) == 40 and len({r.element for r in heads}) == 40
