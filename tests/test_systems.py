@@ -83,3 +83,17 @@ def test_library_over_points_of_the_jvm_equals_its_python_interface(spark, sf):
     theirs = LogisticRegressionWithSGD.train(points, initialWeights=[0.0] * 64, **options).weights.toArray()
     assert (baselines.library_sparse(sparse, cfg, 64, 0.3).weights == theirs).all() and theirs.any()
     sparse.unpersist()
+
+
+def test_texts_hashed_by_row_have_the_buckets_of_their_words(spark, sf, tmp_path):
+    from descent_planner.sources import tasks
+
+    docs = tasks.table(spark, sf, "documents").select("doc_id", "text", "lang")
+    odd = spark.createDataFrame([(-1, None, "en"), (-2, "", "en"), (-3, " \n", "de"), (-4, "a A  b", "en"), (-4, "c\tb", "en")], docs.schema)
+    docs.union(odd).write.parquet(f"{tmp_path}/documents.parquet")
+    hashes = tasks.doc_hashes(spark, str(tmp_path))
+    for dim in (3, 1024):
+        words = tasks.doc_words(spark, str(tmp_path), dim).groupBy("unit_id").agg(F.array_sort(F.collect_list("bucket")).alias("idx"))
+        theirs = {r.unit_id: r.idx for r in words.collect()}
+        assert theirs == {r.unit_id: r.idx for r in tasks.doc_language(spark, str(tmp_path), dim, hashes).collect()} and -4 in theirs and -1 not in theirs
+    assert "Generate" not in tasks.doc_language(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
