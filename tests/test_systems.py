@@ -97,3 +97,28 @@ def test_texts_hashed_by_row_have_the_buckets_of_their_words(spark, sf, tmp_path
         theirs = {r.unit_id: r.idx for r in words.collect()}
         assert theirs == {r.unit_id: r.idx for r in tasks.doc_language(spark, str(tmp_path), dim, hashes).collect()} and -4 in theirs and -1 not in theirs
     assert "Generate" not in tasks.doc_language(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_a_slice_is_sorted_without_a_sample_of_its_input(spark, sf):
+    units = samplers.with_parts(W2.units(spark, sf), 4).persist()
+    sizes = {r.part_id: r.n_units for r in samplers.partition_catalog(units).collect()}
+    chooser = samplers.ShuffledPartition(sizes, 5)
+    tracker, group = spark.sparkContext.statusTracker(), "one load"
+    spark.sparkContext.setJobGroup(group, group)
+    rows = [r for _, r in chooser.draw_rows(units)]
+    jobs = [tracker.getJobInfo(j) for j in tracker.getJobIdsForGroup(group)]
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    first = chooser.order(0)[0]
+    theirs = sorted(((samplers.py_rank(7, 0, r.unit_id), r.unit_id) for r in units.where(F.col("part_id") == first).collect()))[:5]
+    assert [r.unit_id for r in rows] == [u for _, u in theirs]
+    assert len(jobs) <= 2
+    units.unpersist()
+
+
+def test_sets_are_dealt_over_all_cores(spark, sf):
+    from descent_planner import experiments
+
+    for name in ("big_charge", "halfspace"):
+        units, plain = experiments.dealt(spark, sf, name), experiments.SETS[name][0](spark, sf)
+        assert units.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+        assert units.count() == plain.count() and units.exceptAll(plain).isEmpty()
